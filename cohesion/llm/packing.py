@@ -31,7 +31,6 @@ WORDS_KEPT = 600_000
 #: Then it keeps those of up to so many letters, which come again most.
 SHORT = 9
 
-_MARK = "\x01"
 #: Letters of one case-folded form each, then marks: the vocabulary splits such a word there, whatever the case.
 _ODD = re.compile("[\x1c-\x1f]")
 _PLAIN = re.compile("([A-Za-zÀ-ÖØ-Þß-öø-ÿ]+)([!-&(-/:-@[-`{-~]*)")
@@ -41,7 +40,8 @@ class WordTokenizer:
     """Ids of whole texts by a `tokenizers` vocabulary that never merges over white space.
 
     Such a vocabulary gives a text the ids of its white-space-separated words one after another, so each different
-    word is tokenised once and kept. Words new to a text are tokenised together, with a mark between them.
+    word is tokenised once and kept. A new word of lower-case letters goes straight to
+    the vocabulary's merges; any other takes the whole way.
     """
 
     def __init__(self, path: str):
@@ -51,8 +51,8 @@ class WordTokenizer:
         self.wide = self.tokenizer.get_vocab_size() > 1 << 16
         self.dtype = np.dtype("<u4" if self.wide else "<u2")
         self.known: dict[str, bytes] = {}
-        mark = self._direct(_MARK)
-        self.mark = int(np.frombuffer(mark, self.dtype)[0]) if len(mark) == self.dtype.itemsize else None
+        self.model = self.tokenizer.model
+        self.letters = _byte_letters()
 
     def _direct(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
@@ -73,21 +73,13 @@ class WordTokenizer:
                     asked.add(marks)
             else:
                 asked.add(w)
-        self._ask(list(asked))
+        known.update((w, self._letters(w) if _PLAIN.fullmatch(w) else self._direct(w)) for w in asked)
         known.update((w, known[letters] + known[marks] if marks else known[letters]) for w, letters, marks in built)
 
-    def _ask(self, words: list[str]) -> None:
-        plain = [w for w in words if _MARK not in w] if self.mark is not None else []
-        if plain:
-            ids = np.array(self.tokenizer.encode_batch_fast([f" {_MARK} ".join(plain)], add_special_tokens=False)[0].ids, self.dtype)
-            cuts = np.flatnonzero(ids == self.mark)
-            if len(cuts) == len(plain) - 1:
-                raw, wide = ids.tobytes(), self.dtype.itemsize
-                starts, ends = [0, *((cuts + 1) * wide).tolist()], [*(cuts * wide).tolist(), len(raw)]
-                self.known.update((w, raw[a:b]) for w, a, b in zip(plain, starts, ends))
-        for w in words:
-            if w not in self.known:
-                self.known[w] = self._direct(w)
+    def _letters(self, word: str) -> bytes:
+        # One piece of lower-case letters: nothing is left to do but the merges.
+        word = word if word.isascii() else word.encode().decode("latin-1").translate(self.letters)
+        return np.array([t.id for t in self.model.tokenize(word)], self.dtype).tobytes()
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """The packed ids of each text."""
@@ -103,6 +95,13 @@ class WordTokenizer:
         return [b"".join(map(get, words)) for words in split]
 
 
+def _byte_letters() -> dict[int, str]:
+    """The letter that stands for each byte in a byte-level vocabulary: itself if printable, else the next from U+0100."""
+    printable = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    others = [b for b in range(256) if b not in printable]
+    return {b: chr(b) for b in printable} | {b: chr(0x100 + k) for k, b in enumerate(others)}
+
+
 def _words(text: str) -> list[str]:
     # The vocabulary folds case letter by letter, as str.lower() does below U+0100; other texts keep their case here.
     try:
