@@ -6,12 +6,27 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from ..session import load_table
-from . import packing
+from . import fingerprint, language, packing, quality
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(load_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
-QUERIES = {f.__name__: f for f in (op4_packing,)}
+def op3_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fingerprint.compare_with_next(load_table(spark, sf_dir, "documents"))
+
+
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load_table(spark, sf_dir, "documents")
+    return quality.score(docs, quality.fit(docs, load_table(spark, sf_dir, "labels")))
+
+
+def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load_table(spark, sf_dir, "documents")
+    model, threshold = language.fit(docs)
+    return language.predict(docs, model, threshold)
+
+
+QUERIES = {f.__name__: f for f in (op3_fingerprints, op4_packing, op7_quality, op10_language)}
 ORACLES: dict[str, str] = {}
