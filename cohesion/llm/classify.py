@@ -143,11 +143,19 @@ def train(texts: list[str], labels: list, buckets: int = BUCKETS, dim: int = DIM
     return Model(classes, embed @ layer, bias.astype(np.float64))
 
 
-def sample(labelled: DataFrame, id_col: str, text_col: str, label_col: str, rows: int = SAMPLE_ROWS) -> tuple[list[str], list]:
-    """A bounded sample of labelled rows, the same on every run: those with the smallest hashes of their id."""
-    labelled = labelled.where(F.col(label_col).isNotNull()).select(F.xxhash64(F.col(id_col)).alias("h"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"), F.col(label_col).alias("y"))
-    found = labelled.orderBy("h", "t").limit(rows).collect()
-    return [r["t"] for r in found], [r["y"] for r in found]
+def sample(docs: DataFrame, label: DataFrame | str, rows: int = SAMPLE_ROWS) -> tuple[list[str], list]:
+    """A bounded sample of labelled rows of docs (doc_id, text), the same on every run: the smallest hashes of doc_id.
+
+    label: a column of docs, or a table (doc_id, y). The bound is taken on ids; only their texts then move.
+    """
+    known = docs.select(F.col("doc_id").alias("_id"), F.col(label).alias("_y")) if isinstance(label, str) else label.toDF("_id", "_y")
+    chosen = known.where("_y is not null and _id is not null").groupBy("_id").agg(F.max("_y").alias("_y")).orderBy(F.xxhash64("_id"), "_id").limit(rows)
+    # At most `rows` pairs of numbers: a proven bound.
+    texts = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("t")).join(F.broadcast(chosen), F.col("doc_id") == F.col("_id"))
+    # Ids that repeat could bring more rows than were chosen.
+    found = texts.select("t", "_y").limit(2 * rows).collect()
+    found = sorted((r["t"], r["_y"]) for r in found)
+    return [t for t, _ in found], [y for _, y in found]
 
 
 def has_letter(text: str | None) -> bool:

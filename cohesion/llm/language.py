@@ -24,9 +24,12 @@ REJECT = 0.001
 
 def fit(docs: DataFrame, rows: int = classify.SAMPLE_ROWS) -> tuple[classify.Model, float]:
     """(model, rejection threshold), from at most `rows` rows outside the held-out fold."""
-    texts, labels = classify.sample(docs.where(~classify.held_out("doc_id", FOLDS, FOLD)), "doc_id", "text", "lang", rows)
+    texts, labels = classify.sample(docs.where(~classify.held_out("doc_id", FOLDS, FOLD)), "lang", rows)
     lettered = [i for i, t in enumerate(texts) if classify.has_letter(t)]
     texts, labels = [texts[i] for i in lettered], [labels[i] for i in lettered]
+    # Sorted texts would put like with like.
+    order = np.random.default_rng(1).permutation(len(texts))
+    texts, labels = [texts[i] for i in order], [labels[i] for i in order]
     cut = len(texts) - len(texts) // 5
     model = classify.train(texts[:cut], labels[:cut])
     p = model.scores(pa.array(texts[cut:], pa.string()))

@@ -14,6 +14,7 @@ from __future__ import annotations
 import builtins
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,7 +28,7 @@ from ..session import written
 WINDOW = 2048
 END_ID = 1
 #: A worker keeps the ids of so many words at most; beyond that it starts its table anew.
-WORDS_KEPT = 600_000
+WORDS_KEPT = 1_000_000
 #: Then it keeps those of up to so many letters, which come again most.
 SHORT = 9
 
@@ -36,6 +37,32 @@ _ODD = re.compile("[\x1c-\x1f]")
 _PLAIN = re.compile("([A-Za-zÀ-ÖØ-Þß-öø-ÿ]+)([!-&(-/:-@[-`{-~]*)")
 
 
+class _Known(dict):
+    """Ids of words; a word not known yet is tokenised. Letters, then marks, are the ids of the lower-cased letters and of the marks."""
+
+    def __init__(self, coder: WordTokenizer):
+        self.coder = coder
+
+    def __missing__(self, word: str) -> bytes:
+        if word.isascii() and word.isalpha() and word.islower():
+            ids = self.coder.merges(word)
+        elif not (m := _PLAIN.fullmatch(word)):
+            ids = self.coder.direct(word)
+        elif m[2]:
+            ids = self[m[1].lower()] + self.marks(m[2])
+        elif (low := word.lower()) == word:
+            ids = self.coder.merges(word)
+        else:
+            ids = self[low]
+        self[word] = ids
+        return ids
+
+    def marks(self, marks: str) -> bytes:
+        if (ids := self.get(marks)) is None:
+            ids = self[marks] = self.coder.direct(marks)
+        return ids
+
+
 class WordTokenizer:
     """Ids of whole texts by a `tokenizers` vocabulary that never merges over white space.
 
@@ -50,49 +77,28 @@ class WordTokenizer:
         self.tokenizer = Tokenizer.from_file(path)
         self.wide = self.tokenizer.get_vocab_size() > 1 << 16
         self.dtype = np.dtype("<u4" if self.wide else "<u2")
-        self.known: dict[str, bytes] = {}
+        self.code = "I" if self.wide else "H"
+        self.known = _Known(self)
         self.model = self.tokenizer.model
         self.letters = _byte_letters()
 
-    def _direct(self, text: str) -> bytes:
+    def direct(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
 
-    def learn(self, words: set[str]) -> None:
-        """Makes the ids of new words known; those of letters, then marks, come from the lower-cased letters and the marks."""
-        known, built, asked = self.known, [], set()
-        for w in words:
-            if m := _PLAIN.fullmatch(w):
-                letters, marks = m[1].lower(), m[2]
-                if letters == w:
-                    asked.add(w)
-                    continue
-                built.append((w, letters, marks))
-                if letters not in known:
-                    asked.add(letters)
-                if marks and marks not in known:
-                    asked.add(marks)
-            else:
-                asked.add(w)
-        known.update((w, self._letters(w) if _PLAIN.fullmatch(w) else self._direct(w)) for w in asked)
-        known.update((w, known[letters] + known[marks] if marks else known[letters]) for w, letters, marks in built)
-
-    def _letters(self, word: str) -> bytes:
+    def merges(self, word: str) -> bytes:
         # One piece of lower-case letters: nothing is left to do but the merges.
         word = word if word.isascii() else word.encode().decode("latin-1").translate(self.letters)
-        return np.array([t.id for t in self.model.tokenize(word)], self.dtype).tobytes()
+        return array(self.code, [t.id for t in self.model.tokenize(word)]).tobytes()
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """The packed ids of each text."""
-        split = [_words(t) for t in texts]
         if len(self.known) > WORDS_KEPT:
-            self.known = {w: ids for w, ids in self.known.items() if len(w) <= SHORT}
-            if len(self.known) > WORDS_KEPT // 2:
-                self.known = {}
-        new = set().union(*split).difference(self.known)
-        if new:
-            self.learn(new)
+            short = {w: ids for w, ids in self.known.items() if len(w) <= SHORT}
+            self.known.clear()
+            if len(short) <= WORDS_KEPT // 2:
+                self.known.update(short)
         get = self.known.__getitem__
-        return [b"".join(map(get, words)) for words in split]
+        return [b"".join(map(get, _words(t))) for t in texts]
 
 
 def _byte_letters() -> dict[int, str]:
@@ -128,8 +134,8 @@ def tokenised(docs: DataFrame, tokenizer_path: str, end_id: int = END_ID, text_c
         coder, start, part = tokenizer(tokenizer_path), 0, TaskContext.get().partitionId()
         end = np.array([end_id], coder.dtype).tobytes()
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part_of = batch.slice(at, 256)
+            for at in range(0, batch.num_rows, 512):
+                part_of = batch.slice(at, 512)
                 ids = [x + end for x in coder.ids([t or "" for t in part_of.column(1).to_pylist()])]
                 n = np.array([len(x) // coder.dtype.itemsize for x in ids], np.int64)
                 ends = start + np.cumsum(n)

@@ -19,12 +19,8 @@ FOLDS, FOLD = 3, 1
 
 def fit(docs: DataFrame, labels: DataFrame, rows: int = classify.SAMPLE_ROWS) -> classify.Model:
     """Fits on at most `rows` labelled documents outside the held-out fold."""
-    known = labels.select(F.col("doc_id").alias("_id"), F.col("quality").cast("int").alias("_y")).where("_y is not null and _id is not null")
-    # The bound is taken on ids first: only the sampled rows' texts are then looked up.
-    chosen = known.where(~classify.held_out("_id", FOLDS, FOLD)).groupBy("_id").agg(F.max("_y").alias("_y")).orderBy(F.xxhash64("_id")).limit(rows)
-    # At most `rows` pairs of numbers: a proven bound.
-    texts = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("_id"))
-    return classify.train(*classify.sample(texts, "doc_id", "text", "_y", rows))
+    known = labels.select("doc_id", F.col("quality").cast("int").alias("y")).where(~classify.held_out("doc_id", FOLDS, FOLD))
+    return classify.train(*classify.sample(docs, known, rows))
 
 
 def score(docs: DataFrame, model: classify.Model) -> DataFrame:
