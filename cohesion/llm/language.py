@@ -38,28 +38,38 @@ def fit(docs: DataFrame, rows: int = classify.SAMPLE_ROWS) -> tuple[classify.Mod
     return model, float(np.quantile(right, REJECT)) / 2 if right else 0.0
 
 
-def predict(docs: DataFrame, model: classify.Model, threshold: float = 0.0, keep: bool = False) -> DataFrame:
-    """Rows (doc_id, held_out, lang_pred, score, rejected); with keep, the columns of docs and `rejected` instead."""
-    classes = [*model.classes, UNDETERMINED]
-    text_at = docs.columns.index("text") if keep else 2
+def _named(model: classify.Model, threshold: float, texts: pa.Array) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """(language, score, rejected) of each text."""
+    n = len(texts)
+    p = model.scores(texts) if model.classes else np.zeros((n, 1))
+    best = p.argmax(axis=1)
+    score = p[np.arange(n), best]
+    names = [model.classes[b] if model.classes else UNDETERMINED for b in best]
+    for i, text in enumerate(texts.to_pylist()):
+        # Most texts begin with a letter, which settles it.
+        if not (text and (text[0].isalpha() or classify.has_letter(text))):
+            names[i], score[i] = UNDETERMINED, 0.0
+    return names, score, np.array([x == UNDETERMINED for x in names], bool) | (score < threshold)
+
+
+def predict(docs: DataFrame, model: classify.Model, threshold: float = 0.0) -> DataFrame:
+    """Rows (doc_id, held_out, lang_pred, score, rejected) for every row of docs."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(text_at)
-            p = model.scores(texts)
-            best = p.argmax(axis=1) if model.classes else np.zeros(batch.num_rows, int)
-            score = p[np.arange(len(p)), best] if model.classes else np.zeros(batch.num_rows)
-            # A text with a Latin letter is settled by one search of its bytes; others are looked at letter by letter.
-            for i, text in enumerate(texts.to_pylist()):
-                if not (text and (text[0].isalpha() or classify.has_letter(text))):
-                    best[i], score[i] = len(classes) - 1, 0.0
-            rejected = pa.array((best == len(classes) - 1) | (score < threshold))
-            if keep:
-                yield pa.RecordBatch.from_arrays([*batch.columns, rejected], [*batch.schema.names, "rejected"])
-            else:
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([classes[b] for b in best], pa.string()), pa.array(score), rejected], ["doc_id", "held_out", "lang_pred", "score", "rejected"])
-
-    if keep:
-        return docs.mapInArrow(run, docs.schema.add("rejected", "boolean"))
+            names, score, rejected = _named(model, threshold, batch.column(2))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(names, pa.string()), pa.array(score), pa.array(rejected)], ["doc_id", "held_out", "lang_pred", "score", "rejected"])
+
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", classify.held_out("doc_id", FOLDS, FOLD).alias("held_out"), F.col("text").cast("string")).mapInArrow(run, f"doc_id {kind}, held_out boolean, lang_pred string, score double, rejected boolean")
+
+
+def accepted(docs: DataFrame, model: classify.Model, threshold: float) -> DataFrame:
+    """The rows of docs that are not rejected, with the columns of docs."""
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(~_named(model, threshold, batch.column(at))[2]))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from ..session import load_table
-from . import fingerprint, language, packing, quality
+from . import decontaminate, fingerprint, language, packing, quality
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -17,6 +17,10 @@ def op3_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.compare_with_next(load_table(spark, sf_dir, "documents"))
 
 
+def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contamination(load_table(spark, sf_dir, "documents"), load_table(spark, sf_dir, "benchmark"))
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load_table(spark, sf_dir, "documents")
     return quality.score(docs, quality.fit(docs, load_table(spark, sf_dir, "labels")))
@@ -28,5 +32,5 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.predict(docs, model, threshold)
 
 
-QUERIES = {f.__name__: f for f in (op3_fingerprints, op4_packing, op7_quality, op10_language)}
+QUERIES = {f.__name__: f for f in (op3_fingerprints, op4_packing, op6_decontamination, op7_quality, op10_language)}
 ORACLES: dict[str, str] = {}
