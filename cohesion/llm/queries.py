@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from ..session import load_table
-from . import decontaminate, fingerprint, language, packing, quality
+from . import decontaminate, fingerprint, language, neardup, packing, quality
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -26,11 +26,15 @@ def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs, quality.fit(docs, load_table(spark, sf_dir, "labels")))
 
 
+def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(load_table(spark, sf_dir, "documents"))
+
+
 def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load_table(spark, sf_dir, "documents")
     model, threshold = language.fit(docs)
     return language.predict(docs, model, threshold)
 
 
-QUERIES = {f.__name__: f for f in (op3_fingerprints, op4_packing, op6_decontamination, op7_quality, op10_language)}
+QUERIES = {f.__name__: f for f in (op3_fingerprints, op4_packing, op6_decontamination, op7_quality, op8_near_duplicates, op10_language)}
 ORACLES: dict[str, str] = {}
