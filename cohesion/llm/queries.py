@@ -6,17 +6,25 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from ..session import load_table
-from . import decontaminate, fingerprint, language, neardup, packing, quality
+from . import decontaminate, fingerprint, language, neardup, packing, quality, sentencededup, suffixdedup
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(load_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixdedup.remove_repeats(load_table(spark, sf_dir, "documents"))
+
+
 def op3_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.compare_with_next(load_table(spark, sf_dir, "documents"))
 
 
+def op5_sentence_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sentencededup.remove_repeats(load_table(spark, sf_dir, "documents"))
+
+
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contamination(load_table(spark, sf_dir, "documents"), load_table(spark, sf_dir, "benchmark"))
 
@@ -36,5 +44,5 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.predict(docs, model, threshold)
 
 
-QUERIES = {f.__name__: f for f in (op3_fingerprints, op4_packing, op6_decontamination, op7_quality, op8_near_duplicates, op10_language)}
+QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op3_fingerprints, op4_packing, op5_sentence_dedup, op6_decontamination, op7_quality, op8_near_duplicates, op10_language)}
 ORACLES: dict[str, str] = {}
