@@ -88,30 +88,29 @@ def suffix_array(data: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
     key = padded[:n].copy()
     for k in range(1, 8):
         key = (key << np.uint64(8)) | padded[k : n + k]
-    order = np.argsort(key, kind="stable")
+    order = np.argsort(key)
     rank = np.zeros(n + 1, np.int64)  # past the end: below all
     sorted_key = key[order]
     new = np.append(True, sorted_key[1:] != sorted_key[:-1])
+    # A last place that never begins a group marks the end.
+    begins = np.append(new, True)
     head = np.flatnonzero(new)
     rank[order] = np.repeat(head, np.diff(np.append(head, n))) + 1
     h = 8
     while h < depth:
-        size = np.diff(np.append(head, n))
-        open_groups = np.flatnonzero(size > 1)
-        if not len(open_groups):
+        at = np.flatnonzero(~(begins[:-1] & begins[1:]))
+        if not len(at):
             break
-        many = size[open_groups]
-        at = np.repeat(head[open_groups] - (np.cumsum(many) - many), many) + np.arange(many.sum())
         suffix = order[at]
         further = rank[np.minimum(suffix + h, n)]
-        group = np.repeat(head[open_groups], many)
-        sub = np.argsort(group * np.int64(n + 2) + further, kind="stable")
+        group = rank[suffix]
+        sub = np.argsort(group * np.int64(n + 2) + further)
         suffix, further = suffix[sub], further[sub]
         order[at] = suffix
         fresh = np.append(True, (group[1:] != group[:-1]) | (further[1:] != further[:-1]))
         starts = at[fresh]
         rank[suffix] = np.repeat(starts, np.diff(np.append(np.flatnonzero(fresh), len(at)))) + 1
-        head = np.union1d(head, starts)
+        begins[starts] = True
         h *= 2
     return order, rank[:n]
 
