@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from ..session import load_table
-from . import decontaminate, fingerprint, language, neardup, packing, quality, sentencededup, suffixdedup
+from . import decontaminate, fingerprint, language, neardup, packing, quality, secrets, sentencededup, suffixdedup
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -17,6 +17,10 @@ def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixdedup.remove_repeats(load_table(spark, sf_dir, "documents"))
 
 
+def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan(load_table(spark, sf_dir, "documents"))
+
+
 def op3_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.compare_with_next(load_table(spark, sf_dir, "documents"))
 
@@ -44,5 +48,5 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.predict(docs, model, threshold)
 
 
-QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op3_fingerprints, op4_packing, op5_sentence_dedup, op6_decontamination, op7_quality, op8_near_duplicates, op10_language)}
-ORACLES: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op2_secret_scan, op3_fingerprints, op4_packing, op5_sentence_dedup, op6_decontamination, op7_quality, op8_near_duplicates, op10_language)}
+ORACLES: dict[str, str] = {"op2_secret_scan": secrets.oracle()}
