@@ -233,8 +233,8 @@ def _verified(pairs: DataFrame, texts: DataFrame, reps: DataFrame, similarity: f
     return two.mapInArrow(compare, "a binary, b binary, similarity double").where(F.col("similarity") >= similarity)
 
 
-def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, bands: int = BANDS, rows: int = ROWS, bucket: int = BUCKET) -> DataFrame:
-    """Rows (doc_id, class_id, class_size, copies), one for each row of docs; class_id is the least doc_id of its class."""
+def _placed(docs: DataFrame, similarity: float, id_col: str, text_col: str, words: int, bands: int, rows: int, bucket: int) -> DataFrame:
+    """(cls, rep, copies, label): the different texts and the class each belongs to."""
     texts = _text_rows(docs, id_col, text_col)
     found = written(classes(docs, id_col, text_col, words, bands, rows), "classes")
     met = _met(found.select("cls", "total", "sketch", "bands"), bucket)
@@ -248,7 +248,25 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, id_col: str
     if more.limit(1).count():
         links = links.unionByName(more)
         labels = written(star_labels(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "labels")
-    placed = found.select("cls", "rep", "copies").join(labels.withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
+    return found.select("cls", "rep", "copies").join(labels.withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
+
+
+def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, bands: int = BANDS, rows: int = ROWS, bucket: int = BUCKET) -> DataFrame:
+    """Rows (doc_id, class_id, class_size, copies), one for each row of docs; class_id is the least doc_id of its class."""
+    placed = _placed(docs, similarity, id_col, text_col, words, bands, rows, bucket)
     sizes = placed.groupBy("label").agg(F.min("rep").alias("class_id"), F.sum("copies").alias("class_size"))
     member = placed.join(sizes, "label").select("cls", "class_id", "class_size", "copies")
-    return texts.select("id", "cls").join(member, "cls").select(F.col("id").alias("doc_id"), "class_id", "class_size", "copies")
+    return _text_rows(docs, id_col, text_col).select("id", "cls").join(member, "cls").select(F.col("id").alias("doc_id"), "class_id", "class_size", "copies")
+
+
+def one_of_each(docs: DataFrame, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, bands: int = BANDS, rows: int = ROWS, bucket: int = BUCKET) -> DataFrame:
+    """The rows of docs with the least doc_id of their class, one row for each class."""
+    placed = _placed(docs, similarity, id_col, text_col, words, bands, rows, bucket)
+    lead = placed.groupBy("label").agg(F.min(F.struct(F.col("rep").isNull().alias("x"), "rep", "cls")).alias("lead"))
+    keep = lead.select(F.xxhash64("lead.rep").alias("h"), F.col("lead.cls").alias("cls"))
+    own = F.unhex(F.md5(F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")))
+    keyed = docs.select(F.struct(*docs.columns).alias("row"), F.xxhash64(F.col(id_col)).alias("h"), own.alias("cls"))
+    # Only a table that repeats an id with its text needs the pass that drops repeated rows.
+    repeats = keyed.groupBy("h", "cls").count().where("count > 1").limit(1).count()
+    kept = keyed.join(keep, ["h", "cls"], "left_semi")
+    return (kept.dropDuplicates(["h", "cls"]) if repeats else kept).select("row.*")

@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from ..session import load_table
-from . import decontaminate, fingerprint, language, neardup, packing, quality, secrets, sentencededup, suffixdedup
+from . import decontaminate, fingerprint, language, neardup, packing, pii, quality, secrets, sentencededup, suffixdedup
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -42,11 +42,16 @@ def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(load_table(spark, sf_dir, "documents"))
 
 
+def op9_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load_table(spark, sf_dir, "documents")
+    return pii.scan(docs, pii.fit(docs))
+
+
 def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load_table(spark, sf_dir, "documents")
     model, threshold = language.fit(docs)
     return language.predict(docs, model, threshold)
 
 
-QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op2_secret_scan, op3_fingerprints, op4_packing, op5_sentence_dedup, op6_decontamination, op7_quality, op8_near_duplicates, op10_language)}
+QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op2_secret_scan, op3_fingerprints, op4_packing, op5_sentence_dedup, op6_decontamination, op7_quality, op8_near_duplicates, op9_personal_data, op10_language)}
 ORACLES: dict[str, str] = {"op2_secret_scan": secrets.oracle()}
