@@ -8,10 +8,11 @@ text, so the work is about shingles + m ln m points a text, not shingles times m
 
 Equal texts are folded into one class first. Signatures are cut in bands; classes that share a band meet in a bucket,
 where short sketches and the size bound rule out unlike pairs. Candidates are then taken in two rounds: stars around
-the best-connected members, verified exactly on the multisets and joined to components; then every remaining candidate
-pair that would connect different components, verified too. What is never paired lies in one component already, so no
-link between different texts is lost and no group is expanded into all its pairs. Buckets beyond BUCKET members are
-split into blocks and handled by pairs of blocks.
+the best-connected members, verified exactly on the multisets and joined to components; then what could still connect
+different components: a few candidate pairs, verified too, or, where a bucket has many, the exact overlaps of its
+members by one matrix product within a task, of which only a spanning forest leaves it. What is never compared lies in
+one component already, so no link between different texts is lost, and no group is expanded into all its pairs.
+Buckets beyond BUCKET members are split into blocks and handled by pairs of blocks.
 
 Defined results: a null text is empty; all empty texts are one class, and texts without words are only like equal
 texts; texts of one to four words are one shingle; a class is named by its least doc_id (a null id only if it has no
@@ -39,6 +40,10 @@ BANDS, ROWS = 20, 5
 SLOTS, SURE = 64, 0.25
 #: Members of a bucket that one task compares with each other.
 BUCKET = 4096
+#: Their mean number of shingles at most; longer texts make more blocks.
+SHINGLES = 1000
+#: Candidate pairs a member up to which a bucket names pairs in the second round.
+SPARSE = 2
 
 _GOLD = np.uint64(0x9E3779B97F4A7C15)
 
@@ -120,84 +125,127 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wor
 def _met(found: DataFrame, limit: int) -> DataFrame:
     """Members by bucket, (bucket, lo, hi, blk, ...): a bucket beyond the limit is dealt to pairs of its blocks."""
     rows = found.select("*", F.explode("bands").alias("bucket")).drop("bands")
-    large = rows.groupBy("bucket").count().where(F.col("count") > limit).select("bucket", F.ceil(F.col("count") / limit).cast("int").alias("k"))
+    parts = F.ceil(F.greatest(F.count("*") / limit, F.sum("total") / (limit * SHINGLES))).cast("int")
+    large = rows.groupBy("bucket").agg(parts.alias("k")).where("k > 1")
     dealt = rows.join(large, "bucket", "left").withColumn("blk", F.when(F.col("k").isNull(), 0).otherwise(F.pmod(F.xxhash64("cls"), F.col("k")).cast("int")))
     others = F.sequence(F.lit(0), F.coalesce(F.col("k"), F.lit(1)) - 1)
     return dealt.withColumn("j", F.explode(others)).select("bucket", F.least("blk", "j").alias("lo"), F.greatest("blk", "j").alias("hi"), *[c for c in dealt.columns if c not in ("bucket", "k")])
 
 
-def _pairs(met: DataFrame, similarity: float, labelled: bool) -> DataFrame:
-    """Candidate pairs (a, b) of classes; with labels: all those between different components, else stars."""
-    least = similarity - SURE
-
-    def groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
-        kept: list[pa.RecordBatch] = []
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            key = np.stack([np.asarray(batch.column(k)).astype(np.int64) for k in range(3)])
-            cut = np.flatnonzero((key[:, 1:] != key[:, :-1]).any(axis=0)) + 1
-            edges = [0, *cut.tolist(), batch.num_rows]
-            for a, b in zip(edges, edges[1:]):
-                piece = batch.slice(a, b - a)
-                if kept and a == 0 and any(kept[-1].column(k)[0].as_py() != int(key[k, 0]) for k in range(3)):
-                    yield pa.Table.from_batches(kept)
-                    kept = []
-                elif kept and a:
-                    yield pa.Table.from_batches(kept)
-                    kept = []
-                kept.append(piece)
-        if kept:
-            yield pa.Table.from_batches(kept)
+def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """Rows of each (bucket, lo, hi), from batches sorted by them."""
+    kept: list[pa.RecordBatch] = []
+    last = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        key = np.stack([np.asarray(batch.column(k)).astype(np.int64) for k in range(3)])
+        edges = [0, *(np.flatnonzero((key[:, 1:] != key[:, :-1]).any(axis=0)) + 1).tolist(), batch.num_rows]
+        for a, b in zip(edges, edges[1:]):
+            own = tuple(key[:, a].tolist())
+            if kept and own != last:
+                yield pa.Table.from_batches(kept)
+                kept = []
+            kept.append(batch.slice(a, b - a))
+            last = own
+    if kept:
+        yield pa.Table.from_batches(kept)
+
+
+def _near(group: pa.Table, similarity: float, label: np.ndarray | None) -> np.ndarray:
+    """Which members of a bucket may be similar enough, by size and sketch; with labels, only across labels."""
+    n, blk = np.asarray(group.column("total")), np.asarray(group.column("blk"))
+    packed = np.frombuffer(b"".join(group.column("sketch").to_pylist()), np.uint8).reshape(len(n), -1)
+    nibbles = np.concatenate([packed & 15, packed >> 4], axis=1)
+    cross = group.column("lo")[0].as_py() != group.column("hi")[0].as_py()
+    near = np.zeros((len(n), len(n)), bool)
+    for i in range(len(n)):
+        ok = np.minimum(n, n[i]) >= similarity * np.maximum(n, n[i])
+        ok[i] = False
+        if cross:
+            ok &= blk != blk[i]
+        if label is not None:
+            ok &= label != label[i]
+        other = np.flatnonzero(ok)
+        same = (nibbles[other] == nibbles[i]).sum(axis=1) / SLOTS
+        near[i, other[(same - 1 / 16) / (15 / 16) >= similarity - SURE]] = True
+    return near
+
+
+def _sorted(met: DataFrame, columns: list[str]) -> DataFrame:
+    return met.select("bucket", "lo", "hi", *columns).repartition("bucket", "lo", "hi").sortWithinPartitions("bucket", "lo", "hi")
+
+
+def _ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _stars(met: DataFrame, similarity: float) -> DataFrame:
+    """Candidate pairs (a, b), at most one for each member of a bucket: with the best-connected member near it.
+
+    Every class with any candidate is in some pair.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         left, right = [], []
-        for group in groups(batches):
+        for group in _groups(batches):
             if group.num_rows < 2:
                 continue
-            names = group.column("cls").to_pylist()
-            n = np.asarray(group.column("total"))
-            packed = np.frombuffer(b"".join(group.column("sketch").to_pylist()), np.uint8).reshape(len(names), -1)
-            nibbles = np.concatenate([packed & 15, packed >> 4], axis=1)
-            blk = np.asarray(group.column("blk"))
-            cross = group.column("lo")[0].as_py() != group.column("hi")[0].as_py()
-            label = None
-            if labelled:
-                _, label = np.unique(np.array([x.hex() for x in group.column("label").to_pylist()]), return_inverse=True)
-                if label.max() == 0:
-                    continue
-            near = np.zeros((len(names), len(names)), bool)
-            for i in range(len(names)):
-                other = np.flatnonzero((np.minimum(n, n[i]) >= similarity * np.maximum(n, n[i])) & (True if not cross else blk != blk[i]) & (True if label is None else label != label[i]))
-                same = (nibbles[other] == nibbles[i]).sum(axis=1) / SLOTS
-                near[i, other[(same - 1 / 16) / (15 / 16) >= least]] = True
-            np.fill_diagonal(near, False)
-            if labelled:
-                a, b = np.nonzero(np.triu(near))
-                left += [names[i] for i in a.tolist()]
-                right += [names[i] for i in b.tolist()]
-            else:
-                free = np.ones(len(names), bool)
-                for i in np.argsort(-near.sum(axis=1), kind="stable").tolist():
-                    if free[i]:
-                        free[i] = False
-                        own = np.flatnonzero(near[i] & free)
-                        free[own] = False
-                        left += [names[i]] * len(own)
-                        right += [names[j] for j in own.tolist()]
+            near = _near(group, similarity, None)
+            names, degree = group.column("cls").to_pylist(), near.sum(axis=1)
+            free = np.ones(len(names), bool)
+            for i in np.argsort(-degree, kind="stable").tolist():
+                if not degree[i]:
+                    break
+                if free[i]:
+                    free[i] = False
+                    own = np.flatnonzero(near[i] & free)
+                    if not len(own):
+                        own = np.flatnonzero(near[i])[:1]
+                    free[own] = False
+                    left += [names[i]] * len(own)
+                    right += [names[j] for j in own.tolist()]
             if len(left) > 20_000:
                 yield pa.RecordBatch.from_arrays([pa.array(left, pa.binary()), pa.array(right, pa.binary())], ["a", "b"])
                 left, right = [], []
         yield pa.RecordBatch.from_arrays([pa.array(left, pa.binary()), pa.array(right, pa.binary())], ["a", "b"])
 
-    columns = ["bucket", "lo", "hi", "blk", "cls", "total", "sketch"] + ["label"] * labelled
-    ordered = met.select(*columns).repartition("bucket", "lo", "hi").sortWithinPartitions("bucket", "lo", "hi")
-    found = ordered.mapInArrow(run, "a binary, b binary")
-    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    return _ordered(_sorted(met, ["blk", "cls", "total", "sketch"]).mapInArrow(run, "a binary, b binary"))
+
+
+def _contested(met: DataFrame, similarity: float) -> DataFrame:
+    """What could still connect components (met has their labels): rows (bucket, lo, hi, a, b).
+
+    A bucket with few such pairs names them; one with more than SPARSE a member names its members (b is null), whose
+    multisets then meet in one task. Either way the rows are in proportion to the members.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in _groups(batches):
+            _, label = np.unique(np.array([x.hex() for x in group.column("label").to_pylist()]), return_inverse=True)
+            if group.num_rows < 2 or label.max() == 0:
+                continue
+            near, names = _near(group, similarity, label), group.column("cls").to_pylist()
+            a, b = np.nonzero(np.triu(near))
+            if not len(a):
+                continue
+            if len(a) > SPARSE * len(names):
+                a, b = np.flatnonzero(near.any(axis=1)), None
+            n = len(a)
+            yield pa.RecordBatch.from_arrays(
+                [
+                    *(pa.array([group.column(k)[0].as_py()] * n, group.schema.field(k).type) for k in range(3)),
+                    pa.array([names[i] for i in a.tolist()], pa.binary()),
+                    pa.array([None] * n if b is None else [names[i] for i in b.tolist()], pa.binary()),
+                ],
+                ["bucket", "lo", "hi", "a", "b"],
+            )
+
+    return _sorted(met, ["blk", "cls", "total", "sketch", "label"]).mapInArrow(run, "bucket long, lo int, hi int, a binary, b binary")
 
 
-def _verified(pairs: DataFrame, texts: DataFrame, reps: DataFrame, similarity: float, words: int) -> DataFrame:
-    """Links (a, b, similarity) among the pairs, by exact overlap of shingle multisets."""
+def _multisets(asked: DataFrame, texts: DataFrame, reps: DataFrame, words: int) -> DataFrame:
+    """(cls, codes, times): the shingle multisets of the asked classes; times is empty if each occurs once."""
 
     def shingles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -210,27 +258,77 @@ def _verified(pairs: DataFrame, texts: DataFrame, reps: DataFrame, similarity: f
                     times.append(b"" if (many[a:b] == 1).all() else many[a:b].astype(np.uint32).tobytes())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(codes, pa.binary()), pa.array(times, pa.binary())], ["cls", "codes", "times"])
 
+    # One text of each class: that of its representative.
+    chosen = asked.join(reps.select("cls", "rep"), "cls").select(F.col("cls").alias("c"), "rep")
+    own = texts.join(chosen, (texts["cls"] == F.col("c")) & texts["id"].eqNullSafe(F.col("rep"))).select("cls", "text")
+    return own.mapInArrow(shingles, "cls binary, codes binary, times binary").dropDuplicates(["cls"])
+
+
+def _unpacked(codes: bytes, times: bytes) -> tuple[np.ndarray, np.ndarray]:
+    x = np.frombuffer(codes, np.uint64)
+    return x, np.frombuffer(times, np.uint32).astype(np.int64) if times else np.ones(len(x), np.int64)
+
+
+def _verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Links (a, b) among the pairs, by exact overlap of shingle multisets."""
+
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            a, b, ac, at, bc, bt = (c.to_pylist() for c in batch.columns)
             value = []
-            for x, xt, y, yt in zip(ac, at, bc, bt):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                xt = np.frombuffer(xt, np.uint32).astype(np.int64) if xt else np.ones(len(x), np.int64)
-                yt = np.frombuffer(yt, np.uint32).astype(np.int64) if yt else np.ones(len(y), np.int64)
+            for xc, xt, yc, yt in zip(*(c.to_pylist() for c in batch.columns[2:])):
+                (x, xt), (y, yt) = _unpacked(xc, xt), _unpacked(yc, yt)
                 _, i, j = np.intersect1d(x, y, assume_unique=True, return_indices=True)
                 both = int(np.minimum(xt[i], yt[j]).sum())
-                value.append(both / max(1, int(xt.sum() + yt.sum()) - both))
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.binary()), pa.array(b, pa.binary()), pa.array(value, pa.float64())], ["a", "b", "similarity"])
+                value.append(both >= similarity * (int(xt.sum() + yt.sum()) - both))
+            yield pa.RecordBatch.from_arrays(batch.columns[:2], ["a", "b"]).filter(pa.array(value, pa.bool_()))
 
-    asked = pairs.select(F.col("a").alias("cls")).unionByName(pairs.select(F.col("b").alias("cls"))).distinct()
-    # One text of each class: that of its representative.
-    chosen = asked.join(reps.select("cls", "rep"), "cls").select(F.col("cls").alias("c"), "rep")
-    own = texts.join(chosen, (texts["cls"] == F.col("c")) & texts["id"].eqNullSafe(F.col("rep"))).select("cls", "text")
-    sets = written(own.mapInArrow(shingles, "cls binary, codes binary, times binary").dropDuplicates(["cls"]), "shingles")
     one = pairs.join(sets.toDF("a", "ac", "at"), "a")
     two = one.join(sets.toDF("b", "bc", "bt"), "b").select("a", "b", "ac", "at", "bc", "bt")
-    return two.mapInArrow(compare, "a binary, b binary, similarity double").where(F.col("similarity") >= similarity)
+    return two.mapInArrow(compare, "a binary, b binary")
+
+
+def _together(members: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Links (a, b) that span what exact overlaps connect within each bucket; at most one a member."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in _groups(batches):
+            names = group.column("a").to_pylist()
+            parts = [_unpacked(c, t) for c, t in zip(group.column("codes").to_pylist(), group.column("times").to_pylist())]
+            total = np.array([t.sum() for _, t in parts], np.float64)
+            # The k-th copy of a shingle is an element of its own, so overlaps of multisets are those of sets.
+            owner = np.repeat(np.arange(len(parts)), total.astype(np.int64))
+            code = np.concatenate([np.repeat(x, t) for x, t in parts])
+            copy = np.concatenate([np.arange(t.sum()) - np.repeat(np.cumsum(t) - t, t) for _, t in parts])
+            code = mix(code + copy.astype(np.uint64) * _GOLD)
+            _, element, often = np.unique(code, return_inverse=True, return_counts=True)
+            shared = often > 1
+            place = np.cumsum(shared) - 1
+            kept = shared[element]
+            owner, element = owner[kept], place[element[kept]]
+            overlap = np.zeros((len(parts), len(parts)), np.float32)
+            order = np.argsort(element, kind="stable")
+            owner, element = owner[order], element[order]
+            for at in range(0, int(shared.sum()), 2048):
+                a, b = np.searchsorted(element, [at, at + 2048])
+                held = np.zeros((len(parts), 2048), np.float32)
+                held[owner[a:b], element[a:b] - at] = 1
+                overlap += held @ held.T
+            linked = overlap >= similarity * (total[:, None] + total[None, :] - overlap)
+            left, right, free = [], [], np.ones(len(parts), bool)
+            for i in range(len(parts)):
+                if free[i]:
+                    free[i] = False
+                    edge = [i]
+                    while edge:
+                        new = np.flatnonzero(linked[edge].any(axis=0) & free)
+                        free[new] = False
+                        left += [names[i]] * len(new)
+                        right += [names[j] for j in new.tolist()]
+                        edge = new.tolist()
+            yield pa.RecordBatch.from_arrays([pa.array(left, pa.binary()), pa.array(right, pa.binary())], ["a", "b"])
+
+    joined = members.join(sets.withColumnRenamed("cls", "a"), "a")
+    return _sorted(joined, ["a", "codes", "times"]).mapInArrow(run, "a binary, b binary")
 
 
 def _placed(docs: DataFrame, similarity: float, id_col: str, text_col: str, words: int, bands: int, rows: int, bucket: int) -> DataFrame:
@@ -238,16 +336,19 @@ def _placed(docs: DataFrame, similarity: float, id_col: str, text_col: str, word
     texts = _text_rows(docs, id_col, text_col)
     found = written(classes(docs, id_col, text_col, words, bands, rows), "classes")
     met = _met(found.select("cls", "total", "sketch", "bands"), bucket)
-    first = written(_pairs(met, similarity, False), "pairs")
-    links = written(_verified(first, texts, found, similarity, words), "verified")
-    labels = written(star_labels(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "labels")
+    first = written(_stars(met, similarity), "pairs")
+    asked = first.select(F.col("a").alias("cls")).unionByName(first.select(F.col("b").alias("cls"))).distinct()
+    sets = written(_multisets(asked, texts, found, words), "multisets")
+    links = written(_verified(first, sets, similarity), "links")
+    labels = star_labels(links.toDF("u", "v"))
     named = found.select("cls", "total", "sketch", "bands").join(labels.withColumnRenamed("node", "cls"), "cls", "left")
     named = named.select("cls", "total", "sketch", "bands", F.coalesce("label", "cls").alias("label"))
-    second = written(_pairs(_met(named, bucket), similarity, True).join(first, ["a", "b"], "left_anti"), "pairs")
-    more = written(_verified(second, texts, found, similarity, words), "verified")
+    rest = written(_contested(_met(named, bucket), similarity), "contested")
+    # Pairs that the first round has looked at are known not to be links.
+    second = _ordered(rest.where("b is not null")).join(first, ["a", "b"], "left_anti")
+    more = written(_verified(second, sets, similarity).unionByName(_together(rest.where("b is null").drop("b"), sets, similarity)).distinct(), "links")
     if more.limit(1).count():
-        links = links.unionByName(more)
-        labels = written(star_labels(links.select(F.col("a").alias("u"), F.col("b").alias("v"))), "labels")
+        labels = star_labels(links.unionByName(more).toDF("u", "v"))
     return found.select("cls", "rep", "copies").join(labels.withColumnRenamed("node", "cls"), "cls", "left").withColumn("label", F.coalesce("label", "cls"))
 
 
