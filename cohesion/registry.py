@@ -2,5 +2,155 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .graph import degrees, to_undirected
+from .operators import cliques as C
+from .operators import measures as M
+from .operators import percolation as P
+from .operators import split as S
+from .operators.components import components
+from .plans import oracle as O
+from .sources import builders as B
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
+
+
+def query(name: str, make: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
+    QUERIES[f"q_{name}"] = make
+    if sql:
+        ORACLES[f"q_{name}"] = sql
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Communities of the monthly co-purchase graph at k = 4, by splitting, solving pieces and merging."""
+    return P.communities(S.percolate_split(B.copurchase(spark, sf_dir, "month"), 4, "bfs", size_limit=25, n_seeds=4))
+
+
+GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "copurchase_month": lambda s, d: B.copurchase(s, d, "month"),
+    "copurchase_quarter": lambda s, d: B.copurchase(s, d, "quarter"),
+    "copurchase_year": lambda s, d: B.copurchase(s, d, "year"),
+    "copurchase_repeat": B.copurchase_repeat,
+    "cosupply": B.cosupply,
+    "word_assoc": B.word_assoc,
+    "user_follow": B.follow_links,
+    "user_follow_arcs": B.user_follow,
+    "near_copy": B.near_copies,
+    "cosine": B.cosine_links,
+    "nav": B.nav_links,
+    "no_clique": B.customer_parts,
+    "by_region": B.by_region,
+}
+for _name, _make in GRAPHS.items():
+    query(f"edges_{_name}", _make, B.SQL[_name])
+
+MONTH, QUARTER, REPEAT = (B.SQL[f"copurchase_{w}"] for w in ("month", "quarter", "repeat"))
+month, quarter, repeat = (GRAPHS[f"copurchase_{w}"] for w in ("month", "quarter", "repeat"))
+_ENDS = f"(SELECT src AS vid FROM ({MONTH}) UNION ALL SELECT dst FROM ({MONTH}))"
+
+# ---- graph figures
+query("graph_size", lambda s, d: M.graph_size(month(s, d)), f"SELECT (SELECT count(DISTINCT vid) FROM {_ENDS}) AS n, (SELECT count(*) FROM ({MONTH})) AS m")
+query("degrees", lambda s, d: degrees(month(s, d)), f"SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid")
+_DEG = f"SELECT degree, count(*) AS n FROM (SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid) GROUP BY degree"
+query("degree_ccdf", lambda s, d: M.degree_distribution(month(s, d)), f"SELECT degree, n AS n_vertices, CAST(sum(n) OVER (ORDER BY degree DESC) AS BIGINT) AS at_least FROM ({_DEG})")
+_TRI = f"WITH {O.cliques(MONTH, 3)}, t AS (SELECT vid, count(*) AS triangles FROM (SELECT unnest([m1, m2, m3]) AS vid FROM cl) GROUP BY vid)"
+query("triangles", lambda s, d: M.triangles(month(s, d)), f"{_TRI} SELECT * FROM t")
+query("clustering", lambda s, d: M.clustering(month(s, d)), f"{_TRI}, g AS (SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid) SELECT count(*) AS vertices, round(avg(coalesce(triangles, 0) * 2.0 / (degree * (degree - 1))), 6) AS clustering FROM g LEFT JOIN t USING (vid) WHERE degree > 1")
+query("link_support", lambda s, d: M.link_support(month(s, d)), f"WITH {O.cliques(MONTH, 3)} SELECT src, dst, count(*) AS support FROM (SELECT m1 AS src, m2 AS dst FROM cl UNION ALL SELECT m1, m3 FROM cl UNION ALL SELECT m2, m3 FROM cl) GROUP BY ALL")
+query("mutual", lambda s, d: to_undirected(B.user_follow(s, d), "mutual"), f"WITH a AS ({B.SQL['user_follow_arcs']}) SELECT x.src, x.dst, CAST(2 AS BIGINT) AS weight FROM a x JOIN a y ON x.src = y.dst AND x.dst = y.src WHERE x.src < x.dst")
+
+# ---- cliques
+for _k in (3, 4, 5):
+    query(f"kcliques_{_k}", lambda s, d, k=_k: C.k_cliques(month(s, d), k).select(C.name().alias("members")), f"WITH {O.cliques(MONTH, _k)} SELECT concat_ws('-', {', '.join(f'm{i}' for i in range(1, _k + 1))}) AS members FROM cl")
+_MAXIMAL = (
+    "WITH RECURSIVE e AS ({edges}), n AS (SELECT src AS v, dst AS w FROM e UNION ALL SELECT dst, src FROM e), nl AS (SELECT v, list(w) AS ws FROM n GROUP BY v), "
+    "g(members, common) AS (SELECT [v], ws FROM nl UNION ALL SELECT list_append(g.members, x.c), list_intersect(g.common, nl.ws) FROM (SELECT members, common, unnest(common) AS c FROM g) x JOIN g ON g.members = x.members JOIN nl ON nl.v = x.c WHERE x.c > x.members[-1]), "
+    "mx AS (SELECT DISTINCT list_sort(members) AS members FROM g WHERE len(common) = 0)"
+)
+query("maximal_cliques_repeat", lambda s, d: C.maximal_cliques(repeat(s, d)).select(C.name().alias("members")), _MAXIMAL.format(edges=REPEAT) + " SELECT array_to_string(members, '-') AS members FROM mx")
+query("maximal_cliques_frontier", lambda s, d: C.maximal_cliques(repeat(s, d), 2, "frontier").select(C.name().alias("members")), ORACLES["q_maximal_cliques_repeat"])
+query("maximal_cliques_month", lambda s, d: C.maximal_cliques(month(s, d)).select(C.name().alias("members")), _MAXIMAL.format(edges=MONTH) + " SELECT array_to_string(members, '-') AS members FROM mx")
+query("clique_histogram", lambda s, d: C.maximal_cliques(month(s, d)).groupBy(F.size("members").cast("long").alias("size")).agg(F.count("*").alias("n")), _MAXIMAL.format(edges=MONTH) + " SELECT len(members) AS size, count(*) AS n FROM mx GROUP BY ALL")
+_OVER = ", ov AS (SELECT array_to_string(a.members, '-') AS ca, array_to_string(b.members, '-') AS cb, len(list_intersect(a.members, b.members)) AS shared FROM mx a, mx b WHERE a.members < b.members AND len(list_intersect(a.members, b.members)) >= 2) SELECT least(ca, cb) AS ci, greatest(ca, cb) AS cj, CAST(shared AS BIGINT) AS shared FROM ov"
+query("clique_overlaps", lambda s, d: C.clique_overlaps(C.maximal_cliques(month(s, d), 3), 2).select("ci", "cj", F.col("shared").cast("long").alias("shared")), _MAXIMAL.format(edges=MONTH) + _OVER)
+query("threshold_graph_k4", lambda s, d: (lambda c: C.threshold_graph(c, C.clique_overlaps(c, 3), 4)[1].select("ci", "cj", F.col("shared").cast("long").alias("shared")))(C.maximal_cliques(month(s, d), 4)), _MAXIMAL.format(edges=MONTH) + _OVER + " WHERE shared >= 3")
+_CC = "WITH RECURSIVE e AS ({edges}), l AS (SELECT src AS a, dst AS b FROM e UNION SELECT dst, src FROM e), cc(id, lab) USING KEY (id) AS (SELECT DISTINCT a AS id, a AS lab FROM l UNION (SELECT l.b AS id, min(c.lab) AS lab FROM cc c JOIN l ON l.a = c.id JOIN recurring.cc r ON r.id = l.b WHERE c.lab < r.lab GROUP BY l.b)) SELECT id AS node, lab AS label FROM cc"
+for _m in ("star", "minlabel", "twophase"):
+    query(f"components_{_m}", lambda s, d, m=_m: components(month(s, d).select(F.col("src").alias("u"), F.col("dst").alias("v")), method=m), _CC.format(edges=MONTH))
+
+# ---- communities
+_CASES = [("month", 3), ("month", 4), ("month", 5), ("quarter", 4), ("repeat", 3)]
+for _w, _k in _CASES:
+    query(f"percolate_{_w}_k{_k}", lambda s, d, w=_w, k=_k: P.communities(P.percolate(GRAPHS[f"copurchase_{w}"](s, d), k)), O.communities(B.SQL[f"copurchase_{_w}"], _k))
+for _g, _k in (("near_copy", 3), ("user_follow", 3), ("user_follow", 4), ("cosine", 3)):
+    query(f"percolate_{_g}_k{_k}", lambda s, d, g=_g, k=_k: P.communities(P.percolate(GRAPHS[g](s, d), k)), O.communities(B.SQL[_g], _k))
+query("percolate_cosupply_k3", lambda s, d: P.communities(P.percolate(B.cosupply(s, d), 3)))
+query("percolate_no_clique", lambda s, d: P.communities(P.percolate(B.customer_parts(s, d), 3, "kclique")), "SELECT CAST(3 AS BIGINT) AS k, '' AS community_key, CAST(0 AS BIGINT) AS size WHERE false")
+_M4 = O.communities(MONTH, 4)
+query("membership_month_k4", lambda s, d: P.membership(P.percolate(month(s, d), 4)), O.over(MONTH, 4, "SELECT CAST(4 AS BIGINT) AS k, community_key, vid FROM mem"))
+query("percolate_all_month", lambda s, d: P.communities(P.percolate_all(month(s, d), 3, 5)), " UNION ALL ".join(f"SELECT * FROM ({O.communities(MONTH, k)})" for k in (3, 4, 5)))
+query("percolate_printed", lambda s, d: P.communities(P.percolate(month(s, d), 3, convention="printed")), O.communities(MONTH, 4, shown_k=3))
+query("percolate_kclique", lambda s, d: P.communities(P.percolate(month(s, d), 4, "kclique")), _M4)
+query("percolate_serial", lambda s, d: P.communities(P.percolate_local(month(s, d), 4)), _M4)
+query("percolate_by_region", lambda s, d: P.communities(P.percolate_by_part(B.by_region(s, d), "part", 3), "part"), O.communities(B.SQL["by_region"], 3, "part"))
+query("percolate_weighted", lambda s, d: P.communities(P.percolate_weighted(B.copurchase_repeat(s, d, 1), 3, 2)), O.communities(REPEAT, 3))
+query("percolate_directed_k3", lambda s, d: P.communities(P.percolate_directed(B.user_follow(s, d), 3)))
+query("percolate_intensity", lambda s, d: P.communities(P.percolate_intensity(B.follow_links(s, d), 3, 1.2)))
+_PROFILE = " UNION ALL ".join(f"SELECT * FROM ({O.over(MONTH, k, f'SELECT CAST({k} AS BIGINT) AS k, * FROM (SELECT count(*) AS n_communities, max(size) AS largest, coalesce(list_sort(list(size), ' + chr(39) + 'DESC' + chr(39) + f')[2], 0) AS second FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL)), (SELECT count(DISTINCT vid) AS covered FROM mem)')})" for k in (3, 4, 5))
+query("k_profile", lambda s, d: P.k_profile(P.percolate_all(month(s, d), 3, 5)), _PROFILE)
+query("suggest_k", lambda s, d: P.suggest_k(P.percolate_all(month(s, d), 3, 5)), f"SELECT coalesce(min(CASE WHEN largest < 0.5 * covered THEN k END), max(k)) AS k FROM ({_PROFILE})")
+query("uncovered", lambda s, d: P.uncovered(month(s, d), P.percolate(month(s, d), 4)), O.over(MONTH, 4, "SELECT DISTINCT vid FROM (SELECT src AS vid FROM e UNION ALL SELECT dst FROM e) WHERE vid NOT IN (SELECT vid FROM mem)"))
+query("diagnose", lambda s, d: P.diagnose(month(s, d), P.percolate_all(month(s, d), 3, 5)))
+
+# ---- locality: the cover before and after the least link goes, by update and anew
+_LEAST = f"(SELECT src, dst FROM ({MONTH}) ORDER BY src, dst LIMIT 1)"
+
+
+def _locality(s: SparkSession, d: str) -> DataFrame:
+    edges = month(s, d)
+    gone = edges.select("src", "dst").orderBy("src", "dst").limit(1)
+    return P.communities(P.update_cover(edges, P.percolate(edges, 3), 3, removed=gone)[1])
+
+
+query("locality_after", _locality, O.communities(f"SELECT * FROM ({MONTH}) WHERE (src, dst) NOT IN {_LEAST}", 3))
+
+# ---- split, solve, merge
+_mod = lambda s, d, n=4: S.owners(month(s, d), "mod", n)
+_OWN = f"ed AS ({MONTH}), n AS (SELECT src AS a, dst AS b FROM ed UNION ALL SELECT dst, src FROM ed), own AS (SELECT DISTINCT a AS vid, a % 4 AS piece FROM n), pv AS (SELECT piece, vid, bool_or(o) AS owned FROM (SELECT piece, vid, true AS o FROM own UNION ALL SELECT o.piece, n.b, false FROM n JOIN own o ON o.vid = n.a) GROUP BY ALL), pe AS (SELECT x.piece, src, dst FROM ed JOIN pv x ON x.vid = src JOIN pv y ON y.vid = dst AND y.piece = x.piece)"
+query("split_owner_mod", lambda s, d: _mod(s, d), f"WITH {_OWN} SELECT * FROM own")
+query("halo_pieces", lambda s, d: S.pieces_of(month(s, d), _mod(s, d))[0], f"WITH {_OWN} SELECT * FROM pv")
+query("piece_links", lambda s, d: S.pieces_of(month(s, d), _mod(s, d))[1], f"WITH {_OWN} SELECT * FROM pe")
+query("boundary", lambda s, d: S.boundary(month(s, d), _mod(s, d)), f"WITH {_OWN} SELECT src, dst, src % 4 AS p, dst % 4 AS q FROM ed WHERE src % 4 <> dst % 4")
+query("hypergraph", lambda s, d: S.hypergraph(*S.pieces_of(month(s, d), _mod(s, d))), f"WITH {_OWN}, v AS (SELECT a.piece AS p, b.piece AS q, count(*) AS shared_vertices FROM pv a JOIN pv b ON a.vid = b.vid AND a.piece < b.piece GROUP BY ALL), l AS (SELECT a.piece AS p, b.piece AS q, count(*) AS shared_links FROM pe a JOIN pe b ON a.src = b.src AND a.dst = b.dst AND a.piece < b.piece GROUP BY ALL) SELECT p, q, shared_vertices, coalesce(shared_links, 0) AS shared_links FROM v LEFT JOIN l USING (p, q)")
+query("replication", lambda s, d: S.replication(*S.pieces_of(month(s, d), _mod(s, d))), f"WITH {_OWN} SELECT (SELECT count(*) FROM pv) AS vertex_copies, (SELECT count(DISTINCT vid) FROM pv) AS vertices, (SELECT count(*) FROM pe) AS link_copies, (SELECT count(*) FROM (SELECT DISTINCT src, dst FROM pe)) AS links")
+query("coverage_halo", lambda s, d: S.coverage(month(s, d), S.pieces_of(month(s, d), _mod(s, d))[1]), f"SELECT count(*) AS links, CAST(0 AS BIGINT) AS lost FROM ({MONTH})")
+query("coverage_none", lambda s, d: S.coverage(month(s, d), S.pieces_of(month(s, d), _mod(s, d), "none")[1]), f"SELECT count(*) AS links, count(*) FILTER (WHERE src % 4 <> dst % 4) AS lost FROM ({MONTH})")
+query("bfs_split", lambda s, d: S.bfs_owners(month(s, d), 25, 4))
+query("piece_stats", lambda s, d: S.piece_stats(S.pieces_of(month(s, d), S.bfs_owners(month(s, d), 25, 4))[0]))
+for _rule, _kw in (("hash", {"parts": 4}), ("range", {"parts": 4}), ("components", {}), ("bfs", {"size_limit": 25, "n_seeds": 4})):
+    query(f"percolate_split_{_rule}_k4", lambda s, d, r=_rule, kw=_kw: P.communities(S.percolate_split(month(s, d), 4, r, **kw)), _M4)
+query("percolate_split_bfs_k3", lambda s, d: P.communities(S.percolate_split(month(s, d), 3, "bfs", size_limit=25, n_seeds=4)), O.communities(MONTH, 3))
+query("percolate_split_keyed", lambda s, d: P.communities(S.percolate_split(month(s, d), 4, "hash", "keyed", parts=4)), _M4)
+for _m in ("overlap", "kclique", "hyperlink"):
+    query(f"merge_{_m}", lambda s, d, m=_m: P.communities(S.percolate_split(month(s, d), 4, "mod", method=m, parts=4)), _M4)
+query("exactness", lambda s, d: S.cover_diff(P.percolate(month(s, d), 4), S.percolate_split(month(s, d), 4, "mod", parts=4)).agg(F.count("*").alias("differing")), "SELECT CAST(0 AS BIGINT) AS differing")
+query("closure_ablation", lambda s, d: S.cover_diff(P.percolate(month(s, d), 3), S.percolate_split(month(s, d), 3, "mod", closure="none", parts=4)).groupBy("side").agg(F.count("*").alias("rows")))
+
+# ---- measures of covers
+_m4 = lambda s, d: P.percolate(month(s, d), 4)
+query("cover_stats", lambda s, d: M.cover_stats(_m4(s, d)), f"SELECT size, count(*) AS n_communities FROM ({_M4}) GROUP BY ALL")
+query("overlap_vertices", lambda s, d: M.overlap_vertices(_m4(s, d)), O.over(MONTH, 4, "SELECT vid, count(*) AS n FROM mem GROUP BY vid HAVING count(*) > 1"))
+query("community_graph", lambda s, d: M.community_graph(P.percolate(month(s, d), 3)), O.over(MONTH, 3, "SELECT x.community_key AS a, y.community_key AS b, count(*) AS shared FROM mem x JOIN mem y ON x.vid = y.vid AND x.community_key < y.community_key GROUP BY ALL"))
+query("density", lambda s, d: M.density(month(s, d), _m4(s, d)), O.over(MONTH, 4, "SELECT community_key, size, links, round(2.0 * links / (size * (size - 1)), 6) AS density FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL) JOIN (SELECT x.community_key, count(*) AS links FROM e JOIN mem x ON x.vid = src JOIN mem y ON y.vid = dst AND y.community_key = x.community_key GROUP BY ALL) USING (community_key)"))
+query("nesting", lambda s, d: M.nesting(P.percolate_all(month(s, d), 3, 5)))
+query("cover_vs_labels", lambda s, d: M.cover_vs_labels(P.percolate(B.cosine_links(s, d), 3), B.load_table(s, d, "embeddings").select(F.col("vec_id").alias("vid"), "label")), O.over(B.SQL["cosine"], 3, "SELECT count(*) AS communities, round(sum(top) / sum(n), 6) AS purity FROM (SELECT community_key, max(n) AS top, sum(n) AS n FROM (SELECT community_key, label, count(*) AS n FROM mem JOIN embeddings ON vec_id = vid GROUP BY ALL) GROUP BY ALL)"))
+query("modularity", lambda s, d: M.modularity(month(s, d), components(month(s, d).select(F.col("src").alias("u"), F.col("dst").alias("v"))).toDF("vid", "label")))
+query("label_propagation", lambda s, d: M.label_propagation(month(s, d)))
+query("rewired", lambda s, d: P.communities(P.percolate(M.rewire(month(s, d)), 3)))
+query("random_graph", lambda s, d: P.communities(P.percolate(M.gnm(month(s, d)), 3)))
+query("ensemble_stability", lambda s, d: M.cover_similarity(P.percolate(month(s, d), 3), P.percolate(M.rewire(month(s, d)), 3)))
