@@ -273,14 +273,16 @@ def _verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame
     """Links (a, b) among the pairs, by exact overlap of shingle multisets."""
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            value = []
-            for xc, xt, yc, yt in zip(*(c.to_pylist() for c in batch.columns[2:])):
-                (x, xt), (y, yt) = _unpacked(xc, xt), _unpacked(yc, yt)
-                _, i, j = np.intersect1d(x, y, assume_unique=True, return_indices=True)
-                both = int(np.minimum(xt[i], yt[j]).sum())
-                value.append(both >= similarity * (int(xt.sum() + yt.sum()) - both))
-            yield pa.RecordBatch.from_arrays(batch.columns[:2], ["a", "b"]).filter(pa.array(value, pa.bool_()))
+        for whole in batches:
+            # Few rows at a time are copied out of a batch.
+            for batch in (whole.slice(at, 256) for at in range(0, whole.num_rows, 256)):
+                value = []
+                for xc, xt, yc, yt in zip(*(c.to_pylist() for c in batch.columns[2:])):
+                    (x, xt), (y, yt) = _unpacked(xc, xt), _unpacked(yc, yt)
+                    _, i, j = np.intersect1d(x, y, assume_unique=True, return_indices=True)
+                    both = int(np.minimum(xt[i], yt[j]).sum())
+                    value.append(both >= similarity * (int(xt.sum() + yt.sum()) - both))
+                yield pa.RecordBatch.from_arrays(batch.columns[:2], ["a", "b"]).filter(pa.array(value, pa.bool_()))
 
     one = pairs.join(sets.toDF("a", "ac", "at"), "a")
     two = one.join(sets.toDF("b", "bc", "bt"), "b").select("a", "b", "ac", "at", "bc", "bt")
@@ -294,7 +296,7 @@ def _together(members: DataFrame, sets: DataFrame, similarity: float) -> DataFra
         for group in _groups(batches):
             names = group.column("a").to_pylist()
             parts = [_unpacked(c, t) for c, t in zip(group.column("codes").to_pylist(), group.column("times").to_pylist())]
-            total = np.array([t.sum() for _, t in parts], np.float64)
+            total = np.array([t.sum() for _, t in parts], np.float32)
             # The k-th copy of a shingle is an element of its own, so overlaps of multisets are those of sets.
             owner = np.repeat(np.arange(len(parts)), total.astype(np.int64))
             code = np.concatenate([np.repeat(x, t) for x, t in parts])

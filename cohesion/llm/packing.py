@@ -28,7 +28,7 @@ from ..session import written
 WINDOW = 2048
 END_ID = 1
 #: A worker keeps the ids of so many words at most; beyond that it starts its table anew.
-WORDS_KEPT = 1_000_000
+WORDS_KEPT = 350_000
 #: Then it keeps those of up to so many letters, which come again most.
 SHORT = 9
 
