@@ -67,6 +67,8 @@ class Model:
 
     def scores(self, texts: pa.Array) -> np.ndarray:
         """Probability of each class, a row for each text."""
+        if not self.classes:
+            return np.zeros((len(texts), 0))
         out = []
         for first, end, data, offsets in chunks(texts):
             m, k = end - first, len(self.classes)
