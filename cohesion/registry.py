@@ -154,3 +154,20 @@ query("label_propagation", lambda s, d: M.label_propagation(month(s, d)))
 query("rewired", lambda s, d: P.communities(P.percolate(M.rewire(month(s, d)), 3)))
 query("random_graph", lambda s, d: P.communities(P.percolate(M.gnm(month(s, d)), 3)))
 query("ensemble_stability", lambda s, d: M.cover_similarity(P.percolate(month(s, d), 3), P.percolate(M.rewire(month(s, d)), 3)))
+
+# ---- experiments and user operators
+from .functions import sqlapi as Q  # noqa: E402
+from .plans import experiments as X  # noqa: E402
+from .streaming import links as T  # noqa: E402
+
+query("sweep_size_limit", lambda s, d: X.sweep_size_limit(month(s, d), 4, [10, 25, 100]))
+query("serial_vs_split", lambda s, d: X.serial_vs_split(quarter(s, d), 4))
+query("border_experiment", lambda s, d: X.border_experiment(month(s, d), 4).select("owners", "differing"), "SELECT CAST(unnest([2, 4, 8]) AS INTEGER) AS owners, CAST(0 AS BIGINT) AS differing")
+query("closure_experiment", lambda s, d: X.closure_ablation(month(s, d), 3))
+query("inter_community_links", lambda s, d: Q.inter_community_links(month(s, d), _m4(s, d)), O.over(MONTH, 4, "SELECT src, dst FROM e WHERE src IN (SELECT vid FROM mem) AND dst IN (SELECT vid FROM mem) AND NOT EXISTS (SELECT 1 FROM mem x JOIN mem y ON x.community_key = y.community_key WHERE x.vid = src AND y.vid = dst)"))
+query("rollup_cover", lambda s, d: P.communities(P.percolate_all(month(s, d), 3, 5)).rollup("k", "size").agg(F.count("*").alias("n")).select(F.coalesce("k", F.lit(-1)).alias("k"), F.coalesce("size", F.lit(-1)).alias("size"), "n"), " ".join(["SELECT coalesce(k, -1) AS k, coalesce(size, -1) AS size, n FROM (SELECT k, size, count(*) AS n FROM (", " UNION ALL ".join(f"SELECT * FROM ({O.communities(MONTH, k)})" for k in (3, 4, 5)), ") GROUP BY ROLLUP (k, size))"]))
+_ts = lambda s, d: B.load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+query("window_activity", lambda s, d: T.windowed_activity(_ts(s, d)).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n"), "SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY ALL")
+query("session_users", lambda s, d: T.sessions(_ts(s, d)).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("events")), "SELECT user_id, count(*) FILTER (WHERE fresh) AS sessions, count(*) AS events FROM (SELECT user_id, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 30 MINUTE, true) AS fresh FROM events) GROUP BY user_id")
+query("topk_per_k", lambda s, d: P.communities(P.percolate(month(s, d), 4)).orderBy(F.desc("size"), "community_key").limit(5), f"SELECT * FROM ({_M4}) ORDER BY size DESC, community_key LIMIT 5")
+query("json_props", lambda s, d: B.load_table(s, d, "events").groupBy(F.substring("props", 1, 2).alias("head")).agg(F.count("*").alias("n")), "SELECT substring(props, 1, 2) AS head, count(*) AS n FROM events GROUP BY ALL")
