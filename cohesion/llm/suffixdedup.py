@@ -6,7 +6,7 @@
 2. Runs with a repeated name are folded where they are equal byte by byte, with their number.
 3. Different runs are dealt by name to shards of bounded size. A shard has a suffix array by Larsson-Sadakane refinement
    (groups of suffixes equal so far are sorted by the rank at double the depth, until the depth covers a window), with
-   common prefixes by Kasai's method. A window is repeated if a neighbour in suffix order shares 200 bytes with it.
+   the common prefixes of neighbours (see common_prefixes). A window is repeated if a neighbour in suffix order shares 200 bytes with it.
 4. A name with more runs than one shard holds is spread over several, and these are merged by binary search: the
    windows of one are looked up among the sorted windows of another. Names with more than HOT runs are compared by
    128-bit hashes of their windows instead, which meet by a plain aggregate, so no name is gathered in one task.
@@ -118,8 +118,9 @@ def suffix_array(data: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
 def common_prefixes(data: np.ndarray, order: np.ndarray, most: int, stops: np.ndarray) -> np.ndarray:
     """Common prefix of each suffix with the one before it in order, up to `most` and not over a piece's end (stops).
 
-    Kasai's bound (the next suffix's common prefix is at most one shorter) orders the work by text position; here all
-    positions step at once, and a position only goes on while its bytes agree.
+    The values are those of Kasai's algorithm, cut at `most`. Its carry from one text position to the next can't be
+    vectorised, so all positions step at once over eight bytes, and one only goes on while its bytes agree: the work is
+    bounded by most/8 steps, since no longer prefix matters here.
     """
     n = len(order)
     out = np.zeros(n, np.int64)
