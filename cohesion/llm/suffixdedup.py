@@ -5,8 +5,8 @@
    bytes. Names that occur once in the corpus need no further look.
 2. Runs with a repeated name are folded where they are equal byte by byte, with their number.
 3. Different runs are dealt by name to shards of bounded size. A shard has a suffix array by Larsson-Sadakane refinement
-   (groups of suffixes equal so far are sorted by the rank at double the depth, until the depth covers a window), with
-   the common prefixes of neighbours (see common_prefixes). A window is repeated if a neighbour in suffix order shares 200 bytes with it.
+   (groups of suffixes equal so far are sorted by the rank at double the depth, until all differ), with the common
+   prefixes of neighbours by Kasai's algorithm. A window is repeated if a neighbour in suffix order shares 200 bytes with it.
 4. A name with more runs than one shard holds is spread over several, and these are merged by binary search: the
    windows of one are looked up among the sorted windows of another. Names with more than HOT runs are compared by
    128-bit hashes of their windows instead, which meet by a plain aggregate, so no name is gathered in one task.
@@ -35,6 +35,8 @@ ANCHOR = 32
 SHARD_BYTES = 1 << 20
 #: Different runs of one name that are compared within one task.
 HOT = 20_000
+#: Bytes of text that one walker of the common prefixes passes.
+SEGMENT = 64
 
 
 def _sliding(x: np.ndarray, width: int, op) -> np.ndarray:
@@ -115,32 +117,36 @@ def suffix_array(data: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
     return order, rank[:n]
 
 
-def common_prefixes(data: np.ndarray, order: np.ndarray, most: int, stops: np.ndarray) -> np.ndarray:
-    """Common prefix of each suffix with the one before it in order, up to `most` and not over a piece's end (stops).
+def common_prefixes(data: np.ndarray, order: np.ndarray, most: int, segment: int = SEGMENT) -> np.ndarray:
+    """Common prefix of each suffix with the one before it in a complete suffix order, up to `most`, by Kasai's algorithm.
 
-    The values are those of Kasai's algorithm, cut at `most`. Its carry from one text position to the next can't be
-    vectorised, so all positions step at once over eight bytes, and one only goes on while its bytes agree: the work is
-    bounded by most/8 steps, since no longer prefix matters here.
+    The algorithm walks the text: the next position shares at most one byte less with its own predecessor, so each starts
+    from what the last one had. Here every segment of the text is walked by its own walker, all in lockstep, eight
+    bytes a comparison; only the first position of a segment starts from nothing.
     """
     n = len(order)
-    out = np.zeros(n, np.int64)
     if n < 2:
-        return out
-    a, b = order[1:], order[:-1]
-    room = np.minimum(np.minimum(stops[a] - a, stops[b] - b), most)
-    words = np.zeros(len(data) + 8, np.uint8)
-    words[: len(data)] = data
-    eight = np.lib.stride_tricks.sliding_window_view(words, 8)
-    eight = np.ascontiguousarray(eight).view(np.uint64)[:, 0]
-    live = np.arange(n - 1)
-    have = np.zeros(n - 1, np.int64)
-    while len(live):
-        left = eight[a[live] + have[live]] ^ eight[b[live] + have[live]]
-        same = np.where(left == 0, 8, _zero_bytes(left))
-        have[live] = np.minimum(have[live] + same, room[live])
-        live = live[(same == 8) & (have[live] < room[live])]
-    out[1:] = have
-    return out
+        return np.zeros(n, np.int64)
+    before = np.full(n, -1, np.int64)
+    before[order[1:]] = order[:-1]
+    padded = np.zeros(n + 8, np.uint8)
+    padded[:n] = data
+    eight = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(padded, 8)).view(np.uint64)[:, 0]
+    shared = np.zeros(n, np.int64)
+    have = np.zeros(-(-n // segment), np.int64)
+    for step in range(min(segment, n)):
+        at = np.arange(step, n, segment)
+        other = before[at]
+        room = np.where(other < 0, 0, np.minimum(most, n - np.maximum(at, other)))
+        have = np.minimum(np.maximum(have[: len(at)] - 1, 0), room)
+        live = np.flatnonzero(have < room)
+        while len(live):
+            left = eight[at[live] + have[live]] ^ eight[other[live] + have[live]]
+            same = np.where(left == 0, 8, _zero_bytes(left))
+            have[live] = np.minimum(have[live] + same, room[live])
+            live = live[(same == 8) & (have[live] < room[live])]
+        shared[at] = have
+    return shared[order]
 
 
 def _zero_bytes(x: np.ndarray) -> np.ndarray:
@@ -158,13 +164,14 @@ class Shard:
         self.starts = self.ends - sizes
         self.length = length
         stops = np.repeat(self.ends, sizes)
-        # Only whole windows stand in the order: a suffix cut short by its piece's end could part two equal ones.
-        order, _ = suffix_array(self.data, length)
-        self.order = order[stops[order] - order >= length]
-        lcp = common_prefixes(self.data, self.order, length, stops)
-        full = lcp >= length
-        both = full.copy()
-        both[:-1] |= full[1:]
+        order, _ = suffix_array(self.data, len(self.data))
+        # Whole windows are equal if no suffix from one to the other parts with its neighbour within their length.
+        group = np.cumsum(common_prefixes(self.data, order, length) < length)
+        whole = stops[order] - order >= length
+        self.order, group = order[whole], group[whole]
+        both = np.zeros(len(group), bool)
+        both[1:] = group[1:] == group[:-1]
+        both[:-1] |= both[1:].copy()
         self.repeated = np.zeros(len(self.data), bool)
         self.repeated[self.order[both]] = True
 

@@ -77,6 +77,16 @@ def test_suffix_array_and_merge():
     text = bytes(rng.choice(b"ab") for _ in range(300))
     order, _ = suffixdedup.suffix_array(np.frombuffer(text, np.uint8), 512)
     assert order.tolist() == sorted(range(300), key=lambda i: text[i:])
+    for data in (text, b"a" * 300, text[:90] * 3, b"\0" * 100 + b"a"):
+        raw = np.frombuffer(data, np.uint8)
+        order, _ = suffixdedup.suffix_array(raw, len(data))
+        shared = [0] + [next((k for k in range(40) if data[a + k : a + k + 1] != data[b + k : b + k + 1] or a + k == len(data)), 40) for a, b in zip(order.tolist(), order[1:].tolist())]
+        assert suffixdedup.common_prefixes(raw, order, 40, 16).tolist() == shared
+    pieces = [text[:120], text[60:200], b"b" + text[80:120] + b"a" * 50, text[200:]]
+    held = collections.Counter(p[i : i + 40] for p in pieces for i in range(len(p) - 39))
+    shard = suffixdedup.Shard(pieces, 40)
+    want = [held[p[i : i + 40]] > 1 if i + 40 <= len(p) else False for p in pieces for i in range(len(p))]
+    assert shard.repeated.tolist() == want
     one, two = suffixdedup.Shard([text[:250]], 40), suffixdedup.Shard([text[100:]], 40)
     one.merge(two)
     assert one.repeated[100:211].all() and two.repeated[:111].all()
