@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import written
-from .textvec import chunks, mix
+from .textvec import chunks, give_back, mix
 
 LENGTH = 200
 ANCHOR = 32
@@ -262,6 +262,7 @@ def _name_runs(rows: DataFrame, length: int) -> DataFrame:
                     [pa.array(name.view(np.int64)), batch.column(0).take(at), batch.column(1).take(at), pa.array((a - offsets[doc]).astype(np.int32)), pa.array((b - offsets[doc]).astype(np.int32)), pa.array(own)],
                     ["name", "k1", "k2", "a", "b", "own"],
                 )
+        give_back()
 
     return rows.mapInArrow(run, "name long, k1 long, k2 long, a int, b int, own boolean")
 
@@ -279,6 +280,7 @@ def _pieces(candidates: DataFrame, length: int) -> DataFrame:
                     [pa.array(np.full(n, k1.as_py())), pa.array(np.full(n, k2.as_py())), pa.array(name), pa.array(a), pa.array(parts, pa.binary()), pa.array([hashlib.md5(p).digest() for p in parts], pa.binary())],
                     ["k1", "k2", "name", "a", "piece", "pid"],
                 )
+        give_back()
 
     return candidates.mapInArrow(run, "k1 long, k2 long, name long, a int, piece binary, pid binary")
 
@@ -323,10 +325,12 @@ def _search(pieces: DataFrame, length: int, shard_bytes: int) -> DataFrame:
                 if size >= shard_bytes and n != name:
                     yield flush()
                     pids, texts, many, size = [], [], [], 0
+                    give_back()
                 pids.append(i), texts.append(p), many.append(m)
                 size, name = size + len(p), n
         if pids:
             yield flush()
+        give_back()
 
     dealt = pieces.select("name", "piece", "pid", "n").repartition("name").sortWithinPartitions("name")
     return dealt.mapInArrow(run, "pid binary, spans array<int>").where(F.size("spans") > 0)
@@ -387,6 +391,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                 sha.append(hashlib.sha256(rest).hexdigest())
                 kept.append(rest)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(removed, pa.int64()), pa.array(n_spans, pa.int64()), pa.array(sha, pa.string()), pa.array(kept if with_kept else [None] * len(sha), pa.binary())], ["c1", "c2", "r", "s", "h", "kept"])
+        give_back()
 
     done = texts.join(spans, ["k1", "k2"]).mapInArrow(cut, "c1 long, c2 long, r long, s long, h string, kept binary").dropDuplicates(["c1", "c2"])
     text = F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")
