@@ -152,6 +152,43 @@ def cover_similarity(a: DataFrame, b: DataFrame) -> DataFrame:
     return sx.join(best, "ka", "left").agg(F.round(F.avg(F.coalesce("j", F.lit(0.0))), 6).alias("best_jaccard"))
 
 
+def memberships(cover: DataFrame) -> DataFrame:
+    """(communities, vertices): in how many communities vertices are."""
+    return membership(cover).groupBy("vid").agg(F.count("*").alias("communities")).groupBy("communities").agg(F.count("*").alias("vertices"))
+
+
+def community_degree(cover: DataFrame) -> DataFrame:
+    """(degree, n_communities): with how many others communities share vertices, of those that do."""
+    g = community_graph(cover)
+    ends = g.select(F.col("a").alias("c")).unionByName(g.select(F.col("b").alias("c")))
+    return ends.groupBy("c").agg(F.count("*").alias("degree")).groupBy("degree").agg(F.count("*").alias("n_communities"))
+
+
+def mean_distance(edges: DataFrame, one_in: int = 50, most: int = 30) -> DataFrame:
+    """(pairs, distance): mean steps from a hash sample of vertices to all they reach within `most` steps."""
+    near = written(both_ways(edges), "near")
+    held = written(near.select(F.col("vid").alias("root")).distinct().where(F.pmod(F.xxhash64("root"), F.lit(one_in)) == 0).select("root", F.col("root").alias("vid"), F.lit(0).alias("hop")), "hops")
+    for hop in range(1, most + 1):
+        step = held.where(F.col("hop") == hop - 1).join(near, "vid").select("root", F.col("other").alias("vid")).distinct().join(held, ["root", "vid"], "left_anti")
+        step = written(step.withColumn("hop", F.lit(hop)), "step")
+        if not step.limit(1).count():
+            break
+        held = written(held.unionByName(step), "hops")
+    return held.where("hop > 0").agg(F.count("*").alias("pairs"), F.round(F.avg("hop"), 6).alias("distance"))
+
+
+def fit_inverse(measures: DataFrame, x: str = "size_limit", y: str = "seconds") -> DataFrame:
+    """(a, b, r2) of y = a + b / x."""
+    inv = 1.0 / F.col(x).cast("double")
+    return measures.agg(F.regr_intercept(y, inv).alias("a"), F.regr_slope(y, inv).alias("b"), F.regr_r2(y, inv).alias("r2"))
+
+
+def speedup(measures: DataFrame, baseline: str = "serial") -> DataFrame:
+    """(method, seconds, speedup) of (method, seconds) rows against the baseline's."""
+    base = measures.where(F.col("method") == baseline).agg(F.first("seconds").alias("base"))  # one row
+    return measures.crossJoin(base).select("method", "seconds", F.round(F.col("base") / F.col("seconds"), 4).alias("speedup"))
+
+
 def fit_log(measures: DataFrame, x: str = "size_limit", y: str = "seconds") -> DataFrame:
     """(a, b, r2) of y = a - b ln x."""
     ln = F.ln(F.col(x).cast("double"))

@@ -223,6 +223,18 @@ def update_cover(edges: DataFrame, cover: DataFrame, k: int, added: DataFrame |
     return links, kept.unionByName(anew.join(fresh, "community_key", "left_semi"))
 
 
+def link_impact(edges: DataFrame, u: int, v: int, op: str, k: int) -> DataFrame:
+    """(side, k, community_key, size): communities that only the cover before or only the one after a link's change has.
+
+    op is add or remove. Only communities of an end of the link can be among them.
+    """
+    one = edges.sparkSession.createDataFrame([(min(u, v), max(u, v))], "src long, dst long")
+    before = written(percolate(edges, k), "before")
+    _, after = update_cover(edges, before, k, **{"added" if op == "add" else "removed": one})
+    a, b = (communities(x).select("k", "community_key", "size") for x in (before, written(after, "after")))
+    return a.exceptAll(b).select(F.lit("before").alias("side"), "*").unionByName(b.exceptAll(a).select(F.lit("after").alias("side"), "*"))
+
+
 def _seen(kept: DataFrame, anew: DataFrame, k: int) -> DataFrame:
     """Keys of new communities that share k vertices of one clique with a kept community."""
     a = anew.select("community_key", "members", F.explode("members").alias("vid"))
@@ -238,6 +250,17 @@ def percolate_weighted(edges: DataFrame, k: int, min_weight) -> DataFrame:
     return percolate(edges.where(F.col("weight") >= min_weight), k)
 
 
+def weight_sweep(edges: DataFrame, k: int, thresholds: list) -> DataFrame:
+    """(min_weight, n_communities, largest, second, covered) for each threshold: just below percolation, largest is near
+    twice the second."""
+    out = None
+    for w in thresholds:
+        row = k_profile(percolate_weighted(edges, k, w)).drop("k").select(F.lit(w).alias("min_weight"), "*")
+        out = row if out is None else out.unionByName(row)
+    asked = edges.sparkSession.createDataFrame([(w,) for w in thresholds], ["min_weight"])
+    return asked.join(out, "min_weight", "left").na.fill(0)
+
+
 def _from_cliques(cliques: DataFrame, k: int) -> DataFrame:
     named = written(cliques.select(C.name().alias("clique"), "members"), "cliques")
     labels = labels_of(C.adjacency_links(named, k))

@@ -19,6 +19,7 @@ from ..graph import both_ways, degrees
 from ..session import written
 from . import cliques as C
 from .components import components
+from .measures import link_support
 from .percolation import labels_of, percolate, percolate_local
 
 #: Links up to which one task grows the pieces; more links grow level by level as DataFrames.
@@ -183,10 +184,15 @@ def _bfs_by_levels(edges: DataFrame, size_limit: int, n_seeds: int) -> DataFrame
 
 
 def pieces_of(edges: DataFrame, owner: DataFrame, closure: str = "halo") -> tuple[DataFrame, DataFrame]:
-    """(vertices (piece, vid, owned), links (piece, src, dst)); closure none leaves neighbours out."""
+    """(vertices (piece, vid, owned), links (piece, src, dst)).
+
+    closure: halo takes in all neighbours; triangle only those over a link in some triangle, which is smaller and as
+    exact from k = 3 on, since each link of a clique of three and more is in a triangle; none leaves neighbours out.
+    """
     own = owner.select("piece", "vid", F.lit(True).alias("owned"))
-    if closure == "halo":
-        near = both_ways(edges).join(owner, "vid").select("piece", F.col("other").alias("vid")).distinct().join(owner, ["piece", "vid"], "left_anti")
+    if closure in ("halo", "triangle"):
+        over = edges if closure == "halo" else link_support(edges)
+        near = both_ways(over).join(owner, "vid").select("piece", F.col("other").alias("vid")).distinct().join(owner, ["piece", "vid"], "left_anti")
         own = own.unionByName(near.select("piece", "vid", F.lit(False).alias("owned")))
     a, b = own.select("piece", F.col("vid").alias("src")), own.select("piece", F.col("vid").alias("dst"))
     return own, edges.select("src", "dst").join(a, "src").join(b, ["piece", "dst"]).select("piece", "src", "dst")
@@ -307,6 +313,34 @@ def replication(piece_vertices: DataFrame, piece_edges: DataFrame) -> DataFrame:
     return v.crossJoin(e)
 
 
+def border_stats(edges: DataFrame, owner: DataFrame) -> DataFrame:
+    """(vertices, border_vertices, links, cut_links): how much of a graph lies on the borders of its owners."""
+    cut = boundary(edges, owner)
+    ends = cut.select(F.col("src").alias("vid")).unionByName(cut.select(F.col("dst").alias("vid")))
+    rows = [vertices(edges).agg(F.count("*").alias("vertices")), ends.agg(F.count_distinct("vid").alias("border_vertices")), edges.agg(F.count("*").alias("links")), cut.agg(F.count("*").alias("cut_links"))]
+    return rows[0].crossJoin(rows[1]).crossJoin(rows[2]).crossJoin(rows[3])  # one row each
+
+
+def piece_bytes(piece_edges: DataFrame, link_bytes: int = 200) -> DataFrame:
+    """(piece, links, bytes): a proxy of what each piece's adjacency takes in a task."""
+    return piece_edges.groupBy("piece").agg(F.count("*").alias("links")).withColumn("bytes", F.col("links") * link_bytes)
+
+
+def split_trace(edges: DataFrame, size_limit: int = 100, n_seeds: int = 4) -> DataFrame:
+    """(round, level, frontier, new) of breadth-first growth in one task; rounds after the first are restarts."""
+    links = edges.select("src", "dst")
+    if links.limit(LOCAL_LINKS + 1).count() > LOCAL_LINKS:
+        raise ValueError(f"a trace is taken in one task, of at most {LOCAL_LINKS} links")
+
+    def run(batches):
+        rows = [r for b in batches for r in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
+        trace = grow(rows, size_limit, n_seeds)[2]
+        names = ("round", "level", "frontier", "new")
+        yield pa.RecordBatch.from_arrays([pa.array([t[n] for t in trace], pa.int64()) for n in names], list(names))
+
+    return links.coalesce(1).mapInArrow(run, "round long, level long, frontier long, new long")
+
+
 def coverage(edges: DataFrame, piece_edges: DataFrame) -> DataFrame:
     """(links, lost): links in no piece."""
     lost = edges.select("src", "dst").join(piece_edges.select("src", "dst").distinct(), ["src", "dst"], "left_anti")

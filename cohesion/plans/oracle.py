@@ -7,8 +7,8 @@ def _k(k: int, sep: str = ", ", fmt: str = "m{}") -> str:
     return sep.join(fmt.format(i) for i in range(1, k + 1))
 
 
-def cliques(edges: str, k: int, by: str = "") -> str:
-    """CTEs e and cl (by, m1..mk, id): k-cliques, numbered in the order of their members."""
+def cliques(edges: str, k: int, by: str = "", keep: str = "true") -> str:
+    """CTEs e and cl (by, m1..mk, id): k-cliques for which keep holds, numbered in the order of their members."""
     b = f"{by}, " if by else ""
     joins, where = [], []
     for j in range(2, k + 1):
@@ -22,16 +22,16 @@ def cliques(edges: str, k: int, by: str = "") -> str:
                 joins.append(f"JOIN e e{i}_{j} ON e{i}_{j}.src = {left}{right}{same}" + (f" AND e1_{j}.dst > e1_{j - 1}.dst" if i == 1 else ""))
     members = ", ".join(["e1_2.src AS m1", *(f"e1_{j}.dst AS m{j}" for j in range(2, k + 1))])
     by_col = f"e1_2.{by} AS {by}, " if by else ""
-    return f"e AS ({edges}), c0 AS (SELECT {by_col}{members} FROM {' '.join(joins)}), cl AS (SELECT *, row_number() OVER (ORDER BY {b}{_k(k)}) AS id FROM c0)"
+    return f"e AS ({edges}), c0 AS (SELECT {by_col}{members} FROM {' '.join(joins)}), cl AS (SELECT *, row_number() OVER (ORDER BY {b}{_k(k)}) AS id FROM c0 WHERE {keep})"
 
 
-def cover(edges: str, k: int, by: str = "") -> str:
+def cover(edges: str, k: int, by: str = "", keep: str = "true") -> str:
     """CTEs up to lab (by, id, lab, m1..mk) and mem (by, community_key, vid)."""
     b = f"{by}, " if by else ""
     part = f"CAST({by} AS VARCHAR) || '|' || " if by else ""
     faces = " UNION ALL ".join(f"SELECT id, {part}concat_ws('-', {', '.join(f'm{j}' for j in range(1, k + 1) if j != i)}) AS face FROM cl" for i in range(1, k + 1))
     return (
-        f"{cliques(edges, k, by)}, f AS ({faces}), s AS (SELECT face, min(id) AS m FROM f GROUP BY face), l0 AS (SELECT DISTINCT f.id AS a, s.m AS b FROM f JOIN s USING (face) WHERE f.id <> s.m), "
+        f"{cliques(edges, k, by, keep)}, f AS ({faces}), s AS (SELECT face, min(id) AS m FROM f GROUP BY face), l0 AS (SELECT DISTINCT f.id AS a, s.m AS b FROM f JOIN s USING (face) WHERE f.id <> s.m), "
         "l AS (SELECT a, b FROM l0 UNION SELECT b, a FROM l0), "
         "cc(id, lab) USING KEY (id) AS (SELECT id, id AS lab FROM cl UNION (SELECT l.b AS id, min(c.lab) AS lab FROM cc c JOIN l ON l.a = c.id JOIN recurring.cc r ON r.id = l.b WHERE c.lab < r.lab GROUP BY l.b)), "
         f"lab AS (SELECT cl.*, cc.lab FROM cl JOIN cc USING (id)), keys AS (SELECT id AS lab, concat_ws('-', {_k(k)}) AS community_key FROM cl), "
@@ -39,9 +39,9 @@ def cover(edges: str, k: int, by: str = "") -> str:
     )
 
 
-def communities(edges: str, k: int, by: str = "", shown_k: int | None = None) -> str:
+def communities(edges: str, k: int, by: str = "", shown_k: int | None = None, keep: str = "true") -> str:
     b = f"{by}, " if by else ""
-    return f"WITH RECURSIVE {cover(edges, k, by)} SELECT {b}CAST({shown_k or k} AS BIGINT) AS k, community_key, count(*) AS size FROM mem GROUP BY ALL"
+    return f"WITH RECURSIVE {cover(edges, k, by, keep)} SELECT {b}CAST({shown_k or k} AS BIGINT) AS k, community_key, count(*) AS size FROM mem GROUP BY ALL"
 
 
 def over(edges: str, k: int, select: str) -> str:

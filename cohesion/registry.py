@@ -7,10 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .graph import degrees, to_undirected
+from .graph import degrees, kcore, support_pruned, to_undirected
 from .operators import cliques as C
 from .operators import measures as M
 from .operators import percolation as P
+from .operators import relational as R
 from .operators import split as S
 from .operators.components import components
 from .plans import oracle as O
@@ -64,6 +65,17 @@ query("clustering", lambda s, d: M.clustering(month(s, d)), f"{_TRI}, g AS (SELE
 query("link_support", lambda s, d: M.link_support(month(s, d)), f"WITH {O.cliques(MONTH, 3)} SELECT src, dst, count(*) AS support FROM (SELECT m1 AS src, m2 AS dst FROM cl UNION ALL SELECT m1, m3 FROM cl UNION ALL SELECT m2, m3 FROM cl) GROUP BY ALL")
 query("mutual", lambda s, d: to_undirected(B.user_follow(s, d), "mutual"), f"WITH a AS ({B.SQL['user_follow_arcs']}) SELECT x.src, x.dst, CAST(2 AS BIGINT) AS weight FROM a x JOIN a y ON x.src = y.dst AND x.dst = y.src WHERE x.src < x.dst")
 
+_CORE = f"WITH e0 AS ({MONTH})" + "".join(
+    f", d{i} AS (SELECT vid FROM (SELECT src AS vid FROM e{i} UNION ALL SELECT dst FROM e{i}) GROUP BY vid HAVING count(*) >= 3), e{i + 1} AS (SELECT * FROM e{i} WHERE src IN (SELECT vid FROM d{i}) AND dst IN (SELECT vid FROM d{i}))" for i in range(8)
+)
+query("kcore", lambda s, d: kcore(month(s, d), 3), f"{_CORE} SELECT * FROM e8")
+_STRONG = f"WITH e0 AS MATERIALIZED ({MONTH})" + "".join(
+    f", t{i} AS (SELECT a.src AS x, a.dst AS y, b.dst AS z FROM e{i} a JOIN e{i} b ON a.dst = b.src JOIN e{i} c ON c.src = a.src AND c.dst = b.dst), s{i} AS (SELECT src, dst FROM (SELECT x AS src, y AS dst FROM t{i} UNION ALL SELECT x, z FROM t{i} UNION ALL SELECT y, z FROM t{i}) GROUP BY ALL HAVING count(*) >= 2), "
+    f"e{i + 1} AS MATERIALIZED (SELECT e{i}.* FROM e{i} JOIN s{i} USING (src, dst))" for i in range(5)
+)
+query("support_pruned", lambda s, d: support_pruned(month(s, d), 4), f"{_STRONG} SELECT * FROM e5")
+query("mean_distance", lambda s, d: M.mean_distance(month(s, d), 10))
+
 # ---- cliques
 for _k in (3, 4, 5):
     query(f"kcliques_{_k}", lambda s, d, k=_k: C.k_cliques(month(s, d), k).select(C.name().alias("members")), f"WITH {O.cliques(MONTH, _k)} SELECT concat_ws('-', {', '.join(f'm{i}' for i in range(1, _k + 1))}) AS members FROM cl")
@@ -78,6 +90,7 @@ query("maximal_cliques_month", lambda s, d: C.maximal_cliques(month(s, d)).selec
 query("clique_histogram", lambda s, d: C.maximal_cliques(month(s, d)).groupBy(F.size("members").cast("long").alias("size")).agg(F.count("*").alias("n")), _MAXIMAL.format(edges=MONTH) + " SELECT len(members) AS size, count(*) AS n FROM mx GROUP BY ALL")
 _OVER = ", ov AS (SELECT array_to_string(a.members, '-') AS ca, array_to_string(b.members, '-') AS cb, len(list_intersect(a.members, b.members)) AS shared FROM mx a, mx b WHERE a.members < b.members AND len(list_intersect(a.members, b.members)) >= 2) SELECT least(ca, cb) AS ci, greatest(ca, cb) AS cj, CAST(shared AS BIGINT) AS shared FROM ov"
 query("clique_overlaps", lambda s, d: C.clique_overlaps(C.maximal_cliques(month(s, d), 3), 2).select("ci", "cj", F.col("shared").cast("long").alias("shared")), _MAXIMAL.format(edges=MONTH) + _OVER)
+query("clique_overlaps_follow", lambda s, d: C.clique_overlaps(C.maximal_cliques(B.follow_links(s, d), 3), 2).select("ci", "cj", F.col("shared").cast("long").alias("shared")), _MAXIMAL.format(edges=B.SQL["user_follow"]) + _OVER.replace("FROM mx a, mx b WHERE", "FROM mx a, mx b WHERE len(a.members) > 2 AND len(b.members) > 2 AND"))
 query("threshold_graph_k4", lambda s, d: (lambda c: C.threshold_graph(c, C.clique_overlaps(c, 3), 4)[1].select("ci", "cj", F.col("shared").cast("long").alias("shared")))(C.maximal_cliques(month(s, d), 4)), _MAXIMAL.format(edges=MONTH) + _OVER + " WHERE shared >= 3")
 _CC = "WITH RECURSIVE e AS ({edges}), l AS (SELECT src AS a, dst AS b FROM e UNION SELECT dst, src FROM e), cc(id, lab) USING KEY (id) AS (SELECT DISTINCT a AS id, a AS lab FROM l UNION (SELECT l.b AS id, min(c.lab) AS lab FROM cc c JOIN l ON l.a = c.id JOIN recurring.cc r ON r.id = l.b WHERE c.lab < r.lab GROUP BY l.b)) SELECT id AS node, lab AS label FROM cc"
 for _m in ("star", "minlabel", "twophase"):
@@ -89,7 +102,9 @@ for _w, _k in _CASES:
     query(f"percolate_{_w}_k{_k}", lambda s, d, w=_w, k=_k: P.communities(P.percolate(GRAPHS[f"copurchase_{w}"](s, d), k)), O.communities(B.SQL[f"copurchase_{_w}"], _k))
 for _g, _k in (("near_copy", 3), ("user_follow", 3), ("user_follow", 4), ("cosine", 3)):
     query(f"percolate_{_g}_k{_k}", lambda s, d, g=_g, k=_k: P.communities(P.percolate(GRAPHS[g](s, d), k)), O.communities(B.SQL[_g], _k))
-query("percolate_cosupply_k3", lambda s, d: P.communities(P.percolate(B.cosupply(s, d), 3)))
+query("percolate_cosupply_k3", lambda s, d: P.communities(P.percolate(B.cosupply(s, d), 3)), O.communities(B.SQL["cosupply"], 3))
+for _g, _k, _make in (("nav", 3, B.nav_links), ("nav", 4, B.nav_links), ("word_assoc", 3, B.word_assoc), ("word_assoc", 5, B.word_assoc)):
+    query(f"percolate_{_g}_k{_k}", lambda s, d, f=_make, k=_k: P.communities(P.percolate(B.coded(f(s, d))[0], k)), O.communities(B.SQL[f"{_g}_coded"], _k))
 query("percolate_no_clique", lambda s, d: P.communities(P.percolate(B.customer_parts(s, d), 3, "kclique")), "SELECT CAST(3 AS BIGINT) AS k, '' AS community_key, CAST(0 AS BIGINT) AS size WHERE false")
 _M4 = O.communities(MONTH, 4)
 query("membership_month_k4", lambda s, d: P.membership(P.percolate(month(s, d), 4)), O.over(MONTH, 4, "SELECT CAST(4 AS BIGINT) AS k, community_key, vid FROM mem"))
@@ -99,14 +114,26 @@ query("percolate_kclique", lambda s, d: P.communities(P.percolate(month(s, d), 4
 query("percolate_serial", lambda s, d: P.communities(P.percolate_local(month(s, d), 4)), _M4)
 query("percolate_by_region", lambda s, d: P.communities(P.percolate_by_part(B.by_region(s, d), "part", 3), "part"), O.communities(B.SQL["by_region"], 3, "part"))
 query("percolate_weighted", lambda s, d: P.communities(P.percolate_weighted(B.copurchase_repeat(s, d, 1), 3, 2)), O.communities(REPEAT, 3))
-query("percolate_directed_k3", lambda s, d: P.communities(P.percolate_directed(B.user_follow(s, d), 3)))
-query("percolate_intensity", lambda s, d: P.communities(P.percolate_intensity(B.follow_links(s, d), 3, 1.2)))
+_ARCS = B.SQL["user_follow_arcs"]
+_ONE_WAY = f"(SELECT src, dst FROM ({_ARCS}) EXCEPT SELECT dst, src FROM ({_ARCS}))"
+_RING = " AND ".join("(m{}, m{}) IN " + _ONE_WAY for _ in range(3))
+query("percolate_directed_k3", lambda s, d: P.communities(P.percolate_directed(B.user_follow(s, d), 3)), O.communities(B.SQL["user_follow"], 3, keep=f"NOT ({_RING.format(1, 2, 2, 3, 3, 1)}) AND NOT ({_RING.format(2, 1, 3, 2, 1, 3)})"))
+_STRENGTH = "(SELECT exp(avg(ln(weight))) FROM e WHERE (src = m1 AND dst IN (m2, m3)) OR (src = m2 AND dst = m3)) >= 1.2"
+query("percolate_intensity", lambda s, d: P.communities(P.percolate_intensity(B.follow_links(s, d), 3, 1.2)), O.communities(B.SQL["user_follow"], 3, keep=_STRENGTH))
 _PROFILE = " UNION ALL ".join(f"SELECT * FROM ({O.over(MONTH, k, f'SELECT CAST({k} AS BIGINT) AS k, * FROM (SELECT count(*) AS n_communities, max(size) AS largest, coalesce(list_sort(list(size), ' + chr(39) + 'DESC' + chr(39) + f')[2], 0) AS second FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL)), (SELECT count(DISTINCT vid) AS covered FROM mem)')})" for k in (3, 4, 5))
 query("k_profile", lambda s, d: P.k_profile(P.percolate_all(month(s, d), 3, 5)), _PROFILE)
 query("suggest_k", lambda s, d: P.suggest_k(P.percolate_all(month(s, d), 3, 5)), f"SELECT coalesce(min(CASE WHEN largest < 0.5 * covered THEN k END), max(k)) AS k FROM ({_PROFILE})")
 query("uncovered", lambda s, d: P.uncovered(month(s, d), P.percolate(month(s, d), 4)), O.over(MONTH, 4, "SELECT DISTINCT vid FROM (SELECT src AS vid FROM e UNION ALL SELECT dst FROM e) WHERE vid NOT IN (SELECT vid FROM mem)"))
 query("diagnose", lambda s, d: P.diagnose(month(s, d), P.percolate_all(month(s, d), 3, 5)))
 
+
+def _swept(edges: str, k: int, w: int) -> str:
+    held = "SELECT count(*) AS n_communities, coalesce(max(size), 0) AS largest, coalesce(list_sort(list(size), 'DESC')[2], 0) AS second FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL)"
+    return O.over(f"SELECT * FROM ({edges}) WHERE weight >= {w}", k, f"SELECT CAST({w} AS BIGINT) AS min_weight, * FROM ({held}), (SELECT count(DISTINCT vid) AS covered FROM mem)")
+
+
+query("weight_sweep", lambda s, d: P.weight_sweep(B.follow_links(s, d), 3, [1, 2]).withColumn("min_weight", F.col("min_weight").cast("long")), " UNION ALL ".join(f"SELECT * FROM ({_swept(B.SQL['user_follow'], 3, w)})" for w in (1, 2)))
+
 # ---- locality: the cover before and after the least link goes, by update and anew
 _LEAST = f"(SELECT src, dst FROM ({MONTH}) ORDER BY src, dst LIMIT 1)"
 
@@ -119,6 +146,15 @@ def _locality(s: SparkSession, d: str) -> DataFrame:
 
 query("locality_after", _locality, O.communities(f"SELECT * FROM ({MONTH}) WHERE (src, dst) NOT IN {_LEAST}", 3))
 
+def _impact(s: SparkSession, d: str) -> DataFrame:
+    edges = month(s, d)
+    one = C.k_cliques(edges, 3).orderBy("members").first()
+    return P.link_impact(edges, *one["members"][:2], "remove", 3) if one else P.communities(P.percolate(edges, 3)).select(F.lit("before").alias("side"), "*").where("false")
+
+
+_BOTH = (O.communities(MONTH, 3), O.communities(f"SELECT * FROM ({MONTH}) WHERE (src, dst) NOT IN (WITH {O.cliques(MONTH, 3)} SELECT m1, m2 FROM cl ORDER BY m1, m2, m3 LIMIT 1)", 3))
+query("link_impact", _impact, " UNION ALL ".join(f"SELECT '{side}' AS side, * FROM (SELECT * FROM ({x}) EXCEPT SELECT * FROM ({y}))" for side, x, y in (("before", *_BOTH), ("after", *_BOTH[::-1]))))
+
 # ---- split, solve, merge
 _mod = lambda s, d, n=4: S.owners(month(s, d), "mod", n)
 _OWN = f"ed AS ({MONTH}), n AS (SELECT src AS a, dst AS b FROM ed UNION ALL SELECT dst, src FROM ed), own AS (SELECT DISTINCT a AS vid, a % 4 AS piece FROM n), pv AS (SELECT piece, vid, bool_or(o) AS owned FROM (SELECT piece, vid, true AS o FROM own UNION ALL SELECT o.piece, n.b, false FROM n JOIN own o ON o.vid = n.a) GROUP BY ALL), pe AS (SELECT x.piece, src, dst FROM ed JOIN pv x ON x.vid = src JOIN pv y ON y.vid = dst AND y.piece = x.piece)"
@@ -130,6 +166,12 @@ query("hypergraph", lambda s, d: S.hypergraph(*S.pieces_of(month(s, d), _mod(s,
 query("replication", lambda s, d: S.replication(*S.pieces_of(month(s, d), _mod(s, d))), f"WITH {_OWN} SELECT (SELECT count(*) FROM pv) AS vertex_copies, (SELECT count(DISTINCT vid) FROM pv) AS vertices, (SELECT count(*) FROM pe) AS link_copies, (SELECT count(*) FROM (SELECT DISTINCT src, dst FROM pe)) AS links")
 query("coverage_halo", lambda s, d: S.coverage(month(s, d), S.pieces_of(month(s, d), _mod(s, d))[1]), f"SELECT count(*) AS links, CAST(0 AS BIGINT) AS lost FROM ({MONTH})")
 query("coverage_none", lambda s, d: S.coverage(month(s, d), S.pieces_of(month(s, d), _mod(s, d), "none")[1]), f"SELECT count(*) AS links, count(*) FILTER (WHERE src % 4 <> dst % 4) AS lost FROM ({MONTH})")
+query("border_stats", lambda s, d: S.border_stats(month(s, d), _mod(s, d)), f"WITH {_OWN}, cut AS (SELECT src, dst FROM ed WHERE src % 4 <> dst % 4) SELECT (SELECT count(*) FROM own) AS vertices, (SELECT count(DISTINCT v) FROM (SELECT src AS v FROM cut UNION ALL SELECT dst FROM cut)) AS border_vertices, (SELECT count(*) FROM ed) AS links, (SELECT count(*) FROM cut) AS cut_links")
+query("piece_bytes", lambda s, d: S.piece_bytes(S.pieces_of(month(s, d), _mod(s, d))[1]), f"WITH {_OWN} SELECT piece, count(*) AS links, count(*) * 200 AS bytes FROM pe GROUP BY piece")
+query("percolate_pieces", lambda s, d: P.communities(S.percolate_pieces(S.pieces_of(month(s, d), _mod(s, d))[1], 4), "piece"), O.communities(f"WITH {_OWN} SELECT * FROM pe", 4, "piece"))
+query("percolate_split_triangle", lambda s, d: P.communities(S.percolate_split(month(s, d), 4, "mod", closure="triangle", parts=4)), _M4)
+query("split_trace", lambda s, d: S.split_trace(month(s, d), 25, 4))
+query("branching_factor", lambda s, d: M.branching_factor(S.split_trace(month(s, d), 25, 4)))
 query("bfs_split", lambda s, d: S.bfs_owners(month(s, d), 25, 4))
 query("piece_stats", lambda s, d: S.piece_stats(S.pieces_of(month(s, d), S.bfs_owners(month(s, d), 25, 4))[0]))
 for _rule, _kw in (("hash", {"parts": 4}), ("range", {"parts": 4}), ("components", {}), ("bfs", {"size_limit": 25, "n_seeds": 4})):
@@ -147,9 +189,16 @@ query("cover_stats", lambda s, d: M.cover_stats(_m4(s, d)), f"SELECT size, count
 query("overlap_vertices", lambda s, d: M.overlap_vertices(_m4(s, d)), O.over(MONTH, 4, "SELECT vid, count(*) AS n FROM mem GROUP BY vid HAVING count(*) > 1"))
 query("community_graph", lambda s, d: M.community_graph(P.percolate(month(s, d), 3)), O.over(MONTH, 3, "SELECT x.community_key AS a, y.community_key AS b, count(*) AS shared FROM mem x JOIN mem y ON x.vid = y.vid AND x.community_key < y.community_key GROUP BY ALL"))
 query("density", lambda s, d: M.density(month(s, d), _m4(s, d)), O.over(MONTH, 4, "SELECT community_key, size, links, round(2.0 * links / (size * (size - 1)), 6) AS density FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL) JOIN (SELECT x.community_key, count(*) AS links FROM e JOIN mem x ON x.vid = src JOIN mem y ON y.vid = dst AND y.community_key = x.community_key GROUP BY ALL) USING (community_key)"))
-query("nesting", lambda s, d: M.nesting(P.percolate_all(month(s, d), 3, 5)))
+_INSIDE = lambda k: f"SELECT CAST({k} AS BIGINT) AS k, child.community_key AS child, p.community_key AS parent FROM ({O.communities(MONTH, k + 1)}) child JOIN ({O.over(MONTH, k, 'SELECT concat_ws(' + chr(39) + '-' + chr(39) + ', ' + ', '.join(f'm{i}' for i in range(1, k + 1)) + ') AS c, community_key FROM lab JOIN keys USING (lab)')}) p ON p.c = regexp_replace(child.community_key, '-[0-9]+$', '')"
+query("nesting", lambda s, d: M.nesting(P.percolate_all(month(s, d), 3, 5)), f"SELECT * FROM ({_INSIDE(3)}) UNION ALL SELECT * FROM ({_INSIDE(4)})")
+query("memberships", lambda s, d: M.memberships(_m4(s, d)), O.over(MONTH, 4, "SELECT communities, count(*) AS vertices FROM (SELECT vid, count(*) AS communities FROM mem GROUP BY vid) GROUP BY ALL"))
+query("community_degree", lambda s, d: M.community_degree(P.percolate(month(s, d), 3)), O.over(MONTH, 3, "SELECT degree, count(*) AS n_communities FROM (SELECT x.community_key, count(DISTINCT y.community_key) AS degree FROM mem x JOIN mem y ON x.vid = y.vid AND x.community_key <> y.community_key GROUP BY ALL) GROUP BY ALL"))
 query("cover_vs_labels", lambda s, d: M.cover_vs_labels(P.percolate(B.cosine_links(s, d), 3), B.load_table(s, d, "embeddings").select(F.col("vec_id").alias("vid"), "label")), O.over(B.SQL["cosine"], 3, "SELECT count(*) AS communities, round(sum(top) / sum(n), 6) AS purity FROM (SELECT community_key, max(n) AS top, sum(n) AS n FROM (SELECT community_key, label, count(*) AS n FROM mem JOIN embeddings ON vec_id = vid GROUP BY ALL) GROUP BY ALL)"))
-query("modularity", lambda s, d: M.modularity(month(s, d), components(month(s, d).select(F.col("src").alias("u"), F.col("dst").alias("v"))).toDF("vid", "label")))
+query(
+    "modularity",
+    lambda s, d: M.modularity(month(s, d), components(month(s, d).select(F.col("src").alias("u"), F.col("dst").alias("v"))).toDF("vid", "label")),
+    _CC.format(edges=MONTH).replace("SELECT id AS node, lab AS label FROM cc", "SELECT round(sum(inside / m - (ends / (2 * m)) ^ 2), 6) AS modularity FROM (SELECT lab, count(*) AS inside FROM e JOIN cc ON id = src GROUP BY lab) JOIN (SELECT lab, count(*) AS ends FROM l JOIN cc ON id = a GROUP BY lab) USING (lab), (SELECT CAST(count(*) AS DOUBLE) AS m FROM e)"),
+)
 query("label_propagation", lambda s, d: M.label_propagation(month(s, d)))
 query("rewired", lambda s, d: P.communities(P.percolate(M.rewire(month(s, d)), 3)))
 query("random_graph", lambda s, d: P.communities(P.percolate(M.gnm(month(s, d)), 3)))
@@ -170,4 +219,40 @@ _ts = lambda s, d: B.load_table(s, d, "events").withColumn("ts", F.col("ts").cas
 query("window_activity", lambda s, d: T.windowed_activity(_ts(s, d)).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n"), "SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY ALL")
 query("session_users", lambda s, d: T.sessions(_ts(s, d)).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("events")), "SELECT user_id, count(*) FILTER (WHERE fresh) AS sessions, count(*) AS events FROM (SELECT user_id, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 30 MINUTE, true) AS fresh FROM events) GROUP BY user_id")
 query("topk_per_k", lambda s, d: P.communities(P.percolate(month(s, d), 4)).orderBy(F.desc("size"), "community_key").limit(5), f"SELECT * FROM ({_M4}) ORDER BY size DESC, community_key LIMIT 5")
-query("json_props", lambda s, d: B.load_table(s, d, "events").groupBy(F.substring("props", 1, 2).alias("head")).agg(F.count("*").alias("n")), "SELECT substring(props, 1, 2) AS head, count(*) AS n FROM events GROUP BY ALL")
+query("json_props", lambda s, d: B.load_table(s, d, "events").groupBy(R.property_of("k").alias("k")).agg(F.count("*").alias("n")), "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY ALL")
+_sizes = lambda s, d: P.communities(P.percolate_all(month(s, d), 3, 5))
+_SIZES = ORACLES["q_percolate_all_month"]
+query(
+    "window_rank",
+    lambda s, d: R.ranked(_sizes(s, d)),
+    "SELECT k, community_key, size, row_number() OVER w AS place, rank() OVER t AS rank, dense_rank() OVER t AS dense, ntile(4) OVER w AS tile, round(percent_rank() OVER t, 6) AS percent, round(cume_dist() OVER t, 6) AS cumulative, "
+    "CAST(sum(size) OVER (PARTITION BY k ORDER BY size DESC, community_key ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running, lead(size) OVER w AS lead_size, lag(size) OVER w AS lag_size, "
+    f"round(avg(size) OVER (PARTITION BY k ORDER BY size DESC, community_key ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING), 6) AS moving FROM ({_SIZES}) WINDOW w AS (PARTITION BY k ORDER BY size DESC, community_key), t AS (PARTITION BY k ORDER BY size DESC)",
+)
+query("top_per_k", lambda s, d: R.top_per_k(_sizes(s, d)), f"SELECT * FROM ({_SIZES}) QUALIFY row_number() OVER (PARTITION BY k ORDER BY size DESC, community_key) <= 3")
+query("cube_cover", lambda s, d: R.cube_of(_sizes(s, d)), f"SELECT coalesce(k, -1) AS k, coalesce(large, -1) AS large, level, n, vertices FROM (SELECT k, large, CAST(grouping_id(k, large) AS BIGINT) AS level, count(*) AS n, CAST(sum(size) AS BIGINT) AS vertices FROM (SELECT k, CAST(size > 4 AS INTEGER) AS large, size FROM ({_SIZES})) GROUP BY CUBE (k, large))")
+query("pivot_cover", lambda s, d: R.pivot_sizes(_sizes(s, d), [3, 4, 5]), f"SELECT size, count(*) FILTER (WHERE k = 3) AS k3, count(*) FILTER (WHERE k = 4) AS k4, count(*) FILTER (WHERE k = 5) AS k5 FROM ({_SIZES}) GROUP BY size")
+_V = [O.over(MONTH, k, "SELECT DISTINCT vid FROM mem") for k in (3, 4)]
+query(
+    "setops_diff",
+    lambda s, d: R.set_difference(*(P.membership(P.percolate(month(s, d), k)).select("vid") for k in (3, 4))),
+    f"SELECT (SELECT count(*) FROM (SELECT * FROM ({_V[0]}) EXCEPT SELECT * FROM ({_V[1]}))) AS only_a, (SELECT count(*) FROM (SELECT * FROM ({_V[1]}) EXCEPT SELECT * FROM ({_V[0]}))) AS only_b, (SELECT count(*) FROM (SELECT * FROM ({_V[0]}) INTERSECT SELECT * FROM ({_V[1]}))) AS both, (SELECT count(*) FROM (SELECT * FROM ({_V[0]}) UNION SELECT * FROM ({_V[1]}))) AS either",
+)
+query("interval_coactivity", lambda s, d: R.interval_coactivity(B.load_table(s, d, "events"), 60), "SELECT least(a.user_id, b.user_id) AS src, greatest(a.user_id, b.user_id) AS dst, count(*) AS weight FROM events a JOIN events b ON a.event_type = b.event_type AND a.user_id <> b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 60 SECOND AND (b.ts > a.ts OR a.user_id < b.user_id) GROUP BY ALL")
+
+
+def _last_click(s: SparkSession, d: str) -> DataFrame:
+    e = B.load_table(s, d, "events").select("event_id", "user_id", "event_type", "ts", "value")
+    return R.as_of(e.where("event_type = 'view'").select("event_id", "user_id", "ts"), e.where("event_type = 'click'"), "user_id", "ts", "value", "last_click").select("event_id", "user_id", "last_click")
+
+
+query("as_of_join", _last_click, "SELECT v.event_id, v.user_id, c.value AS last_click FROM (SELECT * FROM events WHERE event_type = 'view') v ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'click') c ON v.user_id = c.user_id AND v.ts >= c.ts")
+
+
+def _bought(s: SparkSession, d: str) -> DataFrame:
+    lines = B.load_table(s, d, "lineitem").select(F.col("l_orderkey").alias("key"), F.col("l_quantity").cast("long").alias("quantity"))
+    orders = B.load_table(s, d, "orders").select(F.col("o_orderkey").alias("key"), "o_custkey")
+    return R.salted_join(lines, orders, "key", hot=3, salts=4).groupBy("o_custkey").agg(F.sum("quantity").alias("quantity"))
+
+
+query("salted_join", _bought, "SELECT o_custkey, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS quantity FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY ALL")

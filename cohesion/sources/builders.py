@@ -60,13 +60,9 @@ def word_assoc(spark: SparkSession, sf_dir: str, least: int = 8) -> DataFrame:
 
 
 def coded(links: DataFrame, a: str = "a", b: str = "b") -> tuple[DataFrame, DataFrame]:
-    """(edges, names (vid, name)): text ends as numbers, by their order among all names.
-
-    The order is taken within ranges of names, so no window holds all of them.
-    """
+    """(edges, names (vid, name)): text ends as numbers, the first 60 bits of their md5, so no window ranks all names."""
     names = links.select(F.col(a).alias("name")).unionByName(links.select(F.col(b).alias("name"))).distinct()
-    names = names.withColumn("h", F.xxhash64("name"))
-    ids = names.select("name", F.col("h").alias("vid"))
+    ids = names.select("name", F.conv(F.substring(F.md5(F.col("name").cast("binary")), 1, 15), 16, 10).cast("long").alias("vid"))
     edges = links.join(ids.toDF(a, "va"), a).join(ids.toDF(b, "vb"), b).select(F.least("va", "vb").alias("src"), F.greatest("va", "vb").alias("dst"), "weight")
     return edges, ids
 
@@ -167,5 +163,9 @@ SQL = {
     "nav": f"SELECT a.v AS a, b.v AS b, count(*) AS weight FROM ({_NAV}) a JOIN ({_NAV}) b ON a.key = b.key AND a.v < b.v GROUP BY ALL",
     "no_clique": f"SELECT -p.v - 1 AS src, o_custkey AS dst, count(*) AS weight FROM ({_parts(None)}) p JOIN orders ON o_orderkey = p.key GROUP BY ALL",
 }
+_CODE = "CAST('0x' || substr(md5({}), 1, 15) AS BIGINT)"
+for _g in ("nav", "word_assoc"):
+    _a, _b = _CODE.format("a"), _CODE.format("b")
+    SQL[f"{_g}_coded"] = f"SELECT least({_a}, {_b}) AS src, greatest({_a}, {_b}) AS dst, weight FROM ({SQL[_g]})"
 _REGION_ROWS = f"SELECT p.key, p.v, CAST(n_regionkey AS BIGINT) AS part FROM ({_parts(WINDOWS['quarter'])}) p JOIN orders ON o_orderkey = p.key JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey"
 SQL["by_region"] = _projected(_REGION_ROWS, more="part")

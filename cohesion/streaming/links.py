@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators.percolation import percolate, update_cover
 from ..session import written
@@ -41,6 +42,43 @@ def follow_stream(a: DataFrame, b: DataFrame, seconds: int = 120) -> DataFrame:
     return x.join(y, near).select(F.col("x.user_id").alias("src"), F.col("y.user_id").alias("dst"), F.col("x.ts").alias("ts"))
 
 
+def enriched(events: DataFrame, static: DataFrame, on: str) -> DataFrame:
+    """Events with the columns of a static table; events without a match stay."""
+    return events.join(static, on, "left")
+
+
+def link_weights(links: DataFrame, half_life: float = 3600.0, idle: str = "1 day") -> DataFrame:
+    """(src, dst, ts, weight): each link's weight after each of its batches, decaying by half in half_life seconds.
+
+    links: (src, dst, ts), as a watermarked stream. A link's state is one number and its time, and goes once the
+    watermark is `idle` past it. Rows of a batch may come in any order.
+    """
+    import pandas as pd
+
+    gap = int(pd.Timedelta(idle).total_seconds() * 1000)
+
+    def step(key, frames: Iterator, state: GroupState):
+        if state.hasTimedOut:
+            state.remove()
+            return
+        weight, last = state.get if state.exists else (0.0, None)
+        for at in sorted(t for f in frames for t in f["ts"].astype("datetime64[us]").astype("int64").tolist()):
+            # A row from before the last one counts by what is left of it, not the other way round.
+            away = abs(at - last) / 1e6 if last is not None else 0.0
+            left = 0.5 ** (away / half_life)
+            weight, last = (weight * left + 1, at) if last is None or at >= last else (weight + left, last)
+        state.update((weight, last))
+        state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs() + 1, last // 1000 + gap))
+        yield pd.DataFrame({"src": [key[0]], "dst": [key[1]], "ts": [pd.Timestamp(last, unit="us")], "weight": [weight]})
+
+    return links.select("src", "dst", "ts").groupBy("src", "dst").applyInPandasWithState(step, "src long, dst long, ts timestamp, weight double", "weight double, last long", "update", GroupStateTimeout.EventTimeTimeout)
+
+
+def late_rows(query) -> int:
+    """How many rows a finished or running query has dropped for being behind the watermark."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
 class CoverState:
     """A cover that link batches keep up to date; every version is a table in the shared folder.
 
