@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..session import written
+from ..session import discard, written
 from .textvec import chunks, give_back, mix
 
 LENGTH = 200
@@ -360,6 +360,7 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     names = runs.groupBy("name").agg(F.count("*").alias("n"), F.max("own").alias("own")).where("n > 1 or own").select("name")
     again = runs.join(names, "name").groupBy("k1", "k2").agg(F.collect_set(F.struct("name", "a", "b")).alias("runs"))
     candidates = written(rows.join(again, ["k1", "k2"]), "candidates")
+    discard(runs)
     found = _pieces(candidates, length)
     different = written(found.groupBy("name", "piece", "pid").agg(F.count("*").alias("n")), "pieces")
     busy = different.groupBy("name").count().where(F.col("count") > hot).select("name")
