@@ -1,9 +1,10 @@
 """Substring dedup over sliding sentence spans.
 
 A sentence ends at a full stop, question or exclamation mark, or line break; one of over LONG words is cut into pieces
-of LONG words from its start. Every run of SPAN consecutive sentences (a text with fewer is one run) with at least
-LEAST words is hashed to 128 bits over its words. Runs meet globally; of equal runs the first by (doc_id, text hash,
-place) stays, and every sentence that any other one covers goes. A sentence goes with all up to the next one's start.
+of LONG words from its start. From every sentence on, the shortest run of SPAN consecutive sentences or more that holds
+LEAST words is hashed to 128 bits over its words; the last run of a text is also taken to the text's end, and a text with
+fewer sentences but LEAST words is one run. Runs meet globally; of equal runs the first by (doc_id, text hash, place)
+stays, and every sentence that any other one covers goes. A sentence goes with all up to the next one's start.
 
 Equal runs are counted by partial sums before any shuffle, and the join back to the places of repeated runs splits
 under skew, so a passage in a third of all documents stays a list of places, never a group in one task.
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textvec import Words, chunks, mix
+from .textvec import _BASE, _INVERSE, Words, _powers, chunks, mix
 
 SPAN = 3
 LONG = 16
@@ -32,7 +33,7 @@ _ENDS[[0x0A, 0x21, 0x2E, 0x3F]] = True
 
 
 class Sentences:
-    """Sentences of a group of texts: begin (first byte), doc, words, and two hashes."""
+    """Sentences of a group of texts: begin (first byte), doc, and the place of the first word."""
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, long: int = LONG):
         words = Words(data, offsets)
@@ -44,30 +45,34 @@ class Sentences:
         place = np.arange(n) - np.repeat(whole, np.diff(np.append(whole, n)))
         first = np.flatnonzero(place % long == 0)
         self.begin, self.doc = words.starts[first], words.doc[first]
-        self.words = np.diff(np.append(first, n))
-        at = (place % long).astype(np.uint64)
-        self.hashes = [np.add.reduceat(mix(words.code + at * np.uint64(seed)), first) if n else np.zeros(0, np.uint64) for seed in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)]
+        #: Index of each sentence's first word, and one past the last word.
+        self.at = np.append(first, n)
+        # Prefix sums give the hash of any run of words.
+        powers, self.back = _powers(_BASE, n + 1), _powers(_INVERSE, n + 1)
+        self.sums = []
+        for seed in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F):
+            total = np.zeros(n + 1, np.uint64)
+            np.cumsum(mix(words.code ^ np.uint64(seed)) * powers[:n], out=total[1:])
+            self.sums.append(total)
         #: First sentence of each text, and one past the last.
         self.first = np.searchsorted(self.doc, np.arange(len(offsets)))
 
-    def runs(self, span: int, least: int) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
-        """(first sentence, number of sentences, two hashes) of every run."""
+    def runs(self, span: int, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[np.ndarray]]:
+        """(first sentence, end sentence, whether it is a text's rest, two hashes) of every run."""
         n = len(self.doc)
-        counts = np.diff(self.first)
         start = np.arange(n)
-        size = np.minimum(span, counts[self.doc]) if n else start
-        inside = start + size <= self.first[self.doc + 1] if n else np.zeros(0, bool)
-        start, size = start[inside], size[inside]
-        total = np.concatenate([[0], np.cumsum(self.words)])
-        enough = total[start + size] - total[start] >= least
-        start, size = start[enough], size[enough]
-        out = []
-        for h in self.hashes:
-            value = size.astype(np.uint64)
-            for k in range(span):
-                value = np.where(k < size, mix(value * np.uint64(0x100000001B3) + h[np.minimum(start + k, max(0, n - 1))]), value) if n else value
-            out.append(value)
-        return start, size, out
+        last = self.first[self.doc + 1]
+        end = np.maximum(start + span, np.searchsorted(self.at, self.at[:n] + least))
+        inside = end <= last
+        # What follows a text's last run is too short for one of its own, so that run is also taken to the text's end.
+        some = self.first[:-1][np.diff(self.first) > 0]
+        counts = np.add.reduceat(inside, some, dtype=np.int64) if n else some
+        rest = some + np.maximum(counts, 1) - 1
+        rest = rest[(end[rest] != last[rest]) & (self.at[last[rest]] - self.at[rest] >= least)]
+        is_rest = np.arange(int(inside.sum()) + len(rest)) >= inside.sum()
+        start, end = np.append(start[inside], rest), np.append(end[inside], last[rest])
+        a, b = self.at[start], self.at[end]
+        return start, end, is_rest, [mix((total[b] - total[a]) * self.back[a] + (b - a).astype(np.uint64)) for total in self.sums]
 
 
 def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -76,16 +81,16 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", span: int = SPAN, least: int = LEAST, long: int = LONG) -> DataFrame:
-    """Rows (h1, h2, id, tie, place): every run of sentences; place counts sentences from 0."""
+    """Rows (h1, h2, id, tie, place): every run of sentences; place counts sentences from 0, and is -1 - place for a text's rest."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for first, end, data, offsets in chunks(batch.column(2)):
                 found = Sentences(data, offsets, long)
-                start, _, (h1, h2) = found.runs(span, least)
+                start, _, rest, (h1, h2) = found.runs(span, least)
                 doc = found.doc[start]
                 at = pa.array(first + doc)
-                yield pa.RecordBatch.from_arrays([pa.array(h1.view(np.int64)), pa.array(h2.view(np.int64)), batch.column(0).take(at), batch.column(1).take(at), pa.array(start - found.first[doc])], ["h1", "h2", "id", "tie", "place"])
+                yield pa.RecordBatch.from_arrays([pa.array(h1.view(np.int64)), pa.array(h2.view(np.int64)), batch.column(0).take(at), batch.column(1).take(at), pa.array(np.where(rest, -1, 1) * (start - found.first[doc] + rest))], ["h1", "h2", "id", "tie", "place"])
 
     rows = _rows(docs, id_col, text_col)
     return rows.mapInArrow(run, f"h1 long, h2 long, id {rows.schema['id'].dataType.simpleString()}, tie long, place long")
@@ -107,6 +112,9 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
             total, removed, lost, texts = [], [], [], []
             for first, end, data, offsets in chunks(batch.column(1)):
                 found = Sentences(data, offsets, long)
+                start, end_of, rest, _ = found.runs(span, least)
+                ends = np.zeros(len(found.doc), np.int64)
+                ends[start[~rest]] = end_of[~rest]
                 for i in range(end - first):
                     a, b = int(found.first[i]), int(found.first[i + 1])
                     raw = data[offsets[i] : offsets[i + 1]].tobytes()
@@ -118,7 +126,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                         continue
                     gone = np.zeros(b - a, bool)
                     for place in runs[first + i]:
-                        gone[place : place + span] = True
+                        gone[place if place >= 0 else -1 - place : ends[a + place] - a if place >= 0 else b - a] = True
                     bounds = np.append(found.begin[a:b], offsets[i + 1]) - offsets[i]
                     parts = [raw[: bounds[0]], *(raw[bounds[k] : bounds[k + 1]] for k in np.flatnonzero(~gone))]
                     kept = b"".join(parts)

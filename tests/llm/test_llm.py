@@ -173,6 +173,15 @@ def test_sentence_spans(spark, odd):
     assert sentencededup.remove_repeats(odd).count() == odd.count()
 
 
+def test_runs_of_short_sentences_grow(spark):
+    menu = "".join(f"Dish{i} price{i % 7}.\n" for i in range(60))
+    rows = [(1, f"First of all we greet the guests here.\n{menu}Thanks to all."), (2, f"Another card.\n{menu}Come again."), (3, "Dish1 price1.\nOnly this."), (4, menu), (5, menu)]
+    found = {r["doc_id"]: r for r in sentencededup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert found[1]["n_removed"] == 0 and found[3]["n_removed"] == 0
+    assert found[2]["text"] == "Another card.\nCome again."
+    assert found[4]["text"] == "" and found[5]["text"] == ""
+
+
 def test_decontamination(spark, odd, sf, monkeypatch):
     table, items = load_table(spark, sf, "documents"), load_table(spark, sf, "benchmark")
     held = collections.defaultdict(set)
