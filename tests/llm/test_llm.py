@@ -182,6 +182,20 @@ def test_runs_of_short_sentences_grow(spark):
     assert found[4]["text"] == "" and found[5]["text"] == ""
 
 
+def test_passages_inside_long_sentences(spark):
+    rng = random.Random(8)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(6))
+    some = lambda n: [word() for _ in range(n)]
+    rows, n = [], 51
+    for i in range(60):
+        passage = some(n)
+        for _ in range(rng.randrange(3)):
+            passage[rng.randrange(n - 1)] += rng.choice(".\n?")
+        rows += [(2 * i, " ".join(some(rng.randrange(40)) + passage + some(rng.randrange(40)))), (2 * i + 1, " ".join(some(rng.randrange(40)) + passage + some(rng.randrange(40))))]
+    found = {r["doc_id"]: r["n_removed"] for r in sentencededup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all((found[i] > 0) == (i % 2 == 1) for i in found)
+
+
 def test_decontamination(spark, odd, sf, monkeypatch):
     table, items = load_table(spark, sf, "documents"), load_table(spark, sf, "benchmark")
     held = collections.defaultdict(set)
