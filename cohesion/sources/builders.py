@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..graph import normalise
-from ..session import load_table
+from ..session import load_table, written
 
 #: Last excluded day of the co-purchase windows that begin with 1997.
 WINDOWS = {"month": "1997-02-01", "quarter": "1997-04-01", "year": "1998-01-01"}
@@ -80,14 +80,35 @@ def follow_links(spark: SparkSession, sf_dir: str, minutes: int = 2) -> DataFram
     return normalise(user_follow(spark, sf_dir, minutes), weight="weight")
 
 
-def near_copies(spark: SparkSession, sf_dir: str, least: float = 0.3, most: int = 30) -> DataFrame:
-    """Documents whose distinct trimmed lines have a Jaccard similarity from `least`; common lines are no evidence."""
-    lines = load_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("v"), F.explode(F.array_distinct(F.transform(F.split("text", "\n"), lambda x: F.trim(x)))).alias("key")).where("key <> ''")
-    size = lines.groupBy("v").agg(F.count("*").alias("n"))
-    rare = lines.groupBy("key").agg(F.count("*").alias("c")).where(f"c between 2 and {most}").select("key")
-    both = project(lines.join(rare, "key"))
-    met = both.join(size.toDF("src", "na"), "src").join(size.toDF("dst", "nb"), "dst")
-    return met.where(F.col("weight") >= least * (F.col("na") + F.col("nb") - F.col("weight"))).select("src", "dst", "weight")
+def near_copies(spark: SparkSession, sf_dir: str, least: float = 0.3) -> DataFrame:
+    """Documents whose distinct trimmed lines have a Jaccard similarity from `least`; weight counts all common lines."""
+    return alike_lines(load_table(spark, sf_dir, "documents"), least)
+
+
+def alike_lines(docs: DataFrame, least: float) -> DataFrame:
+    """Links (src, dst, weight) of documents (doc_id, text) by their lines, `least` above 0.
+
+    Equal line sets are one class. Of two alike sets each has a common line among its first n - ceil(least n) + 1 by
+    rarity, so classes meet on those alone and are compared over all lines.
+    """
+    lines = F.array_sort(F.array_distinct(F.filter(F.transform(F.split("text", "\n"), lambda x: F.trim(x)), lambda x: x != "")))
+    own = written(docs.select(F.col("doc_id").alias("v"), lines.alias("lines")).where(F.size("lines") > 0), "lines")
+    sets = written(own.groupBy("lines").agg(F.min("v").alias("c"), F.count("*").alias("copies")), "sets")
+    each = sets.select("c", F.explode("lines").alias("key"))
+    ranked = each.join(each.groupBy("key").agg(F.count("*").alias("often")), "key")
+    first = ranked.groupBy("c").agg(F.array_sort(F.collect_list(F.struct("often", "key"))).alias("k"))
+    size = F.size("k")
+    # A little less than the bound: rounding must not shorten a prefix.
+    prefix = first.select("c", F.explode(F.slice("k", F.lit(1), size - F.ceil(size * F.lit(least) - 1e-9).cast("int") + 1)).alias("k")).select("c", "k.key")
+    pairs = prefix.toDF("a", "key").join(prefix.toDF("b", "key"), "key").where("a < b").select("a", "b").distinct()
+    held = sets.select("c", "lines")
+    common = F.size(F.array_intersect("la", "lb")).cast("long")
+    met = pairs.join(held.toDF("a", "la"), "a").join(held.toDF("b", "lb"), "b").select("a", "b", common.alias("weight"), (F.size("la") + F.size("lb")).alias("n"))
+    met = met.where(F.col("weight") >= F.lit(least) * (F.col("n") - F.col("weight"))).select("a", "b", "weight")
+    same = sets.where("copies > 1").select(F.col("c").alias("a"), F.col("c").alias("b"), F.size("lines").cast("long").alias("weight"))
+    of = own.join(sets.select("lines", "c"), "lines").select("v", "c")
+    rows = met.unionByName(same).join(of.toDF("va", "a"), "a").join(of.toDF("vb", "b"), "b").where("a <> b or va < vb")
+    return rows.select(F.least("va", "vb").alias("src"), F.greatest("va", "vb").alias("dst"), "weight")
 
 
 def cosine_links(spark: SparkSession, sf_dir: str, least: float = 0.3) -> DataFrame:

@@ -145,5 +145,16 @@ def test_oracles(spark, sf, name):
     assert rows(got) == rows(want)
 
 
+def test_near_copies_count_every_line(spark, tmp_path):
+    rng = random.Random(6)
+    rows = [(i, "\n".join(["one", " two ", "three", "", "two"])) for i in range(35)]
+    rows += [(100 + i, "\n".join(rng.choice("abcdefgh") for _ in range(rng.randrange(9)))) for i in range(60)] + [(200, None), (201, ""), (202, "one\nfour\nfive\nsix")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    held = {i: {x.strip(" ") for x in (t or "").split("\n")} - {""} for i, t in rows}
+    want = {(a, b, len(held[a] & held[b])) for a, b in K(*held) if held[a] and held[b] and len(held[a] & held[b]) >= 0.3 * len(held[a] | held[b])}
+    got = [tuple(r) for r in B.near_copies(spark, str(tmp_path)).collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+
+
 def test_flagship(spark):
     assert registry.flagship(spark, "/root/testdata/sf0.001").count() == 13
