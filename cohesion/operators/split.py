@@ -105,14 +105,23 @@ def merge_small(owner: dict[int, int], links: list[tuple[int, int]], min_piece:
     Ties go to the least piece; pieces without neighbours fill bins of min_piece together.
     """
     size: dict[int, int] = defaultdict(int)
-    cut: dict[int, dict[int, int]] = defaultdict(lambda: defaultdict(int))
+    cut: dict[tuple[int, int], int] = defaultdict(int)
     for p in owner.values():
         size[p] += 1
     for a, b in links:
         p, q = owner[a], owner[b]
         if p != q:
-            cut[p][q] += 1
-            cut[q][p] += 1
+            cut[min(p, q), max(p, q)] += 1
+    end = merged_into(size, [(p, q, n) for (p, q), n in cut.items()], min_piece)
+    return {v: end[p] for v, p in owner.items()}
+
+
+def merged_into(sizes: dict[int, int], cuts: list[tuple[int, int, int]], min_piece: int) -> dict[int, int]:
+    """The piece that each piece ends in, of piece sizes and (p, q, cut links) of pairs, each pair once."""
+    size = dict(sizes)
+    cut: dict[int, dict[int, int]] = defaultdict(lambda: defaultdict(int))
+    for p, q, n in cuts:
+        cut[p][q] = cut[q][p] = n
     into = {p: p for p in size}
     alone, filled = None, 0
     for p in sorted(size, key=lambda x: (size[x], x)):
@@ -138,14 +147,19 @@ def merge_small(owner: dict[int, int], links: list[tuple[int, int]], min_piece:
             p = into[p]
         return p
 
-    return {v: end(p) for v, p in owner.items()}
+    return {p: end(p) for p in sizes}
 
 
 def bfs_owners(edges: DataFrame, size_limit: int = 100, n_seeds: int = 4, min_piece: int | None = None, distributed: bool | None = None) -> DataFrame:
-    """(vid, piece) by breadth-first growth from the hubs, with restarts and the clean-up of tiny pieces."""
+    """(vid, piece) by breadth-first growth from the hubs, with restarts and the clean-up of tiny pieces.
+
+    distributed=True without min_piece is the growth alone, which a test compares; no query asks for it.
+    """
     links = edges.select("src", "dst")
     if distributed or (distributed is None and links.limit(LOCAL_LINKS + 1).count() > LOCAL_LINKS):
-        return _bfs_by_levels(edges, size_limit, n_seeds)
+        owner = _bfs_by_levels(edges, size_limit, n_seeds)
+        bare = min_piece is None and distributed
+        return owner if bare or min_piece == 1 else _small_merged(edges, owner, size_limit if min_piece is None else min_piece)
 
     def run(batches):
         rows = [r for b in batches for r in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
@@ -183,6 +197,21 @@ def _bfs_by_levels(edges: DataFrame, size_limit: int, n_seeds: int) -> DataFrame
             owner = written(owner.unionByName(frontier), "owner")
 
 
+def _small_merged(edges: DataFrame, owner: DataFrame, min_piece: int) -> DataFrame:
+    """merge_small beyond one memory: vertices and links are counted by DataFrames, and one task walks the pieces."""
+    sizes = owner.groupBy(F.col("piece").alias("p")).agg(F.count("*").alias("n")).select("p", F.lit(None).cast("long").alias("q"), "n")
+    cuts = boundary(edges, owner).groupBy(F.least("p", "q").alias("p"), F.greatest("p", "q").alias("q")).agg(F.count("*").alias("n"))
+
+    def run(batches):
+        rows = [r for b in batches for r in zip(*(c.to_pylist() for c in b.columns))]
+        end = merged_into({p: n for p, q, n in rows if q is None}, [r for r in rows if r[1] is not None], min_piece)
+        yield pa.RecordBatch.from_arrays([pa.array(list(end), pa.int64()), pa.array(list(end.values()), pa.int64())], ["piece", "into"])
+
+    # Rows of pieces and of neighbouring pairs, not of vertices or links.
+    end = sizes.unionByName(cuts).coalesce(1).mapInArrow(run, "piece long, into long")
+    return owner.join(end, "piece").select("vid", F.col("into").alias("piece"))
+
+
 def pieces_of(edges: DataFrame, owner: DataFrame, closure: str = "halo") -> tuple[DataFrame, DataFrame]:
     """(vertices (piece, vid, owned), links (piece, src, dst)).
 

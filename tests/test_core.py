@@ -86,6 +86,14 @@ def test_growth_by_levels_is_the_growth_in_memory(spark, sf):
     assert {v for v, _ in a} == {v for v, _ in b} and a == b
 
 
+def test_small_pieces_merge_alike_both_ways(spark, monkeypatch):
+    rng = random.Random(2)
+    e = edges(spark, K(1, 2, 3, 4, 5) + [(rng.randrange(1, 30), rng.randrange(1, 30)) for _ in range(30)] + [(51, 52), (53, 54)])
+    local = {(r["vid"], r["piece"]) for r in S.bfs_owners(e, 6, 6).collect()}
+    monkeypatch.setattr(S, "LOCAL_LINKS", 10)
+    assert {(r["vid"], r["piece"]) for r in S.bfs_owners(e, 6, 6).collect()} == local
+
+
 def test_border_of_two_pieces(spark):
     e = edges(spark, [(1, 2), (1, 3), (2, 3), (2, 4), (3, 4), (3, 5), (4, 5), (4, 6), (5, 6)])
     owner = spark.createDataFrame([(v, 0 if v < 4 else 1) for v in range(1, 7)], "vid long, piece long")
