@@ -164,16 +164,18 @@ def community_degree(cover: DataFrame) -> DataFrame:
     return ends.groupBy("c").agg(F.count("*").alias("degree")).groupBy("degree").agg(F.count("*").alias("n_communities"))
 
 
-def mean_distance(edges: DataFrame, one_in: int = 50, most: int = 30) -> DataFrame:
-    """(pairs, distance): mean steps from a hash sample of vertices to all they reach within `most` steps."""
+def mean_distance(edges: DataFrame, one_in: int = 1) -> DataFrame:
+    """(pairs, distance): mean steps from all vertices, or a hash sample of one in some, to all they reach."""
     near = written(both_ways(edges), "near")
     held = written(near.select(F.col("vid").alias("root")).distinct().where(F.pmod(F.xxhash64("root"), F.lit(one_in)) == 0).select("root", F.col("root").alias("vid"), F.lit(0).alias("hop")), "hops")
-    for hop in range(1, most + 1):
-        step = held.where(F.col("hop") == hop - 1).join(near, "vid").select("root", F.col("other").alias("vid")).distinct().join(held, ["root", "vid"], "left_anti")
+    hop, step = 0, held
+    while True:
+        hop += 1
+        step = step.join(near, "vid").select("root", F.col("other").alias("vid")).distinct().join(held, ["root", "vid"], "left_anti")
         step = written(step.withColumn("hop", F.lit(hop)), "step")
         if not step.limit(1).count():
             break
-        held = written(held.unionByName(step), "hops")
+        held = held.unionByName(step)
     return held.where("hop > 0").agg(F.count("*").alias("pairs"), F.round(F.avg("hop"), 6).alias("distance"))
 
 

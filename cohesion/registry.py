@@ -74,7 +74,7 @@ _STRONG = f"WITH e0 AS MATERIALIZED ({MONTH})" + "".join(
     f"e{i + 1} AS MATERIALIZED (SELECT e{i}.* FROM e{i} JOIN s{i} USING (src, dst))" for i in range(5)
 )
 query("support_pruned", lambda s, d: support_pruned(month(s, d), 4), f"{_STRONG} SELECT * FROM e5")
-query("mean_distance", lambda s, d: M.mean_distance(month(s, d), 10))
+query("mean_distance", lambda s, d: M.mean_distance(month(s, d)))
 
 # ---- cliques
 for _k in (3, 4, 5):

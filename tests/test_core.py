@@ -164,5 +164,12 @@ def test_near_copies_count_every_line(spark, tmp_path):
     assert len(got) == len(set(got)) and set(got) == want
 
 
+def test_mean_distance_counts_all_pairs(spark):
+    n = 6
+    pairs = [b - a for a, b in K(*range(n))]
+    got = M.mean_distance(edges(spark, [(i, i + 1) for i in range(n - 1)])).first()
+    assert tuple(got) == (2 * len(pairs), round(sum(pairs) / len(pairs), 6))
+
+
 def test_flagship(spark):
     assert registry.flagship(spark, "/root/testdata/sf0.001").count() == 13
