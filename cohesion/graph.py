@@ -43,14 +43,14 @@ def to_undirected(arcs: DataFrame, mode: str = "any") -> DataFrame:
     return (found if mode == "any" else found.where("ways = 2")).select(F.col("a").alias("src"), F.col("b").alias("dst"), F.col("ways").alias("weight"))
 
 
-def support_pruned(edges: DataFrame, k: int, rounds: int = 20) -> DataFrame:
-    """Links that lie in k-2 triangles or more, repeatedly: no k-clique is lost. Stops early when nothing falls."""
+def support_pruned(edges: DataFrame, k: int) -> DataFrame:
+    """Links that lie in k-2 triangles or more, repeatedly: no k-clique is lost. Ends when nothing falls."""
     from .operators.measures import link_support
     from .session import written
 
     now = written(edges, "support")
     n = now.count()
-    for _ in range(rounds):
+    while True:
         strong = link_support(now).where(F.col("support") >= k - 2).select("src", "dst")
         now = written(now.join(strong, ["src", "dst"], "left_semi"), "support")
         m = now.count()
@@ -60,13 +60,13 @@ def support_pruned(edges: DataFrame, k: int, rounds: int = 20) -> DataFrame:
     return now
 
 
-def kcore(edges: DataFrame, k: int, rounds: int = 20) -> DataFrame:
-    """Links among vertices of degree k and more, repeatedly: no k+1-clique is lost. Stops early when nothing falls."""
+def kcore(edges: DataFrame, k: int) -> DataFrame:
+    """Links among vertices of degree k and more, repeatedly: no k+1-clique is lost. Ends when nothing falls."""
     from .session import written
 
     now = written(edges, "core")
     n = now.count()
-    for _ in range(rounds):
+    while True:
         keep = degrees(now).where(F.col("degree") >= k).select("vid")
         after = written(now.join(keep.withColumnRenamed("vid", "src"), "src", "left_semi").join(keep.withColumnRenamed("vid", "dst"), "dst", "left_semi"), "core")
         m = after.count()

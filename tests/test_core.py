@@ -6,7 +6,7 @@ import duckdb
 import pytest
 
 from cohesion import registry
-from cohesion.graph import normalise
+from cohesion.graph import kcore, normalise
 from cohesion.operators import measures as M
 from cohesion.operators import percolation as P
 from cohesion.operators import split as S
@@ -171,5 +171,9 @@ def test_mean_distance_counts_all_pairs(spark):
     assert tuple(got) == (2 * len(pairs), round(sum(pairs) / len(pairs), 6))
 
 
+def test_cores_peel_to_the_end(spark):
+    assert kcore(edges(spark, [(i, i + 1) for i in range(45)]), 2).count() == 0
+
+
 def test_flagship(spark):
     assert registry.flagship(spark, "/root/testdata/sf0.001").count() == 13
