@@ -213,13 +213,28 @@ def test_decontamination(spark, odd, sf, monkeypatch):
                     named |= found
                     hit |= set(range(k, k + size))
         want[i] = (len(w), len(hit), len(named), hashlib.sha256(",".join(sorted(named)).encode()).hexdigest(), bool(hit) and 20 * len(hit) >= len(w))
-    for size in (16 << 20, 3000):
-        monkeypatch.setattr(decontaminate, "BLOCK_BYTES", size)
+    # The second bitmap is nearly full, so that nearly all words are in segments.
+    for least, most in ((1 << 20, 1 << 27), (1 << 15, 1 << 15)):
+        monkeypatch.setattr(decontaminate, "BITS_LEAST", least)
+        monkeypatch.setattr(decontaminate, "BITS_MOST", most)
         got = decontaminate.contamination(table, items).collect()
         assert {r["doc_id"]: (r["n_words"], r["n_hit"], r["n_items"], r["items_sha256"], r["contaminated"]) for r in got} == want
         assert sorted(r["doc_id"] for r in decontaminate.clean(table, items).collect()) == sorted(i for i, x in want.items() if not x[4])
     few = spark.createDataFrame([(1, None), (2, ""), (3, "one two"), (None, "one")], "item_id long, text string")
-    assert decontaminate.contamination(odd, few).where("contaminated").count() == 1
+    got = collections.Counter(tuple(r)[:4] + (r["contaminated"], tuple(r["items"])) for r in decontaminate.contamination(odd, few).collect())
+    short = {(w,): [i] for w, i in (("one", "null"),)} | {("one", "two"): ["3"]}
+    want = collections.Counter()
+    for i, t in texts_of(odd):
+        w, hit, named = words(t), set(), []
+        for key, ids in short.items():
+            for k in range(len(w) - len(key) + 1):
+                if tuple(w[k : k + len(key)]) == key:
+                    hit |= set(range(k, k + len(key)))
+                    named += ids
+        want[(i, len(w), len(hit), len(set(named)), bool(hit) and 20 * len(hit) >= len(w), tuple(sorted(set(named))))] += 1
+    assert got == want and sum(x[4] for x in got) == 1
+    twice = spark.createDataFrame([(7, "one two"), (7, "one  TWO!")], "item_id long, text string")
+    assert decontaminate.contamination(odd, twice).where("contaminated").first()["items"] == ["7", "7"]
     assert decontaminate.clean(odd, few.where("false")).count() == odd.count()
 
 
