@@ -8,8 +8,9 @@
    (groups of suffixes equal so far are sorted by the rank at double the depth, until all differ), with the common
    prefixes of neighbours by Kasai's algorithm. A window is repeated if a neighbour in suffix order shares 200 bytes with it.
 4. A name with more runs than one shard holds is spread over several, and these are merged by binary search: the
-   windows of one are looked up among the sorted windows of another. Names with more than HOT runs are compared by
-   128-bit hashes of their windows instead, which meet by a plain aggregate, so no name is gathered in one task.
+   windows of one are looked up among the sorted windows of another. Of a name with more than TOGETHER shards each shard
+   is a task of its own; it hands on its different windows in suffix order, and these are merged by a sort over all
+   shards, byte by byte, so no name is gathered in one task.
 5. Covered bytes go back to the places of each run, and each text is cut once.
 
 Defined results: a null or empty text has no bytes; rows equal in doc_id and text are copies of each other, and each
@@ -33,8 +34,8 @@ LENGTH = 200
 ANCHOR = 32
 #: Bytes of one suffix array.
 SHARD_BYTES = 1 << 20
-#: Different runs of one name that are compared within one task.
-HOT = 20_000
+#: Shards of one name that are merged within one task.
+TOGETHER = 8
 #: Bytes of text that one walker of the common prefixes passes.
 SEGMENT = 64
 
@@ -168,7 +169,9 @@ class Shard:
         # Whole windows are equal if no suffix from one to the other parts with its neighbour within their length.
         group = np.cumsum(common_prefixes(self.data, order, length) < length)
         whole = stops[order] - order >= length
+        #: Starts of whole windows in suffix order, and a number for each that equal ones share.
         self.order, group = order[whole], group[whole]
+        self.group = group
         both = np.zeros(len(group), bool)
         both[1:] = group[1:] == group[:-1]
         both[:-1] |= both[1:].copy()
@@ -336,24 +339,53 @@ def _search(pieces: DataFrame, length: int, shard_bytes: int) -> DataFrame:
     return dealt.mapInArrow(run, "pid binary, spans array<int>").where(F.size("spans") > 0)
 
 
-def _search_hot(pieces: DataFrame, length: int) -> DataFrame:
-    """As _search for names with very many different runs: windows meet by hash, wherever they are."""
+def _search_apart(pieces: DataFrame, length: int) -> DataFrame:
+    """As _search for names of very many shards (column shard): a task a shard, merged by their sorted windows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[bytes, bytes, int]] = []
+        last = None
+
+        def flush():
+            shard = Shard([p for p, _, _ in held], length)
+            owner = np.searchsorted(shard.ends, shard.order, side="right")
+            cut = np.append(np.flatnonzero(np.append(True, shard.group[1:] != shard.group[:-1])), len(shard.group)) if len(shard.group) else np.zeros(1, np.int64)
+            many = np.array([m for _, _, m in held], np.int64)
+            view = np.lib.stride_tricks.sliding_window_view(shard.data, length)
+            for x in range(0, len(cut) - 1, 20_000):
+                part = cut[x : x + 20_001]
+                inside = slice(int(part[0]), int(part[-1]))
+                places = pa.StructArray.from_arrays([pa.array([held[i][1] for i in owner[inside].tolist()], pa.binary()), pa.array((shard.order - shard.starts[owner])[inside].astype(np.int32))], ["pid", "at"])
+                # Windows of one shard that are equal go as one row, with all their places.
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        pa.array([view[i].tobytes() for i in shard.order[part[:-1]].tolist()], pa.binary()),
+                        pa.array(np.add.reduceat(many[owner[inside]], part[:-1] - part[0])),
+                        pa.ListArray.from_arrays(pa.array((part - part[0]).astype(np.int32)), places),
+                    ],
+                    ["window", "n", "places"],
+                )
+            held.clear()
+            give_back()
 
-    def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for p, i, m in zip(*(c.to_pylist() for c in batch.columns)):
-                n = len(p) - length + 1
-                keys = [hashlib.blake2b(p[k : k + length], digest_size=16).digest() for k in range(n)]
-                yield pa.RecordBatch.from_arrays([pa.array([i] * n, pa.binary()), pa.array(np.arange(n, dtype=np.int32)), pa.array(keys, pa.binary()), pa.array(np.full(n, m))], ["pid", "at", "key", "n"])
-
-    rows = pieces.select("piece", "pid", "n").mapInArrow(windows, "pid binary, at int, key binary, n long")
-    again = rows.groupBy("key").agg(F.sum("n").alias("n")).where("n > 1").select("key")
-    found = rows.join(again, "key").groupBy("pid").agg(F.collect_set("at").alias("ats"))
+            for name, shard, p, i, m in zip(*(c.to_pylist() for c in batch.columns)):
+                if held and (name, shard) != last:
+                    yield from flush()
+                held.append((p, i, m))
+                last = (name, shard)
+        if held:
+            yield from flush()
+
+    dealt = pieces.select("name", "shard", "piece", "pid", "n").repartition("name", "shard").sortWithinPartitions("name", "shard")
+    rows = written(dealt.mapInArrow(run, "window binary, n long, places array<struct<pid:binary,at:int>>"), "windows")
+    again = rows.groupBy("window").agg(F.sum("n").alias("n")).where("n > 1").select("window")
+    found = rows.join(again, "window").select(F.explode("places").alias("p")).groupBy("p.pid").agg(F.collect_set("p.at").alias("ats"))
     ends = F.transform(F.array_sort("ats"), lambda x: F.array(x, x + length))
     return found.select("pid", F.flatten(ends).alias("spans"))
 
 
-def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, shard_bytes: int = SHARD_BYTES, hot: int = HOT) -> tuple[DataFrame, DataFrame]:
+def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, shard_bytes: int = SHARD_BYTES, together: int = TOGETHER) -> tuple[DataFrame, DataFrame]:
     """(candidate texts k1, k2, text, runs; spans k1, k2, spans): what to cut from which texts."""
     rows = _rows(docs, id_col, text_col)
     runs = written(_name_runs(rows, length), "runs")
@@ -363,18 +395,19 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     discard(runs)
     found = _pieces(candidates, length)
     different = written(found.groupBy("name", "piece", "pid").agg(F.count("*").alias("n")), "pieces")
-    busy = different.groupBy("name").count().where(F.col("count") > hot).select("name")
+    busy = different.groupBy("name").agg(F.ceil(F.sum(F.octet_length("piece")) / shard_bytes).alias("shards")).where(F.col("shards") > together)
     spans = _search(different.join(busy, "name", "left_anti"), length, shard_bytes)
     if busy.limit(1).count():
-        spans = spans.unionByName(_search_hot(different.join(busy, "name", "left_semi"), length))
+        spread = different.join(busy, "name").withColumn("shard", F.pmod(F.xxhash64("pid"), F.col("shards")))
+        spans = spans.unionByName(_search_apart(spread, length))
     spans = spans.groupBy("pid").agg(F.first("spans").alias("spans"))
     placed = found.select("k1", "k2", "a", "pid").join(spans, "pid").select("k1", "k2", F.transform("spans", lambda x: x + F.col("a")).alias("spans"))
     return candidates.select("k1", "k2", "text"), placed.groupBy("k1", "k2").agg(F.flatten(F.collect_set("spans")).alias("spans"))
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, shard_bytes: int = SHARD_BYTES, hot: int = HOT, with_kept: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, shard_bytes: int = SHARD_BYTES, together: int = TOGETHER, with_kept: bool = False) -> DataFrame:
     """Rows (doc_id, n_bytes, n_removed, n_spans, kept_sha256[, kept]), one for each row of docs."""
-    texts, spans = repeated_spans(docs, id_col, text_col, length, shard_bytes, hot)
+    texts, spans = repeated_spans(docs, id_col, text_col, length, shard_bytes, together)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
