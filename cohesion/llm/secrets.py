@@ -46,6 +46,8 @@ RULES = BASE + ADDED
 MASK = "[SECRET]"
 #: More alternatives of a literal, or members of a class, are not spelt out.
 MOST = 64
+#: Matches of a text that are gathered at a time.
+BLOCK = 256
 
 
 def trigram_clauses(pattern: str) -> list[frozenset[str]]:
@@ -151,7 +153,7 @@ def _matches(text: Column, rule: Rule) -> Column:
     hits = F.regexp_extract_all(text, F.lit(rule.pattern), 0)
     judged = F.regexp_extract_all(text, F.lit(rule.pattern), rule.group) if rule.group else hits
     rows = F.arrays_zip(F.slice(F.split(text, rule.pattern, -1), 1, F.size(hits)).alias("piece"), hits.alias("hit"), judged.alias("judged"))
-    zero = F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<struct<start:int,end:int,ok:boolean>>)").alias("found"))
+    none = F.expr("cast(array() as array<struct<start:int,end:int,ok:boolean>>)")
 
     def step(acc: Column, row: Column) -> Column:
         start = acc["at"] + F.char_length(row["piece"])
@@ -159,7 +161,14 @@ def _matches(text: Column, rule: Rule) -> Column:
         one = F.struct(start.alias("start"), end.alias("end"), (F.char_length(row["judged"]) >= rule.least).alias("ok"))
         return F.struct(end.alias("at"), F.concat(acc["found"], F.array(one)).alias("found"))
 
-    return F.aggregate(rows, zero, step, lambda acc: F.filter(acc["found"], lambda x: x["ok"]))
+    def block(acc: Column, rows: Column) -> Column:
+        done = F.aggregate(rows, F.struct(acc["at"].alias("at"), none.alias("found")), step)
+        return F.struct(done["at"].alias("at"), F.concat(acc["found"], F.array(done["found"])).alias("found"))
+
+    # Appending copies an array, so matches are gathered by blocks: a text of very many takes time in proportion to them.
+    blocks = F.transform(F.sequence(F.lit(0), F.floor((F.size(rows) - 1) / BLOCK).cast("int")), lambda b: F.slice(rows, b * BLOCK + 1, BLOCK))
+    zero = F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<array<struct<start:int,end:int,ok:boolean>>>)").alias("found"))
+    return F.aggregate(blocks, zero, block, lambda acc: F.filter(F.flatten(acc["found"]), lambda x: x["ok"]))
 
 
 def _shown(spans: Column) -> Column:
@@ -174,16 +183,21 @@ def _marked(docs: DataFrame, rules: tuple[Rule, ...], id_col: str, text_col: str
     return rows.join(found, ["k1", "k2"], "left").select("row", F.coalesce("kinds", F.array().cast("array<string>")).alias("kinds")), full
 
 
+def _spans(rules: tuple[Rule, ...], full: set[str], text: Column) -> list[Column]:
+    """at_<kind>, the matches of each rule whose query the text answers."""
+    none = F.expr("cast(array() as array<struct<start:int,end:int,ok:boolean>>)")
+    out = []
+    for rule in rules:
+        asked = F.lit(True) if rule.kind in full else F.array_contains("kinds", rule.kind)
+        out.append(F.when(asked & text.rlike(rule.pattern), _matches(text, rule)).otherwise(none).alias(f"at_{rule.kind}"))
+    return out
+
+
 def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows (doc_id, n_<base kind>..., base_sha256, spans), one for each row of docs."""
     marked, full = _marked(docs, rules, id_col, text_col)
     text = F.coalesce(F.col(f"row.{text_col}").cast("string"), F.lit(""))
-    none = F.expr("cast(array() as array<struct<start:int,end:int,ok:boolean>>)")
-    columns = [F.col(f"row.{id_col}").alias("doc_id")]
-    for rule in rules:
-        asked = F.lit(True) if rule.kind in full else F.array_contains("kinds", rule.kind)
-        columns.append(F.when(asked & F.col("text").rlike(rule.pattern), _matches(F.col("text"), rule)).otherwise(none).alias(f"at_{rule.kind}"))
-    found = marked.select(F.col("row"), "kinds", text.alias("text")).select(*columns)
+    found = marked.select(F.col("row"), "kinds", text.alias("text")).select(F.col(f"row.{id_col}").alias("doc_id"), *_spans(rules, full, F.col("text")))
 
     def listed(some: tuple[Rule, ...]) -> Column:
         def placed(r: Rule):
@@ -201,20 +215,23 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id
 
 
 def redact(docs: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id", text_col: str = "text", mask: str = MASK) -> DataFrame:
-    """The rows of docs with every secret replaced by the mask; an n_chars column follows the text."""
+    """The rows of docs with every secret replaced by the mask; an n_chars column follows the text.
+
+    Secrets are those of scan(), in the text as it came; of overlapping ones one mask stays.
+    """
     marked, full = _marked(docs, rules, id_col, text_col)
     text = F.col(f"row.{text_col}").cast("string")
-    for rule in rules:
-        asked = F.lit(True) if rule.kind in full else F.array_contains("kinds", rule.kind)
-        marked = marked.withColumn("now", text if rule is rules[0] else F.col("now"))
-        now = F.col("now")
-        hits = F.regexp_extract_all(now, F.lit(rule.pattern), 0)
-        judged = F.regexp_extract_all(now, F.lit(rule.pattern), rule.group) if rule.group else hits
-        least = F.lit(rule.least)
-        kept = F.transform(F.arrays_zip(hits.alias("hit"), judged.alias("judged"), F.array_repeat(least, F.size(hits)).alias("least")), lambda x: F.when(F.char_length(x["judged"]) >= x["least"], F.lit(mask)).otherwise(x["hit"]))
-        pieces = F.split(now, rule.pattern, -1)
-        whole = F.array_join(F.transform(F.arrays_zip(pieces.alias("piece"), kept.alias("kept")), lambda x: F.concat(x["piece"], F.coalesce(x["kept"], F.lit("")))), "")
-        marked = marked.withColumn("now", F.when(asked & now.rlike(rule.pattern), whole).otherwise(now))
+    marked = marked.select("row", *_spans(rules, full, text))
+    placed = F.array_sort(F.concat(*[F.transform(f"at_{r.kind}", lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"))) for r in rules]))
+    marked = marked.select("row", placed.alias("at"))
+
+    def step(acc: Column, s: Column) -> Column:
+        fresh = F.struct(s["end"].alias("last"), F.concat(acc["out"], F.array(F.substring(text, acc["last"] + 1, s["start"] - acc["last"]), F.lit(mask))).alias("out"))
+        return F.when(s["start"] >= acc["last"], fresh).otherwise(F.struct(F.greatest(acc["last"], s["end"]).alias("last"), acc["out"].alias("out")))
+
+    zero = F.struct(F.lit(0).alias("last"), F.expr("cast(array() as array<string>)").alias("out"))
+    whole = F.aggregate("at", zero, step, lambda acc: F.array_join(F.concat(acc["out"], F.array(F.substring(text, acc["last"] + 1, F.char_length(text)))), ""))
+    marked = marked.select("row", F.when(F.size("at") > 0, whole).otherwise(text).alias("now"))
     changed = ~F.col("now").eqNullSafe(text)
     out = []
     for field in docs.schema.fields:
