@@ -13,17 +13,21 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
 from .textvec import Words, chunks, sorted_per_doc
 
 K = 128
 WORDS = 5
+#: Keys sampled for each range of documents.
+SAMPLED = 16
 _BITS = 48
 
 
@@ -152,24 +156,38 @@ def compare_with_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     ranges = 4 * max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     keyed = rows.withColumn("tie", F.xxhash64("text"))
-    # The driver sees range bounds and the first key of each range: as many numbers as there are ranges.
-    found = rows.agg(F.percentile_approx(F.col("id").cast("double"), [i / ranges for i in range(1, ranges)], 10_000).alias("b")).first()["b"]
-    bounds = np.unique(np.array(found or [], np.float64))
+    # The driver sees a bounded sample of keys, the bounds it yields, and the first key of each range.
+    blank = F.lit("" if isinstance(rows.schema["id"].dataType, StringType) else 0).cast(rows.schema["id"].dataType)
+    keyed = keyed.withColumn("known", F.col("id").isNotNull()).withColumn("key", F.coalesce("id", blank))
+    some = sorted({(r["known"], r["key"], r["tie"]) for r in keyed.select("known", "key", "tie").orderBy(F.xxhash64("id", "tie")).limit(SAMPLED * ranges).collect()})
+    bounds = [some[i * len(some) // ranges] for i in range(1, ranges)] if some else []
 
     @F.pandas_udf("int")
-    def dealt(ids):
+    def dealt(known, keys, ties):
         import pandas as pd
 
-        return pd.Series(np.searchsorted(bounds, ids.astype("float64").fillna(-np.inf).to_numpy(), side="right").astype(np.int32), dtype="int32")
-
-    at = dealt(F.col("id").cast("double"))
+        none = sum(not b[0] for b in bounds)
+        names = np.array([b[1] for b in bounds[none:]])
+        null = ~known.to_numpy(bool)
+        left, right = (np.full(len(keys), none) for _ in range(2))
+        if len(names) and not null.all():
+            values = keys.to_numpy()[~null].astype(names.dtype if names.dtype.kind != "U" else "U")
+            left[~null], right[~null] = (none + np.searchsorted(names, values, side) for side in ("left", "right"))
+        left[null], right[null] = 0, none
+        # Rows whose id is a bound are dealt by the second part of the key.
+        every = [b[2] for b in bounds]
+        for i in np.flatnonzero(left < right).tolist():
+            left[i] = bisect_right(every, ties.iloc[i], int(left[i]), int(right[i]))
+        return pd.Series(left.astype(np.int32), dtype="int32")
+
+    at = dealt(F.col("known"), F.col("key"), F.col("tie"))
     firsts = keyed.select(at.alias("part"), "id", "tie").groupBy("part").agg(F.min(F.struct(F.col("id").isNotNull().alias("x"), "id", "tie")).alias("f")).orderBy("part").collect()
     parts = [r["part"] for r in firsts]
     also = {(r["f"]["id"], r["f"]["tie"]): parts[i - 1] for i, r in enumerate(firsts)}
     kind = rows.schema["id"].dataType.simpleString()
     tails = F.broadcast(spark.createDataFrame([(i, t, p) for (i, t), p in also.items()], f"tid {kind}, ttie long, also int"))
-    joined = keyed.join(tails, keyed["id"].eqNullSafe(tails["tid"]) & (keyed["tie"] == tails["ttie"]), "left").drop("tid", "ttie")
-    own = F.struct(at.alias("part"), F.lit(False).alias("tail"))
+    joined = keyed.withColumn("part", at).join(tails, keyed["id"].eqNullSafe(tails["tid"]) & (keyed["tie"] == tails["ttie"]), "left").drop("tid", "ttie")
+    own = F.struct(F.col("part").alias("part"), F.lit(False).alias("tail"))
     placed = F.when(F.col("also").isNull(), F.array(own)).otherwise(F.array(own, F.struct(F.col("also").alias("part"), F.lit(True).alias("tail"))))
     dealt_rows = joined.withColumn("p", F.explode(placed)).select("p.part", "p.tail", "id", "tie", "text")
     sorted_rows = dealt_rows.repartition("part").sortWithinPartitions("part", "tail", F.col("id").asc_nulls_first(), "tie").drop("tie")
