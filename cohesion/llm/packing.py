@@ -11,7 +11,6 @@ a null doc_id stays null; an empty table gives no pieces; other columns of the i
 
 from __future__ import annotations
 
-import builtins
 import re
 import zlib
 from array import array
@@ -119,12 +118,14 @@ def _words(text: str) -> list[str]:
     return text.split() if not _ODD.search(text) else [w for w in re.split("[ \t\n\v\f\r]", text) if w]
 
 
+_TOKENIZERS: dict[str, WordTokenizer] = {}
+
+
 def tokenizer(path: str) -> WordTokenizer:
     """One tokenizer for a worker process, however many tasks it runs."""
-    kept = builtins.__dict__.setdefault("_cohesion_tokenizers", {})
-    if path not in kept:
-        kept[path] = WordTokenizer(path)
-    return kept[path]
+    if path not in _TOKENIZERS:
+        _TOKENIZERS[path] = WordTokenizer(path)
+    return _TOKENIZERS[path]
 
 
 def tokenised(docs: DataFrame, tokenizer_path: str, end_id: int = END_ID, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
