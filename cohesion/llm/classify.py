@@ -20,8 +20,8 @@ from pyspark.sql import functions as F
 
 from .textvec import chunks, mix
 
-#: Documented bounds of training: rows, and bytes of the longest rows a mini-batch holds.
-SAMPLE_ROWS = 4000
+#: Documented bounds of training: rows, and characters learnt from in each.
+SAMPLE_ROWS, SAMPLE_CHARS = 4000, 20_000
 GRAMS = (2, 3, 4)
 BUCKETS = 1 << 16
 DIM = 10
@@ -154,8 +154,11 @@ def sample(docs: DataFrame, label: DataFrame | str, rows: int = SAMPLE_ROWS) ->
     chosen = known.where("_y is not null and _id is not null").groupBy("_id").agg(F.max("_y").alias("_y")).orderBy(F.xxhash64("_id"), "_id").limit(rows)
     # At most `rows` pairs of numbers: a proven bound.
     texts = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("t")).join(F.broadcast(chosen), F.col("doc_id") == F.col("_id"))
-    # Ids that repeat could bring more rows than were chosen.
-    found = texts.select("t", "_y").limit(2 * rows).collect()
+    # Of a long text a piece from its middle is learnt from, so what reaches the driver is bounded in bytes too; scoring
+    # reads whole texts. Ids that repeat could bring more rows than were chosen.
+    n = F.char_length("t")
+    piece = F.when(n <= SAMPLE_CHARS, F.col("t")).otherwise(F.substring("t", ((n - SAMPLE_CHARS) / 2).cast("int") + 1, F.lit(SAMPLE_CHARS)))
+    found = texts.select(piece.alias("t"), "_y").limit(2 * rows).collect()
     found = sorted((r["t"], r["_y"]) for r in found)
     return [t for t, _ in found], [y for _, y in found]
 

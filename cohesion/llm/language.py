@@ -1,8 +1,9 @@
 """Language identification with calibrated rejection.
 
 The classifier is that of classify, fitted on a bounded sample of rows with a language. Rejection: on sampled rows kept
-from the fit, the threshold is the score below which a share of REJECT of correctly named texts falls; a text scoring
-less, or without any letter, is rejected. See classify for nulls and empty tables.
+from the fit, the threshold is the score below which a share of REJECT of correctly named texts falls, yet no less than
+MARGIN times what a guess among the classes scores; a text scoring less, or without any letter, is rejected. Texts of
+languages not learnt score near a guess, since their n-grams say nothing. See classify for nulls and empty tables.
 """
 
 from __future__ import annotations
@@ -18,8 +19,8 @@ from . import classify
 
 FOLDS, FOLD = 4, 2
 UNDETERMINED = "und"
-#: Share of rightly named calibration texts that may be rejected.
-REJECT = 0.001
+#: Share of rightly named calibration texts that may be rejected, and the least threshold in guesses (1 / classes).
+REJECT, MARGIN = 0.001, 1.4
 
 
 def fit(docs: DataFrame, rows: int = classify.SAMPLE_ROWS) -> tuple[classify.Model, float]:
@@ -34,8 +35,8 @@ def fit(docs: DataFrame, rows: int = classify.SAMPLE_ROWS) -> tuple[classify.Mod
     model = classify.train(texts[:cut], labels[:cut])
     p = model.scores(pa.array(texts[cut:], pa.string()))
     right = [row.max() for row, y in zip(p, labels[cut:]) if model.classes[int(row.argmax())] == y]
-    # Half the quantile: a margin for texts unlike those of a small calibration set.
-    return model, float(np.quantile(right, REJECT)) / 2 if right else 0.0
+    least = MARGIN / len(model.classes) if len(model.classes) > 1 else 0.0
+    return model, max(least, float(np.quantile(right, REJECT, method="lower"))) if right else 0.0
 
 
 def _named(model: classify.Model, threshold: float, texts: pa.Array) -> tuple[list[str], np.ndarray, np.ndarray]:
