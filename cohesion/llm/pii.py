@@ -43,7 +43,7 @@ _CARD = re.compile(r"[0-9](?:[ -]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 _DIGIT = re.compile(r"[0-9]")
 _MAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
-_SPELT = ((re.compile(r"\s*[\[({<]?\s*\b(?:at|AT)\b\s*[\])}>]?\s*|\s*@\s*"), "@"), (re.compile(r"\s*[\[({<]?\s*\b(?:dot|DOT)\b\s*[\])}>]?\s*|\s*\.\s*"), "."))
+_SPELT = ((re.compile(r"\s*[\[({<]?\s*\b(?:at|AT)\b\s*[\])}>]?\s*|\s*@\s*"), "@"), (re.compile(r"\s*[\[({<]?\s*\b(?:dot|DOT)\b\s*[\])}>]?\s*"), "."))
 
 
 def luhn(digits: str) -> bool:
@@ -96,18 +96,21 @@ def codes(windows: list[str], size: int = SIZE) -> np.ndarray:
 
 
 class Tagger:
-    """Embedding, LSTMs in both directions, emissions and CRF transitions, in float32. Gates are clipped straight lines."""
+    """Embedding, LSTMs in both directions, emissions and CRF transitions, in float32.
+
+    What a cell forgets is what it does not take in (coupled gates), and all squashing is by clipped straight lines.
+    """
 
     def __init__(self, embed: int = 8, hidden: int = 8, seed: int = 3):
         rng = np.random.default_rng(seed)
         draw = lambda *shape: (rng.normal(0, 1 / np.sqrt(shape[0]), shape)).astype(np.float32)
         self.hidden = hidden
         self.p = {"E": draw(130, embed) * 2, "O": draw(2 * hidden, TAGS), "ob": np.zeros(TAGS, np.float32), "A": np.zeros((TAGS, TAGS), np.float32)}
-        gate = np.r_[np.full(3 * hidden, 0.25), np.ones(hidden)].astype(np.float32)
+        gate = np.r_[np.full(2 * hidden, 0.25), np.ones(hidden)].astype(np.float32)
         for d in "fb":
-            self.p |= {f"W{d}": draw(embed, 4 * hidden) * gate, f"U{d}": draw(hidden, 4 * hidden) * gate, f"c{d}": np.zeros(4 * hidden, np.float32)}
-            self.p[f"c{d}"][: 3 * hidden] = 0.5
-            self.p[f"c{d}"][hidden : 2 * hidden] = 0.75
+            self.p |= {f"W{d}": draw(embed, 3 * hidden) * gate, f"U{d}": draw(hidden, 3 * hidden) * gate, f"c{d}": np.zeros(3 * hidden, np.float32)}
+            self.p[f"c{d}"][:hidden] = 0.3
+            self.p[f"c{d}"][hidden : 2 * hidden] = 0.5
 
     def _direction(self, x: np.ndarray, d: str, e: np.ndarray, trace: list | None = None) -> None:
         """Adds one direction's share to the emissions e (steps, tags, windows); x: (steps, windows).
@@ -120,7 +123,7 @@ class Tagger:
         table = np.ascontiguousarray((self.p["E"] @ self.p[f"W{d}"] + self.p[f"c{d}"]).T)
         u, out = np.ascontiguousarray(self.p[f"U{d}"].T), np.ascontiguousarray((self.p["O"][:k] if d == "f" else self.p["O"][k:]).T)
         h, c = np.zeros((k, n), np.float32), np.zeros((k, n), np.float32)
-        z, fed, tc, tmp, add = (np.empty((rows, n), np.float32) for rows in (4 * k, 4 * k, k, k, TAGS))
+        z, fed, tc, tmp, add = (np.empty((rows, n), np.float32) for rows in (3 * k, 3 * k, k, k, TAGS))
         for t in range(steps) if d == "f" else range(steps - 1, -1, -1):
             if trace is not None:
                 z, tc, last_c, last_h = np.empty_like(z), np.empty_like(tc), c, h
@@ -128,20 +131,18 @@ class Tagger:
             np.dot(u, h if trace is None else last_h, out=fed)
             np.take(table, x[t], axis=1, out=z, mode="clip")  # unlike "raise", writes in place
             z += fed
-            i, f, o, g = z[:k], z[k : 2 * k], z[2 * k : 3 * k], z[3 * k :]
-            np.clip(z[: 3 * k], 0, 1, out=z[: 3 * k])
-            np.tanh(g, out=g)
-            np.multiply(c, f, out=c)
-            np.multiply(i, g, out=tmp)
+            i, o, g = z[:k], z[k : 2 * k], z[2 * k :]
+            np.clip(z[: 2 * k], 0, 1, out=z[: 2 * k])
+            np.clip(g, -1, 1, out=g)
+            # The cell moves from what it held to what is new, as far as its gate is open; so it stays within [-1, 1].
+            np.subtract(g, c, out=tmp)
+            tmp *= i
             c += tmp
-            # Cells that fade for long must not become subnormal numbers, which are slow.
-            c += np.float32(1e-18)
-            np.tanh(c, out=tc)
-            np.multiply(o, tc, out=h)
+            np.multiply(o, c, out=h)
             np.dot(out, h, out=add)
             e[t] += add
             if trace is not None:
-                trace.append((t, z, last_c, last_h, h, tc))
+                trace.append((t, z, last_c, last_h, h, c))
 
     def emissions(self, x: np.ndarray, traces: tuple[list, list] | None = None) -> np.ndarray:
         """(steps, tags, windows) of x (steps, windows)."""
@@ -162,24 +163,41 @@ class Tagger:
         same = inner.diagonal().copy()[:, None]
         np.fill_diagonal(inner, -np.inf)
         into, out_of = inner.max(axis=0)[:, None], inner.max(axis=1)[:, None]
-        gain = e[:, 1:] - e[:, :1]
-        ahead, behind = np.empty_like(gain), np.empty_like(gain)
-        last = len(gain) - 1
         enter, leave = np.maximum(a[0, 1:], 0)[:, None], np.maximum(a[1:, 0], 0)[:, None]
         enter0, leave0 = a[0, 1:, None], a[1:, 0, None]
-        # At a window's ends a stretch need not be entered or left.
-        ahead[0], behind[last] = gain[0] + enter, gain[last] + leave
-        for t in range(1, last + 1):
+        steps, _, n = e.shape
+        # First only the best that any stretch has come to, without keeping it: most windows never get that far.
+        best, other, gain = (np.full((TAGS - 1, n), -np.inf, np.float32) for _ in range(3))
+        top, most = (np.full(n, -np.inf, np.float32) for _ in range(2))
+        for t in range(steps):
+            np.add(into, most, out=other)
+            best += same
+            np.maximum(best, other, out=best)
+            # At a window's ends a stretch need not be entered or left.
+            np.maximum(best, enter0 if t else enter, out=best)
+            np.subtract(e[t, 1:], e[t, 0], out=gain)
+            best += gain
+            np.max(best, axis=0, out=most)
+            np.maximum(top, most, out=top)
+        out = np.zeros((steps, n), bool)
+        some = np.flatnonzero(top + leave.max() > -1e-3)
+        if not len(some):
+            return out
+        gain = e[:, 1:, some] - e[:, :1, some]
+        ahead = np.empty_like(gain)
+        ahead[0] = gain[0] + enter
+        for t in range(1, steps):
             now = np.maximum(ahead[t - 1] + same, enter0)
             np.maximum(now, ahead[t - 1].max(axis=0) + into, out=now)
             np.add(now, gain[t], out=ahead[t])
-            back = last - t
-            now = np.maximum(behind[back + 1] + same, leave0)
-            np.maximum(now, behind[back + 1].max(axis=0) + out_of, out=now)
-            np.add(now, gain[back], out=behind[back])
-        ahead += behind
-        ahead -= gain
-        return (ahead > -1e-3).any(axis=1)
+        behind = gain[-1] + leave
+        out[-1, some] = (ahead[-1] + leave > -1e-3).any(axis=0)
+        for t in range(steps - 2, -1, -1):
+            now = np.maximum(behind + same, leave0)
+            np.maximum(now, behind.max(axis=0) + out_of, out=now)
+            behind = now + gain[t]
+            out[t, some] = (ahead[t] + now > -1e-3).any(axis=0)
+        return out
 
     def viterbi(self, e: np.ndarray) -> np.ndarray:
         """The best tag of each character, (windows, steps), of emissions (steps, tags, windows)."""
@@ -258,25 +276,25 @@ class Tagger:
         g = {"A": da.astype(np.float32) / n, "ob": de.sum(axis=(0, 2)), "E": np.zeros_like(self.p["E"]), "O": np.zeros_like(self.p["O"])}
         for d, trace, own in (("f", traces[0], slice(0, k)), ("b", traces[1], slice(k, 2 * k))):
             part = np.matmul(self.p["O"][own], de)
-            dz_all = np.empty((steps, 4 * k, n), np.float32)
+            dz_all = np.empty((steps, 3 * k, n), np.float32)
             du, do, u = np.zeros_like(self.p[f"U{d}"]), np.zeros((k, TAGS), np.float32), self.p[f"U{d}"]
             dh, dc = np.zeros((k, n), np.float32), np.zeros((k, n), np.float32)
-            for t, zs, last_c, last_h, h, tc in reversed(trace):
+            for t, zs, last_c, last_h, h, c in reversed(trace):
                 do += h @ de[t].T
-                i, f, o, gg = zs[:k], zs[k : 2 * k], zs[2 * k : 3 * k], zs[3 * k :]
+                i, o, gg = zs[:k], zs[k : 2 * k], zs[2 * k :]
                 dh += part[t]
-                dc += dh * o * (1 - tc * tc)
+                dc += dh * o
                 dz = dz_all[t]
-                np.multiply(dc, gg, out=dz[:k])
-                np.multiply(dc, last_c, out=dz[k : 2 * k])
-                np.multiply(dh, tc, out=dz[2 * k : 3 * k])
-                np.multiply(dc * i, 1 - gg * gg, out=dz[3 * k :])
-                gates = zs[: 3 * k]
-                dz[: 3 * k] *= (gates > 0) & (gates < 1)
+                np.multiply(dc, gg - last_c, out=dz[:k])
+                np.multiply(dh, c, out=dz[k : 2 * k])
+                np.multiply(dc, i, out=dz[2 * k :])
+                gates = zs[: 2 * k]
+                dz[: 2 * k] *= (gates > 0) & (gates < 1)
+                dz[2 * k :] *= np.abs(gg) < 1
                 du += last_h @ dz.T
-                dh, dc = u @ dz, dc * f
+                dh, dc = u @ dz, dc * (1 - i)
             g["O"][own] += do
-            flat, sym = dz_all.transpose(1, 0, 2).reshape(4 * k, -1), x.T.ravel()
+            flat, sym = dz_all.transpose(1, 0, 2).reshape(3 * k, -1), x.T.ravel()
             table = np.stack([np.bincount(sym, row, minlength=130) for row in flat], axis=1).astype(np.float32)
             g |= {f"U{d}": du, f"W{d}": self.p["E"].T @ table, f"c{d}": table.sum(axis=0)}
             g["E"] += table @ self.p[f"W{d}"].T
