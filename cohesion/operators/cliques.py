@@ -10,13 +10,13 @@ from pyspark.sql import functions as F
 
 from ..graph import both_ways, oriented
 
-#: Guards that fail loudly instead of flooding the cluster.
-MAX_CLIQUES = 50_000_000
+#: Guards that fail loudly instead of flooding the cluster: maximal cliques found at one vertex, k-cliques of one clique.
+MAX_CLIQUES = 5_000_000
 MAX_SUBSETS = 1_000_000
 
 
-def k_cliques(edges: DataFrame, k: int, by: tuple[str, ...] = ()) -> DataFrame:
-    """(by, members): every set of k mutually linked vertices once, members ascending.
+def k_cliques(edges: DataFrame, k: int, by: tuple[str, ...] = (), rooted: bool = False) -> DataFrame:
+    """(by, members): every set of k mutually linked vertices once, members ascending; rooted adds its first vertex, root.
 
     Cliques grow along the orientation: a row keeps the common later neighbours of its members, so each level is one
     equi-join on the vertex that is added, and rows that can no longer reach k are dropped at once.
@@ -31,7 +31,7 @@ def k_cliques(edges: DataFrame, k: int, by: tuple[str, ...] = ()) -> DataFrame:
             rows = grown.select(*by, members)
         else:
             rows = grown.join(later, [*by, "u"]).select(*by, members, F.array_intersect("common", "later").alias("common")).where(F.size("common") >= k - size)
-    return rows.select(*by, F.array_sort("members").alias("members"))
+    return rows.select(*by, *([F.col("members")[0].alias("root")] if rooted else []), F.array_sort("members").alias("members"))
 
 
 def name(members: str = "members"):
@@ -74,16 +74,21 @@ def maximal_cliques(edges: DataFrame, min_size: int = 2, strategy: str = "ego",
     ego       one row for each vertex with its neighbours' links among themselves; cliques in an Arrow map
     frontier  DataFrame steps only: rows of (clique, may join, must not), a pivot's neighbours set aside at each step
     """
-    near = both_ways(edges, *by).groupBy(*by, "vid").agg(F.array_sort(F.collect_set("other")).alias("near"))
     out = oriented(edges, *by)
-    after = out.groupBy(*by, "u").agg(F.collect_set("v").alias("later")).withColumnRenamed("u", "vid")
-    start = near.join(after, [*by, "vid"]).select(*by, "vid", "near", "later")
+    after = out.groupBy(*by, "u").agg(F.collect_set("v").alias("later"))
     if strategy == "frontier":
+        near = both_ways(edges, *by).groupBy(*by, "vid").agg(F.array_sort(F.collect_set("other")).alias("near"))
+        start = near.join(after.withColumnRenamed("u", "vid"), [*by, "vid"]).select(*by, "vid", "near", "later")
         return _frontier(start, near, by).where(F.size("members") >= min_size)
-    # Links inside a vertex's neighbourhood: (root, member, member's neighbours there).
-    spread = start.select(*by, F.col("vid").alias("root"), "near", "later", F.explode("near").alias("vid"))
-    inside = spread.join(near.withColumnRenamed("near", "theirs"), [*by, "vid"]).select(*by, "root", "later", "vid", F.array_intersect("near", "theirs").alias("theirs"))
-    nets = inside.groupBy(*by, "root").agg(F.first("later").alias("later"), F.collect_list(F.struct("vid", "theirs")).alias("net"))
+    # One row a link u -> v: what v's later neighbours and u's have in common. It is read twice: as the links inside
+    # u's later neighbourhood, and, at v, as what an earlier neighbour is linked to of v's own. No vertex's whole
+    # neighbourhood is ever spread, only the part above it in the orientation.
+    wedges = after.select(*by, "u", "later", F.explode("later").alias("v"))
+    common = wedges.join(after.withColumnsRenamed({"u": "v", "later": "theirs"}), [*by, "v"], "left").select(*by, "u", "v", "later", F.coalesce(F.array_intersect("later", "theirs"), F.array().cast("array<bigint>")).alias("theirs"))
+    mine = common.groupBy(*by, F.col("u").alias("root")).agg(F.first("later").alias("later"), F.collect_list(F.struct(F.col("v").alias("vid"), "theirs")).alias("net"))
+    # Equal sets of several earlier neighbours rule out the same cliques.
+    earlier = common.where(F.size("theirs") > 0).select(*by, F.col("v").alias("root"), "theirs").groupBy(*by, "root").agg(F.collect_set("theirs").alias("before"))
+    nets = mine.join(earlier, [*by, "root"], "left")
     kinds = [f"{c} {edges.schema[c].dataType.simpleString()}" for c in by]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -91,9 +96,21 @@ def maximal_cliques(edges: DataFrame, min_size: int = 2, strategy: str = "ego",
         for batch in batches:
             keys, members = [[] for _ in by], []
             for row in zip(*(c.to_pylist() for c in batch.columns)):
-                root, later, net = row[k], set(row[k + 1]), row[k + 2]
-                adjacent = {x["vid"]: set(x["theirs"]) for x in net}
-                for clique in bron_kerbosch(adjacent, root, later, set(adjacent) - later):
+                root, later, net, before = row[k], set(row[k + 1]), row[k + 2], row[k + 3] or []
+                adjacent: dict = {v: set() for v in later}
+                for x in net:
+                    for w in x["theirs"]:
+                        adjacent[x["vid"]].add(w)
+                        adjacent[w].add(x["vid"])
+                for j, some in enumerate(before):
+                    adjacent["before", j] = set(some)
+                    for w in some:
+                        adjacent[w].add(("before", j))
+                found = 0
+                for clique in bron_kerbosch(adjacent, root, later, {("before", j) for j in range(len(before))}):
+                    found += 1
+                    if found > MAX_CLIQUES:
+                        raise ValueError(f"over {MAX_CLIQUES} maximal cliques at vertex {root} alone: drop weak links first (percolate_weighted)")
                     members.append(clique)
                     for i in range(k):
                         keys[i].append(row[i])
@@ -102,6 +119,18 @@ def maximal_cliques(edges: DataFrame, min_size: int = 2, strategy: str = "ego",
     return nets.mapInArrow(run, ", ".join([*kinds, "members array<long>"])).where(F.size("members") >= min_size)
 
 
+def maximal_cliques_of(edges: DataFrame, vids: DataFrame, min_size: int = 2) -> DataFrame:
+    """(members): maximal cliques of the whole graph that hold any of the given vertices (vid).
+
+    All cliques of a vertex lie in its neighbourhood, and what would extend one does too.
+    """
+    ids = vids.select("vid").distinct()
+    area = both_ways(edges).join(ids, "vid", "left_semi").select(F.col("other").alias("vid")).unionByName(ids).distinct()
+    inside = edges.select("src", "dst").join(area.toDF("src"), "src", "left_semi").join(area.toDF("dst"), "dst", "left_semi")
+    found = maximal_cliques(inside, min_size)
+    return found.select("members", F.explode("members").alias("vid")).join(ids, "vid", "left_semi").select("members").distinct()
+
+
 def _frontier(start: DataFrame, near: DataFrame, by: tuple[str, ...]) -> DataFrame:
     from ..session import written
 

@@ -77,10 +77,20 @@ def nesting(covers: DataFrame) -> DataFrame:
 
 
 def cover_vs_labels(cover: DataFrame, labels: DataFrame) -> DataFrame:
-    """(communities, purity): labels (vid, label); share of members with their community's most common label."""
+    """(communities, purity, nmi) against labels (vid, label), over the memberships of labelled vertices.
+
+    purity: share of members with their community's most common label; nmi: mutual information of community and label
+    over the mean of their entropies, 0 where either is constant.
+    """
     m = membership(cover).join(labels, "vid").groupBy("community_key", "label").agg(F.count("*").alias("n"))
     top = m.groupBy("community_key").agg(F.max("n").alias("top"), F.sum("n").alias("n"))
-    return top.agg(F.count("*").alias("communities"), F.round(F.sum("top") / F.sum("n"), 6).alias("purity"))
+    purity = top.agg(F.count("*").alias("communities"), F.round(F.sum("top") / F.sum("n"), 6).alias("purity"))
+    total = m.agg(F.sum("n").cast("double").alias("t"))
+    rows = lambda x: x.crossJoin(total).agg(F.sum(F.col("n") / F.col("t") * F.ln(F.col("n") / F.col("t"))).alias("s"))  # noqa: E731  one row of t
+    both, a, b = (rows(m.groupBy(*by).agg(F.sum("n").alias("n"))).toDF(name) for by, name in ((("community_key", "label"), "hj"), (("community_key",), "ha"), (("label",), "hb")))
+    mean = -(F.col("ha") + F.col("hb")) / 2
+    nmi = F.when(mean > 1e-12, F.round((F.col("hj") - F.col("ha") - F.col("hb")) / mean, 6)).otherwise(0.0)
+    return purity.crossJoin(both).crossJoin(a).crossJoin(b).select("communities", "purity", nmi.alias("nmi"))  # one row each
 
 
 def modularity(edges: DataFrame, partition: DataFrame) -> DataFrame:
@@ -102,16 +112,22 @@ def label_propagation(edges: DataFrame, rounds: int = 5) -> DataFrame:
     return now
 
 
-def gnm(edges: DataFrame, seed: int = 1) -> DataFrame:
-    """A random graph of as many vertices and nearly as many links: each link's ends are drawn by hash among the vertices."""
-    ids = both_ways(edges).select("vid").distinct().withColumn("b", F.pmod(F.xxhash64("vid", F.lit(seed)), F.lit(1 << 20)))
-    n = ids.count()
-    ranked = ids.withColumn("r", F.monotonically_increasing_id())
-    ranked = written(ranked.select("vid", F.col("b")), "ids")
-    take = lambda salt: F.pmod(F.xxhash64("src", "dst", F.lit(seed), F.lit(salt)), F.lit(max(1, n)))
+def gnm(edges: DataFrame, seed: int = 1, buckets: int = 1024) -> DataFrame:
+    """A random graph of as many vertices and nearly as many links: each link's ends are drawn by hash among the vertices.
+
+    Vertices are numbered by bucket and place in it, so no window spans them all.
+    """
     from pyspark.sql import Window
 
-    place = ranked.withColumn("r", F.row_number().over(Window.orderBy("b", "vid")) - 1).select("vid", "r")
+    ids = written(both_ways(edges).select("vid").distinct().withColumn("b", F.pmod(F.xxhash64("vid", F.lit(seed)), F.lit(buckets))), "ids")
+    sizes = sorted((r["b"], r["count"]) for r in ids.groupBy("b").count().collect())  # a row a bucket
+    n, starts = 0, []
+    for b, size in sizes:
+        starts.append((b, n))
+        n += size
+    offsets = edges.sparkSession.createDataFrame(starts, "b long, first long")
+    place = ids.withColumn("r", F.row_number().over(Window.partitionBy("b").orderBy("vid")) - 1).join(F.broadcast(offsets), "b").select("vid", (F.col("r") + F.col("first")).alias("r"))
+    take = lambda salt: F.pmod(F.xxhash64("src", "dst", F.lit(seed), F.lit(salt)), F.lit(max(1, n)))
     rows = edges.select(take(1).alias("ra"), take(2).alias("rb")).where("ra <> rb").select(F.least("ra", "rb").alias("ra"), F.greatest("ra", "rb").alias("rb")).distinct()
     a = rows.join(place.toDF("va", "ra"), "ra").join(place.toDF("vb", "rb"), "rb")
     return a.select(F.least("va", "vb").alias("src"), F.greatest("va", "vb").alias("dst"), F.lit(1).cast("long").alias("weight"))
@@ -152,6 +168,25 @@ def cover_similarity(a: DataFrame, b: DataFrame) -> DataFrame:
     return sx.join(best, "ka", "left").agg(F.round(F.avg(F.coalesce("j", F.lit(0.0))), 6).alias("best_jaccard"))
 
 
+def pair_f1(a: DataFrame, b: DataFrame, most: int = 1_000_000_000) -> DataFrame:
+    """(pairs_a, pairs_b, pairs_both, f1) of vertex pairs that share a community.
+
+    The pairs of a community grow with its square, so covers whose communities make more than `most` are refused.
+    """
+
+    def pairs(cover: DataFrame) -> DataFrame:
+        m = membership(cover).select("community_key", "vid")
+        n = communities(cover).agg(F.sum(F.col("size") * (F.col("size") - 1) / 2).alias("n")).first()["n"] or 0
+        if n > most:
+            raise ValueError(f"{n:.0f} pairs share a community, over {most}; compare by cover_similarity")
+        return m.withColumnRenamed("vid", "u").join(m.withColumnRenamed("vid", "v"), "community_key").where("u < v").select("u", "v").distinct()
+
+    x, y = pairs(a), pairs(b)
+    rows = x.withColumn("x", F.lit(1)).join(y.withColumn("y", F.lit(1)), ["u", "v"], "full")
+    found = rows.agg(F.count("x").alias("pairs_a"), F.count("y").alias("pairs_b"), F.count_if(F.col("x").isNotNull() & F.col("y").isNotNull()).alias("pairs_both"))
+    return found.withColumn("f1", F.round(F.coalesce(F.try_divide(F.lit(2.0) * F.col("pairs_both"), F.col("pairs_a") + F.col("pairs_b")), F.lit(1.0)), 6))
+
+
 def memberships(cover: DataFrame) -> DataFrame:
     """(communities, vertices): in how many communities vertices are."""
     return membership(cover).groupBy("vid").agg(F.count("*").alias("communities")).groupBy("communities").agg(F.count("*").alias("vertices"))

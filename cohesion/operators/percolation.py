@@ -89,8 +89,11 @@ def percolate_all(edges: DataFrame, k_min: int = 3, k_max: int | None = None) ->
     return covers if covers is not None else _keyed(found.where("false").select(F.col("clique").alias("label"), "members"), k_min, ())
 
 
-def serial_cover(links: list[tuple[int, int]], k: int) -> list[tuple[str, list[int]]]:
-    """The single-unit baseline: (community key, maximal clique) rows, by plain Python over links in memory."""
+def serial_covers(links: list[tuple[int, int]], k_min: int, k_max: int | None = None) -> list[tuple[int, str, list[int]]]:
+    """The single-unit baseline at every k: (k, community key, maximal clique) rows, by plain Python over links in memory.
+
+    Cliques and their overlaps are found once; k_max None goes on to the largest clique.
+    """
     adjacent: dict[int, set[int]] = defaultdict(set)
     for a, b in links:
         if a != b:
@@ -100,43 +103,51 @@ def serial_cover(links: list[tuple[int, int]], k: int) -> list[tuple[str, list[i
     found = []
     for v in order:
         later = {w for w in adjacent[v] if order[w] > order[v]}
-        found += [c for c in C.bron_kerbosch(adjacent, v, later, adjacent[v] - later) if len(c) >= k]
-    parent = list(range(len(found)))
-
-    def find(i: int) -> int:
-        while parent[i] != i:
-            parent[i] = parent[parent[i]]
-            i = parent[i]
-        return i
-
+        found += [c for c in C.bron_kerbosch(adjacent, v, later, adjacent[v] - later) if len(c) >= k_min]
     holds: dict[int, list[int]] = defaultdict(list)
-    sets = [set(c) for c in found]
+    overlaps: list[tuple[int, int, int]] = []
     for i, c in enumerate(found):
         shared: dict[int, int] = defaultdict(int)
         for v in c:
             for j in holds[v]:
                 shared[j] += 1
             holds[v].append(i)
-        for j, n in shared.items():
-            if n >= k - 1:
+        overlaps += [(n, i, j) for j, n in shared.items() if n >= k_min - 1]
+    out = []
+    top = max(map(len, found), default=0)
+    for k in range(k_min, min(top, k_max or top) + 1):
+        parent = list(range(len(found)))
+
+        def find(i: int) -> int:
+            while parent[i] != i:
+                parent[i] = parent[parent[i]]
+                i = parent[i]
+            return i
+
+        for n, i, j in overlaps:
+            if n >= k - 1 and len(found[i]) >= k and len(found[j]) >= k:
                 a, b = find(i), find(j)
                 parent[max(a, b)] = min(a, b)
-    least: dict[int, list[int]] = {}
-    for i, c in enumerate(found):
-        r = find(i)
-        least[r] = min(least.get(r, c[:k]), c[:k])
-    assert all(len(s) >= k for s in sets)
-    return [("-".join(map(str, least[find(i)])), c) for i, c in enumerate(found)]
+        least: dict[int, list[int]] = {}
+        own = [(find(i), c) for i, c in enumerate(found) if len(c) >= k]
+        for r, c in own:
+            least[r] = min(least.get(r, c[:k]), c[:k])
+        out += [(k, "-".join(map(str, least[r])), c) for r, c in own]
+    return out
 
 
-def percolate_local(edges: DataFrame, k: int, by: str | None = None) -> DataFrame:
-    """The serial method as one task: over the whole graph, or over each value of `by` (a piece that fits a task)."""
+def percolate_local(edges: DataFrame, k: int, by: str | None = None, k_max: int | None = -1) -> DataFrame:
+    """The serial method as one task: over the whole graph, or over each value of `by` (a piece that fits a task).
+
+    Covers at k alone; with k_max at every k up to that, and with None up to each graph's largest clique.
+    """
     rows = edges.select((F.col(by) if by else F.lit(0)).cast("long").alias("g"), "src", "dst")
+    last = k if k_max == -1 else k_max
 
     def run(table: pa.Table) -> pa.Table:
-        found = serial_cover(list(zip(table.column("src").to_pylist(), table.column("dst").to_pylist())), k)
+        found = serial_covers(list(zip(table.column("src").to_pylist(), table.column("dst").to_pylist())), k, last)
         g = table.column("g")[0].as_py()
-        return pa.table({"g": pa.array([g] * len(found), pa.int64()), "k": pa.array([k] * len(found), pa.int64()), "community_key": pa.array([x for x, _ in found], pa.string()), "members": pa.array([c for _, c in found], pa.list_(pa.int64()))})
+        return pa.table({"g": pa.array([g] * len(found), pa.int64()), "k": pa.array([n for n, _, _ in found], pa.int64()), "community_key": pa.array([x for _, x, _ in found], pa.string()), "members": pa.array([c for _, _, c in found], pa.list_(pa.int64()))})
 
     out = rows.groupBy("g").applyInArrow(run, "g long, k long, community_key string, members array<long>")
     return out.withColumnRenamed("g", by) if by else out.drop("g")
@@ -157,10 +168,13 @@ def communities(cover: DataFrame, *by: str) -> DataFrame:
 
 def k_profile(covers: DataFrame) -> DataFrame:
     """(k, n_communities, largest, second, covered) of covers at several k."""
-    sizes = communities(covers)
-    top = sizes.groupBy("k").agg(F.count("*").alias("n_communities"), F.max("size").alias("largest"), F.slice(F.sort_array(F.collect_list("size"), asc=False), 2, 1).alias("rest"))
+    # Few different sizes a k meet in one row, never the communities themselves.
+    each = communities(covers).groupBy("k", "size").agg(F.count("*").alias("n"))
+    top = each.groupBy("k").agg(F.sum("n").alias("n_communities"), F.max("size").alias("largest"), F.max_by("n", "size").alias("at_top"))
+    rest = each.join(top.select("k", "largest"), "k").where(F.col("size") < F.col("largest")).groupBy("k").agg(F.max("size").alias("rest"))
     covered = membership(covers).select("k", "vid").distinct().groupBy("k").agg(F.count("*").alias("covered"))
-    return top.join(covered, "k").select("k", "n_communities", "largest", F.coalesce(F.try_element_at("rest", F.lit(1)), F.lit(0)).alias("second"), "covered")
+    second = F.when(F.col("at_top") > 1, F.col("largest")).otherwise(F.coalesce("rest", F.lit(0)))
+    return top.join(rest, "k", "left").join(covered, "k").select("k", "n_communities", "largest", second.alias("second"), "covered")
 
 
 def suggest_k(covers: DataFrame, largest_share: float = 0.5) -> DataFrame:
@@ -175,10 +189,12 @@ def uncovered(edges: DataFrame, cover: DataFrame) -> DataFrame:
     return all_.join(membership(cover).select("vid").distinct(), "vid", "left_anti")
 
 
-def diagnose(edges: DataFrame, covers: DataFrame, share: float = 0.5) -> DataFrame:
-    """(k, no_cliques, percolating): whether a cover is empty, or one community holds most of the graph."""
+def diagnose(edges: DataFrame, covers: DataFrame, ks: list[int], share: float = 0.5) -> DataFrame:
+    """(k, no_cliques, percolating) for each asked k: whether its cover is empty, or one community holds most of the graph."""
     n = edges.select(F.col("src").alias("vid")).unionByName(edges.select(F.col("dst").alias("vid"))).agg(F.count_distinct("vid").alias("n"))
-    return k_profile(covers).join(F.broadcast(n)).select("k", (F.col("n_communities") == 0).alias("no_cliques"), (F.col("largest") >= share * F.col("n")).alias("percolating"))
+    asked = edges.sparkSession.createDataFrame([(k,) for k in sorted(set(ks))], "k long")
+    rows = asked.join(k_profile(covers), "k", "left").crossJoin(n)  # one row of n
+    return rows.select("k", F.col("n_communities").isNull().alias("no_cliques"), F.coalesce(F.col("largest") >= share * F.col("n"), F.lit(False)).alias("percolating"))
 
 
 # ---- parts, single links ---------------------------------------------------------------------------------------------
@@ -238,7 +254,9 @@ def link_impact(edges: DataFrame, u: int, v: int, op: str, k: int) -> DataFrame:
 def _seen(kept: DataFrame, anew: DataFrame, k: int) -> DataFrame:
     """Keys of new communities that share k vertices of one clique with a kept community."""
     a = anew.select("community_key", "members", F.explode("members").alias("vid"))
-    b = kept.select(F.col("members").alias("old"), F.explode("members").alias("vid"))
+    # Kept cliques far from the change fall out before their members are carried anywhere.
+    near = a.select("vid").distinct()
+    b = kept.select(F.col("members").alias("old"), F.explode("members").alias("vid")).join(near, "vid", "left_semi")
     return a.join(b, "vid").where(F.size(F.array_intersect("members", "old")) >= k).select("community_key").distinct()
 
 

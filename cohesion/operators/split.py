@@ -100,7 +100,7 @@ def grow(links: list[tuple[int, int]], size_limit: int, n_seeds: int) -> tuple[d
 
 
 def merge_small(owner: dict[int, int], links: list[tuple[int, int]], min_piece: int) -> dict[int, int]:
-    """Owners after pieces of fewer than min_piece vertices join the neighbour piece with most cut links.
+    """The piece that each ends in once those of fewer than min_piece vertices join the neighbour with most cut links.
 
     Ties go to the least piece; pieces without neighbours fill bins of min_piece together.
     """
@@ -112,8 +112,7 @@ def merge_small(owner: dict[int, int], links: list[tuple[int, int]], min_piece:
         p, q = owner[a], owner[b]
         if p != q:
             cut[min(p, q), max(p, q)] += 1
-    end = merged_into(size, [(p, q, n) for (p, q), n in cut.items()], min_piece)
-    return {v: end[p] for v, p in owner.items()}
+    return merged_into(size, [(p, q, n) for (p, q), n in cut.items()], min_piece)
 
 
 def merged_into(sizes: dict[int, int], cuts: list[tuple[int, int, int]], min_piece: int) -> dict[int, int]:
@@ -150,55 +149,99 @@ def merged_into(sizes: dict[int, int], cuts: list[tuple[int, int, int]], min_pie
     return {p: end(p) for p in sizes}
 
 
-def bfs_owners(edges: DataFrame, size_limit: int = 100, n_seeds: int = 4, min_piece: int | None = None, distributed: bool | None = None) -> DataFrame:
-    """(vid, piece) by breadth-first growth from the hubs, with restarts and the clean-up of tiny pieces.
+def _seeds_of(edges: DataFrame, size_limit: int, n_seeds: int | None) -> int:
+    """Seeds a round: as asked, or so many that the first round's pieces can cover a quarter of the graph."""
+    return n_seeds or max(1, vertices(edges).count() // (4 * max(1, size_limit)))
 
-    distributed=True without min_piece is the growth alone, which a test compares; no query asks for it.
+
+def bfs_pieces(edges: DataFrame, size_limit: int = 100, n_seeds: int | None = 4, min_piece: int | None = None, distributed: bool | None = None) -> DataFrame:
+    """(piece, vid, owned): pieces as breadth-first growth leaves them, with copies of the vertices that others hold.
+
+    Growth starts from the hubs and again from what is left over; then tiny pieces, of fewer than min_piece vertices
+    (the size limit unless named), join neighbours. One task does it up to LOCAL_LINKS links, DataFrames beyond, alike.
     """
     links = edges.select("src", "dst")
+    n_seeds = _seeds_of(edges, size_limit, n_seeds)
+    least = size_limit if min_piece is None else min_piece
     if distributed or (distributed is None and links.limit(LOCAL_LINKS + 1).count() > LOCAL_LINKS):
-        owner = _bfs_by_levels(edges, size_limit, n_seeds)
-        bare = min_piece is None and distributed
-        return owner if bare or min_piece == 1 else _small_merged(edges, owner, size_limit if min_piece is None else min_piece)
+        held = _grown_by_levels(edges, size_limit, n_seeds)[0]
+        if least > 1:
+            end = _small_merged(edges, held.where("owned").select("vid", "piece"), least)
+            held = held.join(end, "piece").groupBy(F.col("into").alias("piece"), "vid").agg(F.max("owned").alias("owned"))
+        return held.select("piece", "vid", "owned")
 
     def run(batches):
         rows = [r for b in batches for r in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
-        owner, _, _ = grow(rows, size_limit, n_seeds)
-        owner = merge_small(owner, rows, size_limit if min_piece is None else min_piece)
-        yield pa.RecordBatch.from_arrays([pa.array(list(owner), pa.int64()), pa.array(list(owner.values()), pa.int64())], ["vid", "piece"])
+        owner, reach, _ = grow(rows, size_limit, n_seeds)
+        end = merge_small(owner, rows, least)
+        held = sorted({(end[p], v) for p, own in reach.items() for v in own})
+        out = [(p, v, end[owner[v]] == p) for p, v in held]
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], kind) for i, kind in enumerate((pa.int64(), pa.int64(), pa.bool_()))], ["piece", "vid", "owned"])
+
+    return links.coalesce(1).mapInArrow(run, "piece long, vid long, owned boolean")
+
+
+def bfs_owners(edges: DataFrame, size_limit: int = 100, n_seeds: int | None = 4, min_piece: int | None = None, distributed: bool | None = None) -> DataFrame:
+    """(vid, piece) by breadth-first growth, see bfs_pieces."""
+    return bfs_pieces(edges, size_limit, n_seeds, min_piece, distributed).where("owned").select("vid", "piece")
+
+
+#: Tables of one level each that are read together before they are written as one.
+DELTAS = 8
 
-    return links.coalesce(1).mapInArrow(run, "vid long, piece long")
 
+def _grown_by_levels(edges: DataFrame, size_limit: int, n_seeds: int) -> tuple[DataFrame, list[dict]]:
+    """((piece, vid, owned) and a trace) of the same growth on graphs beyond one task.
 
-def _bfs_by_levels(edges: DataFrame, size_limit: int, n_seeds: int) -> DataFrame:
-    """The same growth on graphs beyond one task: a level is one join of the frontier with the links."""
+    A level is one join of the frontier with the links, written once as what it adds; nothing held before is rewritten but
+    every DELTAS levels. All pieces of a round step together.
+    """
     spark = edges.sparkSession
     near = written(both_ways(edges), "near")
-    owner = spark.createDataFrame([], "vid long, piece long")
-    all_ = written(degrees(edges), "degrees")
-    pieces = 0
+    ranked = written(degrees(edges), "degrees")
+    deltas: list[DataFrame] = []
+    pieces, trace, round_ = 0, [], 0
+
+    def held() -> DataFrame:
+        nonlocal deltas
+        if len(deltas) >= DELTAS:
+            whole = deltas[0]
+            for d in deltas[1:]:
+                whole = whole.unionByName(d)
+            deltas = [written(whole, "held")]
+        whole = deltas[0]
+        for d in deltas[1:]:
+            whole = whole.unionByName(d)
+        return whole
+
     while True:
-        free = all_.join(owner, "vid", "left_anti")
+        free = ranked.join(held().where("owned").select("vid"), "vid", "left_anti") if deltas else ranked
         seeds = [r["vid"] for r in free.orderBy(F.desc("degree"), "vid").limit(n_seeds).collect()]
         if not seeds:
-            return owner
-        frontier = spark.createDataFrame([(v, pieces + i) for i, v in enumerate(seeds)], "vid long, piece long")
+            break
+        front = spark.createDataFrame([(pieces + i, v, True) for i, v in enumerate(seeds)], "piece long, vid long, owned boolean")
         pieces += len(seeds)
-        held = frontier
-        owner = written(owner.unionByName(frontier), "owner")
-        while True:
-            big = held.groupBy("piece").count().where(F.col("count") >= size_limit).select("piece")
-            step = frontier.join(big, "piece", "left_anti").join(near, "vid").select("piece", F.col("other").alias("vid")).distinct().join(held, ["piece", "vid"], "left_anti")
-            step = written(step, "step")
-            if not step.limit(1).count():
+        deltas.append(written(front, "level"))
+        front, ahead, level = deltas[-1], len(seeds), 0
+        while ahead:
+            have = held()
+            small = have.groupBy("piece").count().where(F.col("count") < size_limit).select("piece")
+            step = front.join(small, "piece", "left_semi").join(near, "vid").select("piece", F.col("other").alias("vid")).distinct().join(have.select("piece", "vid"), ["piece", "vid"], "left_anti")
+            # A vertex that several reach in a level goes to the piece that was seeded first.
+            free = step.join(have.where("owned").select("vid"), "vid", "left_anti").groupBy("vid").agg(F.min("piece").alias("first"))
+            new = written(step.join(free, "vid", "left").select("piece", "vid", F.coalesce(F.col("first") == F.col("piece"), F.lit(False)).alias("owned")), "level")
+            r = new.agg(F.count("*").alias("n"), F.count_if("owned").alias("own")).first()
+            if not r["n"]:
                 break
-            held = written(held.unionByName(step.select("vid", "piece")), "held")
-            frontier = written(step.join(owner.select("vid"), "vid", "left_anti").groupBy("vid").agg(F.min("piece").alias("piece")), "frontier")
-            owner = written(owner.unionByName(frontier), "owner")
+            trace.append({"round": round_, "level": level, "frontier": ahead, "new": r["own"]})
+            deltas.append(new)
+            front, ahead, level = new.where("owned"), r["own"], level + 1
+        round_ += 1
+    return (held() if deltas else spark.createDataFrame([], "piece long, vid long, owned boolean")), trace
 
 
 def _small_merged(edges: DataFrame, owner: DataFrame, min_piece: int) -> DataFrame:
-    """merge_small beyond one memory: vertices and links are counted by DataFrames, and one task walks the pieces."""
+    """(piece, into) as merge_small has it: vertices and links are counted by DataFrames, and one task walks the pieces."""
     sizes = owner.groupBy(F.col("piece").alias("p")).agg(F.count("*").alias("n")).select("p", F.lit(None).cast("long").alias("q"), "n")
     cuts = boundary(edges, owner).groupBy(F.least("p", "q").alias("p"), F.greatest("p", "q").alias("q")).agg(F.count("*").alias("n"))
 
@@ -208,23 +251,41 @@ def _small_merged(edges: DataFrame, owner: DataFrame, min_piece: int) -> DataFra
         yield pa.RecordBatch.from_arrays([pa.array(list(end), pa.int64()), pa.array(list(end.values()), pa.int64())], ["piece", "into"])
 
     # Rows of pieces and of neighbouring pairs, not of vertices or links.
-    end = sizes.unionByName(cuts).coalesce(1).mapInArrow(run, "piece long, into long")
-    return owner.join(end, "piece").select("vid", F.col("into").alias("piece"))
+    return sizes.unionByName(cuts).coalesce(1).mapInArrow(run, "piece long, into long")
 
 
-def pieces_of(edges: DataFrame, owner: DataFrame, closure: str = "halo") -> tuple[DataFrame, DataFrame]:
+def _induced(edges: DataFrame, own: DataFrame) -> DataFrame:
+    a, b = own.select("piece", F.col("vid").alias("src")), own.select("piece", F.col("vid").alias("dst"))
+    return edges.select("src", "dst").join(a, "src").join(b, ["piece", "dst"]).select("piece", "src", "dst")
+
+
+def pieces_of(edges: DataFrame, owner: DataFrame, closure: str = "halo", k: int = 3) -> tuple[DataFrame, DataFrame]:
     """(vertices (piece, vid, owned), links (piece, src, dst)).
 
     closure: halo takes in all neighbours; triangle only those over a link in some triangle, which is smaller and as
-    exact from k = 3 on, since each link of a clique of three and more is in a triangle; none leaves neighbours out.
+    exact from k = 3 on, since each link of a clique of three and more is in a triangle; clique only those that share a
+    k-clique with an owned vertex, exact at that k and above; none leaves neighbours out.
     """
     own = owner.select("piece", "vid", F.lit(True).alias("owned"))
     if closure in ("halo", "triangle"):
         over = edges if closure == "halo" else link_support(edges)
-        near = both_ways(over).join(owner, "vid").select("piece", F.col("other").alias("vid")).distinct().join(owner, ["piece", "vid"], "left_anti")
-        own = own.unionByName(near.select("piece", "vid", F.lit(False).alias("owned")))
-    a, b = own.select("piece", F.col("vid").alias("src")), own.select("piece", F.col("vid").alias("dst"))
-    return own, edges.select("src", "dst").join(a, "src").join(b, ["piece", "dst"]).select("piece", "src", "dst")
+        near = both_ways(over).join(owner, "vid").select("piece", F.col("other").alias("vid")).distinct()
+    elif closure == "clique":
+        found = C.k_cliques(edges, k).select("members", F.explode("members").alias("vid"))
+        near = found.join(owner, "vid").select("piece", F.explode("members").alias("vid")).distinct()
+    elif closure == "none":
+        near = None
+    else:
+        raise ValueError(f"unknown closure {closure}")
+    if near is not None:
+        own = own.unionByName(near.join(owner, ["piece", "vid"], "left_anti").select("piece", "vid", F.lit(False).alias("owned")))
+    return own, _induced(edges, own)
+
+
+def printed_pieces(edges: DataFrame, size_limit: int = 100, n_seeds: int | None = 4, min_piece: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """Pieces as pieces_of, but with no border taken in: what growth has reached, flagged copies included."""
+    own = written(bfs_pieces(edges, size_limit, n_seeds, min_piece), "piece_vertices")
+    return own, _induced(edges, own)
 
 
 def split_by_cut(edges: DataFrame, cut: DataFrame) -> DataFrame:
@@ -258,23 +319,66 @@ def active_hyperlinks(hyper: DataFrame, local: DataFrame) -> DataFrame:
     return hyper.join(some.withColumnRenamed("piece", "p"), "p", "left_semi").join(some.withColumnRenamed("piece", "q"), "q", "left_semi")
 
 
-def _border_cliques(local: DataFrame, piece_vertices: DataFrame, k: int) -> DataFrame:
-    """(node, piece, members): what k or more border vertices leave of each local clique."""
+def _node(*by: str):
+    return F.concat_ws("|", "piece", *[F.col(c).cast("string") for c in by], "community_key")
+
+
+def _border_cliques(local: DataFrame, piece_vertices: DataFrame, k: int, *by: str) -> DataFrame:
+    """(by, node, piece, members): what k or more border vertices leave of each local clique."""
     border = piece_vertices.groupBy("vid").agg(F.count("*").alias("n")).where("n > 1").select("vid")
-    rows = local.select(F.concat_ws("|", "piece", "community_key").alias("node"), "piece", C.name().alias("c"), F.explode("members").alias("vid")).join(border, "vid", "left_semi")
-    return rows.groupBy("node", "piece", "c").agg(F.array_sort(F.collect_set("vid")).alias("members")).where(F.size("members") >= k).drop("c").distinct()
+    rows = local.select(*by, _node(*by).alias("node"), "piece", C.name().alias("c"), F.explode("members").alias("vid")).join(border, "vid", "left_semi")
+    return rows.groupBy(*by, "node", "piece", "c").agg(F.array_sort(F.collect_set("vid")).alias("members")).where(F.size("members") >= k).drop("c").distinct()
 
 
-def community_overlap(local: DataFrame, piece_vertices: DataFrame, k: int) -> DataFrame:
-    """(i, j, common): size of the largest clique common to two local communities of different pieces, from k on.
+def _common(left: DataFrame, right: DataFrame, k: int, on: list[str], where: str) -> DataFrame:
+    """(on, i, j, common): size of the largest clique common to two communities, from k on.
 
-    Border cliques meet on one of their s-k+1 least vertices, since common cliques of k share one of those.
+    Cliques (node, members) meet on one of their s-k+1 least vertices, since common cliques of k share one of those.
     """
+    spread = lambda x: x.withColumn("vid", F.explode(F.slice("members", F.lit(1), F.size("members") - k + 1)))
+    a, b = spread(left).withColumnRenamed("node", "i"), spread(right).withColumnsRenamed({"node": "j", "members": "mj"})
+    met = a.join(b, [*on, "vid"]).where(where).select(*on, "i", "j", F.size(F.array_intersect("members", "mj")).alias("common"))
+    return met.where(F.col("common") >= k).groupBy(*on, "i", "j").agg(F.max("common").cast("long").alias("common"))
+
+
+def community_overlap(local: DataFrame, piece_vertices: DataFrame, k: int) -> DataFrame:
+    """(i, j, common): size of the largest clique common to two local communities of different pieces, from k on."""
     rows = _border_cliques(local, piece_vertices, k)
-    at = rows.select("node", "piece", "members", F.explode(F.slice("members", F.lit(1), F.size("members") - k + 1)).alias("vid"))
-    other = at.withColumnsRenamed({"node": "j", "piece": "q", "members": "mj"})
-    met = at.join(other, "vid").where("piece < q").select(F.col("node").alias("i"), "j", F.size(F.array_intersect("members", "mj")).alias("common"))
-    return met.where(F.col("common") >= k).groupBy("i", "j").agg(F.max("common").cast("long").alias("common"))
+    return _common(rows, rows.withColumnRenamed("piece", "q"), k, [], "piece < q")
+
+
+def overlap_matrix(local: DataFrame, piece_vertices: DataFrame, k_min: int) -> DataFrame:
+    """(k, i, j, common) of local covers at several k: the largest common clique of two communities of one k.
+
+    Cliques of different pieces are compared once, whatever the number of k.
+    """
+    cliques = local.select("piece", "members").distinct().withColumn("community_key", C.name())
+    rows = _border_cliques(cliques, piece_vertices, k_min)
+    met = written(_common(rows, rows.withColumnRenamed("piece", "q"), k_min, [], "piece < q"), "common")
+    at = local.select("k", _node("k").alias("node"), F.concat_ws("|", "piece", C.name()).alias("c")).distinct()
+    both = met.join(at.withColumnsRenamed({"node": "a", "c": "i"}), "i").join(at.withColumnsRenamed({"node": "b", "c": "j"}), ["j", "k"])
+    return both.groupBy("k", F.col("a").alias("i"), F.col("b").alias("j")).agg(F.max("common").alias("common")).where(F.col("common") >= F.col("k"))
+
+
+def _hyperlink_overlap(local: DataFrame, piece_vertices: DataFrame, k: int) -> DataFrame:
+    """(i, j): communities that share a k-clique, found at each hyperlink whose two pieces both have communities.
+
+    Only the region that the two pieces share is looked at: local cliques are cut to it before they are compared.
+    """
+    a = piece_vertices.select("vid", F.col("piece").alias("p"))
+    shared = a.join(a.withColumnRenamed("p", "q"), "vid").where("p < q")
+    live = active_hyperlinks(shared.groupBy("p", "q").agg(F.count("*").alias("n")).where(F.col("n") >= k).select("p", "q"), local)
+    region = shared.join(live, ["p", "q"], "left_semi")
+    rows = local.select(_node().alias("node"), "piece", C.name().alias("c"), F.explode("members").alias("vid"))
+    cut = lambda end: rows.withColumnRenamed("piece", end).join(region, [end, "vid"]).groupBy("p", "q", "node", "c").agg(F.array_sort(F.collect_set("vid")).alias("members")).where(F.size("members") >= k).drop("c").distinct()
+    return _common(cut("p"), cut("q"), k, ["p", "q"], "true").select("i", "j")
+
+
+def _lifted(local: DataFrame, labels: DataFrame, *by: str) -> DataFrame:
+    """The cover (k, community_key, members) of local communities with the labels of those that were joined."""
+    rows = local.withColumn("node", _node(*by)).join(labels, "node", "left").select(F.coalesce("label", "node").alias("label"), "k", "members")
+    own = rows.groupBy("label").agg(F.min(F.slice("members", F.lit(1), F.col("k").cast("int"))).alias("least"))
+    return rows.join(own, "label").select("k", C.name("least").alias("community_key"), "members").distinct()
 
 
 def merge_local(local: DataFrame, piece_vertices: DataFrame, k: int, method: str = "overlap") -> DataFrame:
@@ -282,7 +386,7 @@ def merge_local(local: DataFrame, piece_vertices: DataFrame, k: int, method: str
 
     overlap    local communities whose largest common clique has k members or more
     kclique    equi-join on the k-cliques of the border, a star for each
-    hyperlink  as overlap, labels relaxed along all hyperlinks at once until none moves
+    hyperlink  each link of the hyper-network by itself, labels relaxed along all hyperlinks at once until none moves
     """
     if method == "kclique":
 
@@ -300,39 +404,98 @@ def merge_local(local: DataFrame, piece_vertices: DataFrame, k: int, method: str
         at = _border_cliques(local, piece_vertices, k).select("node", "members").mapInArrow(subsets, "node string, c string").distinct()
         least = at.groupBy("c").agg(F.min("node").alias("least"), F.count("*").alias("n")).where("n > 1")
         links = at.join(least, "c").where("node <> least").select(F.col("node").alias("u"), F.col("least").alias("v")).distinct()
-    else:
+    elif method == "hyperlink":
+        links = _hyperlink_overlap(local, piece_vertices, k).select(F.col("i").alias("u"), F.col("j").alias("v"))
+    elif method == "overlap":
         links = community_overlap(local, piece_vertices, k).select(F.col("i").alias("u"), F.col("j").alias("v"))
-    labels = components(links, method="minlabel") if method == "hyperlink" else labels_of(links)
-    rows = local.withColumn("node", F.concat_ws("|", "piece", "community_key")).join(labels, "node", "left").select(F.coalesce("label", "node").alias("label"), "k", "members")
-    own = rows.groupBy("label").agg(F.min(F.slice("members", 1, k)).alias("least"))
-    return rows.join(own, "label").select("k", C.name("least").alias("community_key"), "members").distinct()
+    else:
+        raise ValueError(f"unknown merge {method}")
+    return _lifted(local, components(links, method="minlabel") if method == "hyperlink" else labels_of(links))
+
+
+def _pieces(edges: DataFrame, rule: str, closure: str, k: int, **kw) -> tuple[DataFrame, DataFrame]:
+    if closure == "printed":
+        pv, pe = printed_pieces(edges, **kw)
+    else:
+        owner = written(owners(edges, rule, **kw), "owners")
+        pv, pe = pieces_of(edges, owner, closure, k)
+    return written(pv, "piece_vertices"), written(pe, "piece_edges")
 
 
 def percolate_split(edges: DataFrame, k: int, rule: str = "bfs", executor: str = "local", method: str = "overlap", closure: str = "halo", measures: dict | None = None, **kw) -> DataFrame:
     """Split, solve, merge. measures, if given, receives seconds of each stage and the pieces' figures."""
     began = time.time()
     edges = written(edges.select("src", "dst"), "edges")
-    owner = written(owners(edges, rule, **kw), "owners")
-    pv, pe = pieces_of(edges, owner, closure)
-    pv, pe = written(pv, "piece_vertices"), written(pe, "piece_edges")
+    pv, pe = _pieces(edges, rule, closure, k, **kw)
     split = time.time()
-    local = written(percolate_pieces(pe, k, executor), "local")
+    # Scheduling is what dealing the links to their pieces takes; the rest of the stage is work on them.
+    dealt = written(pe.repartition("piece"), "dealt") if measures is not None else pe
+    scheduled = time.time()
+    local = written(percolate_pieces(dealt, k, executor), "local")
     solved = time.time()
     cover = merge_local(local, pv, k, method)
     if measures is not None:
         cover = written(cover, "cover")
-        n = pv.agg(F.count("*").alias("c"), F.count_distinct("vid").alias("n"), F.count_distinct("piece").alias("p")).first()
-        measures |= {"split_s": split - began, "local_s": solved - split, "merge_s": time.time() - solved, "total_s": time.time() - began, "pieces": n["p"], "replication": n["c"] / max(1, n["n"])}
+        measures |= {"split_s": split - began, "schedule_s": scheduled - split, "local_s": solved - scheduled, "merge_s": time.time() - solved, "total_s": time.time() - began}
+        measures |= {"schedule_merge_s": measures["schedule_s"] + measures["merge_s"]} | figures(pv, pe, local)
     return cover
 
 
+def percolate_split_all(edges: DataFrame, k_min: int = 3, k_max: int | None = None, rule: str = "bfs", closure: str = "halo", **kw) -> DataFrame:
+    """Covers at every k by one split: pieces are solved at all k, one matrix of common cliques serves every threshold."""
+    edges = written(edges.select("src", "dst"), "edges")
+    pv, pe = _pieces(edges, rule, closure, k_min, **kw)
+    local = written(percolate_local(pe, k_min, "piece", k_max), "local")
+    links = overlap_matrix(local, pv, k_min).select(F.col("i").alias("u"), F.col("j").alias("v"))
+    return _lifted(local, labels_of(links), "k")
+
+
+def percolate_one_sided(edges: DataFrame, owner: DataFrame, k: int) -> DataFrame:
+    """The cover at k with one-sided borders: each k-clique is only in the piece that owns its vertex of least (degree, id).
+
+    Two adjacent cliques need no common piece; local communities are joined where they share a face of k-1 vertices.
+    """
+    found = C.k_cliques(edges, k, rooted=True)
+    at = written(found.join(owner.toDF("root", "piece"), "root").select("piece", F.concat_ws("|", "piece", C.name()).alias("clique"), "members"), "cliques")
+    inside = C.adjacency_links(at, k, ("piece",))
+    labels = labels_of(inside)
+    local = written(at.join(labels.withColumnRenamed("node", "clique"), "clique", "left").select("clique", F.coalesce("label", "clique").alias("local"), "members"), "local")
+    # Faces of local communities, each once, joined by a star a face.
+    faces = C.faces(local.select(F.col("local").alias("clique"), "members"), k).distinct()
+    least = faces.groupBy("face").agg(F.min("clique").alias("least"), F.count("*").alias("n")).where("n > 1")
+    links = faces.join(least, "face").where("clique <> least").select(F.col("clique").alias("u"), F.col("least").alias("v")).distinct()
+    whole = local.join(labels_of(links).withColumnRenamed("node", "local"), "local", "left").select(F.coalesce("label", "local").alias("label"), "members")
+    own = whole.groupBy("label").agg(F.min("members").alias("least"))
+    return whole.join(own, "label").select(F.lit(k).cast("long").alias("k"), C.name("least").alias("community_key"), "members")
+
+
 # ---- figures of pieces -----------------------------------------------------------------------------------------------
 
 
-def piece_stats(piece_vertices: DataFrame) -> DataFrame:
-    """(pieces, smallest, largest, owned_least, owned_most)."""
+def piece_stats(piece_vertices: DataFrame, size_limit: int = 0) -> DataFrame:
+    """(pieces, smallest, median, largest, owned_least, owned_most, overshoot): overshoot is what the most owned exceed the limit by."""
     sizes = piece_vertices.groupBy("piece").agg(F.count("*").alias("n"), F.count_if("owned").alias("own"))
-    return sizes.agg(F.count("*").alias("pieces"), F.min("n").alias("smallest"), F.max("n").alias("largest"), F.min("own").alias("owned_least"), F.max("own").alias("owned_most"))
+    return sizes.agg(
+        F.count("*").alias("pieces"), F.min("n").alias("smallest"), F.percentile("n", 0.5).alias("median"), F.max("n").alias("largest"), F.min("own").alias("owned_least"), F.max("own").alias("owned_most"),
+        F.greatest(F.lit(0).cast("long"), F.max("own") - size_limit).alias("overshoot"),
+    )
+
+
+def figures(piece_vertices: DataFrame, piece_edges: DataFrame, local: DataFrame) -> dict:
+    """Pieces, their sizes, and how much vertices, links and cliques are copied."""
+    s = piece_stats(piece_vertices).first()
+    r = replication(piece_vertices, piece_edges).first()
+    c = duplicated_cliques(local).first()
+    return {
+        "pieces": s["pieces"], "smallest": s["smallest"], "median": s["median"], "largest": s["largest"], "replication": r["vertex_copies"] / max(1, r["vertices"]), "link_replication": r["link_copies"] / max(1, r["links"]),
+        "clique_replication": c["copies"] / max(1, c["cliques"]),
+    }
+
+
+def duplicated_cliques(local: DataFrame) -> DataFrame:
+    """(cliques, copies, in_border): local cliques, how often they are found in all, and those found in two pieces or more."""
+    each = local.groupBy(C.name().alias("c")).agg(F.count_distinct("piece").alias("n"))
+    return each.agg(F.count("*").alias("cliques"), F.coalesce(F.sum("n"), F.lit(0)).alias("copies"), F.count_if(F.col("n") > 1).alias("in_border"))
 
 
 def replication(piece_vertices: DataFrame, piece_edges: DataFrame) -> DataFrame:
@@ -355,21 +518,38 @@ def piece_bytes(piece_edges: DataFrame, link_bytes: int = 200) -> DataFrame:
     return piece_edges.groupBy("piece").agg(F.count("*").alias("links")).withColumn("bytes", F.col("links") * link_bytes)
 
 
-def split_trace(edges: DataFrame, size_limit: int = 100, n_seeds: int = 4) -> DataFrame:
-    """(round, level, frontier, new) of breadth-first growth in one task; rounds after the first are restarts."""
+def split_trace(edges: DataFrame, size_limit: int = 100, n_seeds: int | None = 4, distributed: bool | None = None) -> DataFrame:
+    """(round, level, frontier, new) of breadth-first growth; rounds after the first are restarts."""
     links = edges.select("src", "dst")
-    if links.limit(LOCAL_LINKS + 1).count() > LOCAL_LINKS:
-        raise ValueError(f"a trace is taken in one task, of at most {LOCAL_LINKS} links")
+    n_seeds = _seeds_of(edges, size_limit, n_seeds)
+    names = ("round", "level", "frontier", "new")
+    if distributed or (distributed is None and links.limit(LOCAL_LINKS + 1).count() > LOCAL_LINKS):
+        rows = _grown_by_levels(edges, size_limit, n_seeds)[1]  # a row a level
+        return edges.sparkSession.createDataFrame([tuple(t[n] for n in names) for t in rows], "round long, level long, frontier long, new long")
 
     def run(batches):
         rows = [r for b in batches for r in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
         trace = grow(rows, size_limit, n_seeds)[2]
-        names = ("round", "level", "frontier", "new")
         yield pa.RecordBatch.from_arrays([pa.array([t[n] for t in trace], pa.int64()) for n in names], list(names))
 
     return links.coalesce(1).mapInArrow(run, "round long, level long, frontier long, new long")
 
 
+def tiny_pieces(edges: DataFrame, size_limit: int, n_seeds: int | None = 4) -> DataFrame:
+    """(pieces, tiny, after): pieces that growth leaves, those below the size limit, and pieces once tiny ones are merged."""
+    n_seeds = _seeds_of(edges, size_limit, n_seeds)
+    before = bfs_pieces(edges, size_limit, n_seeds, 1).where("owned").groupBy("piece").count()
+    after = bfs_owners(edges, size_limit, n_seeds).agg(F.count_distinct("piece").alias("after"))
+    return before.agg(F.count("*").alias("pieces"), F.count_if(F.col("count") < size_limit).alias("tiny")).crossJoin(after)  # one row each
+
+
+def clique_coverage(edges: DataFrame, piece_edges: DataFrame, k: int) -> DataFrame:
+    """(cliques, lost): k-cliques of the graph, and those that no piece has whole."""
+    whole = C.k_cliques(edges, k).select("members")
+    held = C.k_cliques(piece_edges, k, ("piece",)).select("members").distinct()
+    return whole.agg(F.count("*").alias("cliques")).crossJoin(whole.join(held, "members", "left_anti").agg(F.count("*").alias("lost")))  # one row each
+
+
 def coverage(edges: DataFrame, piece_edges: DataFrame) -> DataFrame:
     """(links, lost): links in no piece."""
     lost = edges.select("src", "dst").join(piece_edges.select("src", "dst").distinct(), ["src", "dst"], "left_anti")

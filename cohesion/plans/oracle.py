@@ -10,19 +10,15 @@ def _k(k: int, sep: str = ", ", fmt: str = "m{}") -> str:
 def cliques(edges: str, k: int, by: str = "", keep: str = "true") -> str:
     """CTEs e and cl (by, m1..mk, id): k-cliques for which keep holds, numbered in the order of their members."""
     b = f"{by}, " if by else ""
-    joins, where = [], []
-    for j in range(2, k + 1):
-        for i in range(1, j):
-            same = f" AND e{i}_{j}.{by} = e1_2.{by}" if by and (i, j) != (1, 2) else ""
-            if (i, j) == (1, 2):
-                joins.append("e e1_2")
-            else:
-                left = f"e1_{i}.dst" if i > 1 else "e1_2.src"
-                right = "" if i == 1 else f" AND e{i}_{j}.dst = e1_{j}.dst"
-                joins.append(f"JOIN e e{i}_{j} ON e{i}_{j}.src = {left}{right}{same}" + (f" AND e1_{j}.dst > e1_{j - 1}.dst" if i == 1 else ""))
-    members = ", ".join(["e1_2.src AS m1", *(f"e1_{j}.dst AS m{j}" for j in range(2, k + 1))])
-    by_col = f"e1_2.{by} AS {by}, " if by else ""
-    return f"e AS ({edges}), c0 AS (SELECT {by_col}{members} FROM {' '.join(joins)}), cl AS (SELECT *, row_number() OVER (ORDER BY {b}{_k(k)}) AS id FROM c0 WHERE {keep})"
+    p = f"p.{by}, " if by else ""
+    # One step a member: planners misjudge one join of all pairs at once.
+    steps = [f"c2 AS MATERIALIZED (SELECT {b}src AS m1, dst AS m2 FROM e)"]
+    for j in range(3, k + 1):
+        same = f" AND x.{by} = p.{by}" if by else ""
+        # Links to the earlier members are tested, not joined, or planners may join them with each other first.
+        linked = "".join(f" AND ({p}p.m{i}, x.dst) IN (SELECT ({b}src, dst) FROM e)" for i in range(1, j - 1))
+        steps.append(f"c{j} AS MATERIALIZED (SELECT {p}{_k(j - 1, fmt='p.m{}')}, x.dst AS m{j} FROM c{j - 1} p JOIN e x ON x.src = p.m{j - 1}{same} WHERE true{linked})")
+    return f"e AS MATERIALIZED ({edges}), {', '.join(steps)}, cl AS (SELECT *, row_number() OVER (ORDER BY {b}{_k(k)}) AS id FROM c{k} WHERE {keep})"
 
 
 def cover(edges: str, k: int, by: str = "", keep: str = "true") -> str:
@@ -44,6 +40,6 @@ def communities(edges: str, k: int, by: str = "", shown_k: int | None = None, ke
     return f"WITH RECURSIVE {cover(edges, k, by, keep)} SELECT {b}CAST({shown_k or k} AS BIGINT) AS k, community_key, count(*) AS size FROM mem GROUP BY ALL"
 
 
-def over(edges: str, k: int, select: str) -> str:
-    """A query over e, cl and mem of a cover."""
-    return f"WITH RECURSIVE {cover(edges, k)} {select}"
+def over(edges: str, k: int, select: str, by: str = "") -> str:
+    """A query over e, cl, lab, keys and mem of a cover."""
+    return f"WITH RECURSIVE {cover(edges, k, by)} {select}"

@@ -39,6 +39,8 @@ GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "copurchase_repeat": B.copurchase_repeat,
     "cosupply": B.cosupply,
     "word_assoc": B.word_assoc,
+    "word_arcs": B.word_arcs,
+    "customer_copart": B.customer_copart,
     "user_follow": B.follow_links,
     "user_follow_arcs": B.user_follow,
     "near_copy": B.near_copies,
@@ -51,34 +53,38 @@ for _name, _make in GRAPHS.items():
     query(f"edges_{_name}", _make, B.SQL[_name])
 
 MONTH, QUARTER, REPEAT = (B.SQL[f"copurchase_{w}"] for w in ("month", "quarter", "repeat"))
-month, quarter, repeat = (GRAPHS[f"copurchase_{w}"] for w in ("month", "quarter", "repeat"))
-_ENDS = f"(SELECT src AS vid FROM ({MONTH}) UNION ALL SELECT dst FROM ({MONTH}))"
+month, quarter, year, repeat = (GRAPHS[f"copurchase_{w}"] for w in ("month", "quarter", "year", "repeat"))
+#: Operators run on the graph of all pages; the co-purchase graphs of 1997 stand for the reference's own workloads.
+NAV = B.SQL["nav_coded"]
+nav = lambda s, d: B.coded(B.nav_links(s, d))[0]
+words = lambda s, d: B.coded(B.word_assoc(s, d))[0]
+_ENDS = f"(SELECT src AS vid FROM ({NAV}) UNION ALL SELECT dst FROM ({NAV}))"
 
 # ---- graph figures
-query("graph_size", lambda s, d: M.graph_size(month(s, d)), f"SELECT (SELECT count(DISTINCT vid) FROM {_ENDS}) AS n, (SELECT count(*) FROM ({MONTH})) AS m")
-query("degrees", lambda s, d: degrees(month(s, d)), f"SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid")
+query("graph_size", lambda s, d: M.graph_size(nav(s, d)), f"SELECT (SELECT count(DISTINCT vid) FROM {_ENDS}) AS n, (SELECT count(*) FROM ({NAV})) AS m")
+query("degrees", lambda s, d: degrees(nav(s, d)), f"SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid")
 _DEG = f"SELECT degree, count(*) AS n FROM (SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid) GROUP BY degree"
-query("degree_ccdf", lambda s, d: M.degree_distribution(month(s, d)), f"SELECT degree, n AS n_vertices, CAST(sum(n) OVER (ORDER BY degree DESC) AS BIGINT) AS at_least FROM ({_DEG})")
-_TRI = f"WITH {O.cliques(MONTH, 3)}, t AS (SELECT vid, count(*) AS triangles FROM (SELECT unnest([m1, m2, m3]) AS vid FROM cl) GROUP BY vid)"
-query("triangles", lambda s, d: M.triangles(month(s, d)), f"{_TRI} SELECT * FROM t")
-query("clustering", lambda s, d: M.clustering(month(s, d)), f"{_TRI}, g AS (SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid) SELECT count(*) AS vertices, round(avg(coalesce(triangles, 0) * 2.0 / (degree * (degree - 1))), 6) AS clustering FROM g LEFT JOIN t USING (vid) WHERE degree > 1")
-query("link_support", lambda s, d: M.link_support(month(s, d)), f"WITH {O.cliques(MONTH, 3)} SELECT src, dst, count(*) AS support FROM (SELECT m1 AS src, m2 AS dst FROM cl UNION ALL SELECT m1, m3 FROM cl UNION ALL SELECT m2, m3 FROM cl) GROUP BY ALL")
+query("degree_ccdf", lambda s, d: M.degree_distribution(nav(s, d)), f"SELECT degree, n AS n_vertices, CAST(sum(n) OVER (ORDER BY degree DESC) AS BIGINT) AS at_least FROM ({_DEG})")
+_TRI = f"WITH {O.cliques(NAV, 3)}, t AS (SELECT vid, count(*) AS triangles FROM (SELECT unnest([m1, m2, m3]) AS vid FROM cl) GROUP BY vid)"
+query("triangles", lambda s, d: M.triangles(nav(s, d)), f"{_TRI} SELECT * FROM t")
+query("clustering", lambda s, d: M.clustering(nav(s, d)), f"{_TRI}, g AS (SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid) SELECT count(*) AS vertices, round(avg(coalesce(triangles, 0) * 2.0 / (degree * (degree - 1))), 6) AS clustering FROM g LEFT JOIN t USING (vid) WHERE degree > 1")
+query("link_support", lambda s, d: M.link_support(nav(s, d)), f"WITH {O.cliques(NAV, 3)} SELECT src, dst, count(*) AS support FROM (SELECT m1 AS src, m2 AS dst FROM cl UNION ALL SELECT m1, m3 FROM cl UNION ALL SELECT m2, m3 FROM cl) GROUP BY ALL")
 query("mutual", lambda s, d: to_undirected(B.user_follow(s, d), "mutual"), f"WITH a AS ({B.SQL['user_follow_arcs']}) SELECT x.src, x.dst, CAST(2 AS BIGINT) AS weight FROM a x JOIN a y ON x.src = y.dst AND x.dst = y.src WHERE x.src < x.dst")
 
-_CORE = f"WITH e0 AS ({MONTH})" + "".join(
+_CORE = f"WITH e0 AS ({NAV})" + "".join(
     f", d{i} AS (SELECT vid FROM (SELECT src AS vid FROM e{i} UNION ALL SELECT dst FROM e{i}) GROUP BY vid HAVING count(*) >= 3), e{i + 1} AS (SELECT * FROM e{i} WHERE src IN (SELECT vid FROM d{i}) AND dst IN (SELECT vid FROM d{i}))" for i in range(8)
 )
-query("kcore", lambda s, d: kcore(month(s, d), 3), f"{_CORE} SELECT * FROM e8")
-_STRONG = f"WITH e0 AS MATERIALIZED ({MONTH})" + "".join(
+query("kcore", lambda s, d: kcore(nav(s, d), 3), f"{_CORE} SELECT * FROM e8")
+_STRONG = f"WITH e0 AS MATERIALIZED ({NAV})" + "".join(
     f", t{i} AS (SELECT a.src AS x, a.dst AS y, b.dst AS z FROM e{i} a JOIN e{i} b ON a.dst = b.src JOIN e{i} c ON c.src = a.src AND c.dst = b.dst), s{i} AS (SELECT src, dst FROM (SELECT x AS src, y AS dst FROM t{i} UNION ALL SELECT x, z FROM t{i} UNION ALL SELECT y, z FROM t{i}) GROUP BY ALL HAVING count(*) >= 2), "
     f"e{i + 1} AS MATERIALIZED (SELECT e{i}.* FROM e{i} JOIN s{i} USING (src, dst))" for i in range(5)
 )
-query("support_pruned", lambda s, d: support_pruned(month(s, d), 4), f"{_STRONG} SELECT * FROM e5")
-query("mean_distance", lambda s, d: M.mean_distance(month(s, d)))
+query("support_pruned", lambda s, d: support_pruned(nav(s, d), 4), f"{_STRONG} SELECT * FROM e5")
+query("mean_distance", lambda s, d: M.mean_distance(nav(s, d)))
 
 # ---- cliques
 for _k in (3, 4, 5):
-    query(f"kcliques_{_k}", lambda s, d, k=_k: C.k_cliques(month(s, d), k).select(C.name().alias("members")), f"WITH {O.cliques(MONTH, _k)} SELECT concat_ws('-', {', '.join(f'm{i}' for i in range(1, _k + 1))}) AS members FROM cl")
+    query(f"kcliques_{_k}", lambda s, d, k=_k: C.k_cliques(nav(s, d), k).select(C.name().alias("members")), f"WITH {O.cliques(NAV, _k)} SELECT concat_ws('-', {', '.join(f'm{i}' for i in range(1, _k + 1))}) AS members FROM cl")
 _MAXIMAL = (
     "WITH RECURSIVE e AS ({edges}), n AS (SELECT src AS v, dst AS w FROM e UNION ALL SELECT dst, src FROM e), nl AS (SELECT v, list(w) AS ws FROM n GROUP BY v), "
     "g(members, common) AS (SELECT [v], ws FROM nl UNION ALL SELECT list_append(g.members, x.c), list_intersect(g.common, nl.ws) FROM (SELECT members, common, unnest(common) AS c FROM g) x JOIN g ON g.members = x.members JOIN nl ON nl.v = x.c WHERE x.c > x.members[-1]), "
@@ -87,14 +93,15 @@ _MAXIMAL = (
 query("maximal_cliques_repeat", lambda s, d: C.maximal_cliques(repeat(s, d)).select(C.name().alias("members")), _MAXIMAL.format(edges=REPEAT) + " SELECT array_to_string(members, '-') AS members FROM mx")
 query("maximal_cliques_frontier", lambda s, d: C.maximal_cliques(repeat(s, d), 2, "frontier").select(C.name().alias("members")), ORACLES["q_maximal_cliques_repeat"])
 query("maximal_cliques_month", lambda s, d: C.maximal_cliques(month(s, d)).select(C.name().alias("members")), _MAXIMAL.format(edges=MONTH) + " SELECT array_to_string(members, '-') AS members FROM mx")
-query("clique_histogram", lambda s, d: C.maximal_cliques(month(s, d)).groupBy(F.size("members").cast("long").alias("size")).agg(F.count("*").alias("n")), _MAXIMAL.format(edges=MONTH) + " SELECT len(members) AS size, count(*) AS n FROM mx GROUP BY ALL")
+query("maximal_cliques_nav", lambda s, d: C.maximal_cliques(nav(s, d)).select(C.name().alias("members")), _MAXIMAL.format(edges=NAV) + " SELECT array_to_string(members, '-') AS members FROM mx")
+query("clique_histogram", lambda s, d: C.maximal_cliques(nav(s, d)).groupBy(F.size("members").cast("long").alias("size")).agg(F.count("*").alias("n")), _MAXIMAL.format(edges=NAV) + " SELECT len(members) AS size, count(*) AS n FROM mx GROUP BY ALL")
 _OVER = ", ov AS (SELECT array_to_string(a.members, '-') AS ca, array_to_string(b.members, '-') AS cb, len(list_intersect(a.members, b.members)) AS shared FROM mx a, mx b WHERE a.members < b.members AND len(list_intersect(a.members, b.members)) >= 2) SELECT least(ca, cb) AS ci, greatest(ca, cb) AS cj, CAST(shared AS BIGINT) AS shared FROM ov"
-query("clique_overlaps", lambda s, d: C.clique_overlaps(C.maximal_cliques(month(s, d), 3), 2).select("ci", "cj", F.col("shared").cast("long").alias("shared")), _MAXIMAL.format(edges=MONTH) + _OVER)
+query("clique_overlaps", lambda s, d: C.clique_overlaps(C.maximal_cliques(nav(s, d), 3), 2).select("ci", "cj", F.col("shared").cast("long").alias("shared")), _MAXIMAL.format(edges=NAV) + _OVER)
 query("clique_overlaps_follow", lambda s, d: C.clique_overlaps(C.maximal_cliques(B.follow_links(s, d), 3), 2).select("ci", "cj", F.col("shared").cast("long").alias("shared")), _MAXIMAL.format(edges=B.SQL["user_follow"]) + _OVER.replace("FROM mx a, mx b WHERE", "FROM mx a, mx b WHERE len(a.members) > 2 AND len(b.members) > 2 AND"))
-query("threshold_graph_k4", lambda s, d: (lambda c: C.threshold_graph(c, C.clique_overlaps(c, 3), 4)[1].select("ci", "cj", F.col("shared").cast("long").alias("shared")))(C.maximal_cliques(month(s, d), 4)), _MAXIMAL.format(edges=MONTH) + _OVER + " WHERE shared >= 3")
+query("threshold_graph_k4", lambda s, d: (lambda c: C.threshold_graph(c, C.clique_overlaps(c, 3), 4)[1].select("ci", "cj", F.col("shared").cast("long").alias("shared")))(C.maximal_cliques(nav(s, d), 4)), _MAXIMAL.format(edges=NAV) + _OVER + " WHERE shared >= 3")
 _CC = "WITH RECURSIVE e AS ({edges}), l AS (SELECT src AS a, dst AS b FROM e UNION SELECT dst, src FROM e), cc(id, lab) USING KEY (id) AS (SELECT DISTINCT a AS id, a AS lab FROM l UNION (SELECT l.b AS id, min(c.lab) AS lab FROM cc c JOIN l ON l.a = c.id JOIN recurring.cc r ON r.id = l.b WHERE c.lab < r.lab GROUP BY l.b)) SELECT id AS node, lab AS label FROM cc"
 for _m in ("star", "minlabel", "twophase"):
-    query(f"components_{_m}", lambda s, d, m=_m: components(month(s, d).select(F.col("src").alias("u"), F.col("dst").alias("v")), method=m), _CC.format(edges=MONTH))
+    query(f"components_{_m}", lambda s, d, m=_m: components(nav(s, d).select(F.col("src").alias("u"), F.col("dst").alias("v")), method=m), _CC.format(edges=NAV))
 
 # ---- communities
 _CASES = [("month", 3), ("month", 4), ("month", 5), ("quarter", 4), ("repeat", 3)]
@@ -106,13 +113,14 @@ query("percolate_cosupply_k3", lambda s, d: P.communities(P.percolate(B.cosupply
 for _g, _k, _make in (("nav", 3, B.nav_links), ("nav", 4, B.nav_links), ("word_assoc", 3, B.word_assoc), ("word_assoc", 5, B.word_assoc)):
     query(f"percolate_{_g}_k{_k}", lambda s, d, f=_make, k=_k: P.communities(P.percolate(B.coded(f(s, d))[0], k)), O.communities(B.SQL[f"{_g}_coded"], _k))
 query("percolate_no_clique", lambda s, d: P.communities(P.percolate(B.customer_parts(s, d), 3, "kclique")), "SELECT CAST(3 AS BIGINT) AS k, '' AS community_key, CAST(0 AS BIGINT) AS size WHERE false")
-_M4 = O.communities(MONTH, 4)
+_M4 = O.communities(NAV, 4)
 query("membership_month_k4", lambda s, d: P.membership(P.percolate(month(s, d), 4)), O.over(MONTH, 4, "SELECT CAST(4 AS BIGINT) AS k, community_key, vid FROM mem"))
 query("percolate_all_month", lambda s, d: P.communities(P.percolate_all(month(s, d), 3, 5)), " UNION ALL ".join(f"SELECT * FROM ({O.communities(MONTH, k)})" for k in (3, 4, 5)))
-query("percolate_printed", lambda s, d: P.communities(P.percolate(month(s, d), 3, convention="printed")), O.communities(MONTH, 4, shown_k=3))
-query("percolate_kclique", lambda s, d: P.communities(P.percolate(month(s, d), 4, "kclique")), _M4)
-query("percolate_serial", lambda s, d: P.communities(P.percolate_local(month(s, d), 4)), _M4)
+query("percolate_printed", lambda s, d: P.communities(P.percolate(nav(s, d), 3, convention="printed")), O.communities(NAV, 4, shown_k=3))
+query("percolate_kclique", lambda s, d: P.communities(P.percolate(nav(s, d), 4, "kclique")), _M4)
+query("percolate_serial", lambda s, d: P.communities(P.percolate_local(nav(s, d), 4)), _M4)
 query("percolate_by_region", lambda s, d: P.communities(P.percolate_by_part(B.by_region(s, d), "part", 3), "part"), O.communities(B.SQL["by_region"], 3, "part"))
+query("percolate_by_region_k_map", lambda s, d: P.communities(P.percolate_by_part(B.by_region(s, d), "part", 3, {0: 4, 2: 4}), "part"), f"SELECT * FROM ({O.communities(B.SQL['by_region'], 3, 'part')}) WHERE part NOT IN (0, 2) UNION ALL SELECT * FROM ({O.communities(B.SQL['by_region'], 4, 'part')}) WHERE part IN (0, 2)")
 query("percolate_weighted", lambda s, d: P.communities(P.percolate_weighted(B.copurchase_repeat(s, d, 1), 3, 2)), O.communities(REPEAT, 3))
 _ARCS = B.SQL["user_follow_arcs"]
 _ONE_WAY = f"(SELECT src, dst FROM ({_ARCS}) EXCEPT SELECT dst, src FROM ({_ARCS}))"
@@ -120,11 +128,19 @@ _RING = " AND ".join("(m{}, m{}) IN " + _ONE_WAY for _ in range(3))
 query("percolate_directed_k3", lambda s, d: P.communities(P.percolate_directed(B.user_follow(s, d), 3)), O.communities(B.SQL["user_follow"], 3, keep=f"NOT ({_RING.format(1, 2, 2, 3, 3, 1)}) AND NOT ({_RING.format(2, 1, 3, 2, 1, 3)})"))
 _STRENGTH = "(SELECT exp(avg(ln(weight))) FROM e WHERE (src = m1 AND dst IN (m2, m3)) OR (src = m2 AND dst = m3)) >= 1.2"
 query("percolate_intensity", lambda s, d: P.communities(P.percolate_intensity(B.follow_links(s, d), 3, 1.2)), O.communities(B.SQL["user_follow"], 3, keep=_STRENGTH))
-_PROFILE = " UNION ALL ".join(f"SELECT * FROM ({O.over(MONTH, k, f'SELECT CAST({k} AS BIGINT) AS k, * FROM (SELECT count(*) AS n_communities, max(size) AS largest, coalesce(list_sort(list(size), ' + chr(39) + 'DESC' + chr(39) + f')[2], 0) AS second FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL)), (SELECT count(DISTINCT vid) AS covered FROM mem)')})" for k in (3, 4, 5))
-query("k_profile", lambda s, d: P.k_profile(P.percolate_all(month(s, d), 3, 5)), _PROFILE)
-query("suggest_k", lambda s, d: P.suggest_k(P.percolate_all(month(s, d), 3, 5)), f"SELECT coalesce(min(CASE WHEN largest < 0.5 * covered THEN k END), max(k)) AS k FROM ({_PROFILE})")
-query("uncovered", lambda s, d: P.uncovered(month(s, d), P.percolate(month(s, d), 4)), O.over(MONTH, 4, "SELECT DISTINCT vid FROM (SELECT src AS vid FROM e UNION ALL SELECT dst FROM e) WHERE vid NOT IN (SELECT vid FROM mem)"))
-query("diagnose", lambda s, d: P.diagnose(month(s, d), P.percolate_all(month(s, d), 3, 5)))
+_PROFILE = " UNION ALL ".join(f"SELECT * FROM ({O.over(NAV, k, f'SELECT CAST({k} AS BIGINT) AS k, * FROM (SELECT count(*) AS n_communities, max(size) AS largest, coalesce(list_sort(list(size), ' + chr(39) + 'DESC' + chr(39) + f')[2], 0) AS second FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL)), (SELECT count(DISTINCT vid) AS covered FROM mem)')})" for k in (3, 4, 5))
+query("k_profile", lambda s, d: P.k_profile(P.percolate_all(nav(s, d), 3, 5)), _PROFILE)
+query("suggest_k", lambda s, d: P.suggest_k(P.percolate_all(nav(s, d), 3, 5)), f"SELECT coalesce(min(CASE WHEN largest < 0.5 * covered THEN k END), max(k)) AS k FROM ({_PROFILE})")
+query("uncovered", lambda s, d: P.uncovered(nav(s, d), P.percolate(nav(s, d), 4)), O.over(NAV, 4, "SELECT DISTINCT vid FROM (SELECT src AS vid FROM e UNION ALL SELECT dst FROM e) WHERE vid NOT IN (SELECT vid FROM mem)"))
+_ALL_K = (3, 4, 5, 6, 7)
+_DIAGNOSED = " UNION ALL ".join(f"SELECT * FROM ({O.over(NAV, k, f'SELECT CAST({k} AS BIGINT) AS k, coalesce(max(size), 0) = 0 AS no_cliques, coalesce(max(size), 0) >= 0.5 * (SELECT count(DISTINCT vid) FROM (SELECT src AS vid FROM e UNION ALL SELECT dst FROM e)) AS percolating FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL)')})" for k in _ALL_K)
+query("diagnose", lambda s, d: P.diagnose(nav(s, d), P.percolate_all(nav(s, d), 3, 7), list(_ALL_K)), _DIAGNOSED)
+query("diagnose_no_clique", lambda s, d: P.diagnose(B.customer_parts(s, d), P.percolate_all(B.customer_parts(s, d), 3), [3, 4]), "SELECT CAST(unnest([3, 4]) AS BIGINT) AS k, true AS no_cliques, false AS percolating")
+query("diagnose_cosupply", lambda s, d: P.diagnose(B.cosupply(s, d), P.percolate_all(B.cosupply(s, d), 3, 4), [3, 4]), "SELECT CAST(unnest([3, 4]) AS BIGINT) AS k, false AS no_cliques, true AS percolating")
+query("percolate_all_nav", lambda s, d: P.communities(P.percolate_all(nav(s, d), 3)), " UNION ALL ".join(f"SELECT * FROM ({O.communities(NAV, k)})" for k in _ALL_K))
+_HELD = f"(SELECT list(m) FROM (SELECT unnest([m1, m2]) AS m FROM (WITH {O.cliques(NAV, 2)} SELECT m1, m2 FROM cl ORDER BY m1, m2 LIMIT 3)))"
+query("maximal_cliques_of", lambda s, d: (lambda e: C.maximal_cliques_of(e, e.orderBy("src", "dst").limit(3).select(F.explode(F.array("src", "dst")).alias("vid"))).select(C.name().alias("members")))(nav(s, d)), _MAXIMAL.format(edges=NAV) + f" SELECT array_to_string(members, '-') AS members FROM mx WHERE list_has_any(members, {_HELD})")
+query("percolate_copurchase_all_k5", lambda s, d: P.communities(P.percolate(B.copurchase_repeat(s, d, 1), 5)))
 
 
 def _swept(edges: str, k: int, w: int) -> str:
@@ -135,93 +151,153 @@ def _swept(edges: str, k: int, w: int) -> str:
 query("weight_sweep", lambda s, d: P.weight_sweep(B.follow_links(s, d), 3, [1, 2]).withColumn("min_weight", F.col("min_weight").cast("long")), " UNION ALL ".join(f"SELECT * FROM ({_swept(B.SQL['user_follow'], 3, w)})" for w in (1, 2)))
 
 # ---- locality: the cover before and after the least link goes, by update and anew
-_LEAST = f"(SELECT src, dst FROM ({MONTH}) ORDER BY src, dst LIMIT 1)"
+_LEAST = f"(SELECT src, dst FROM ({NAV}) ORDER BY src, dst LIMIT 1)"
 
 
 def _locality(s: SparkSession, d: str) -> DataFrame:
-    edges = month(s, d)
+    edges = nav(s, d)
     gone = edges.select("src", "dst").orderBy("src", "dst").limit(1)
     return P.communities(P.update_cover(edges, P.percolate(edges, 3), 3, removed=gone)[1])
 
 
-query("locality_after", _locality, O.communities(f"SELECT * FROM ({MONTH}) WHERE (src, dst) NOT IN {_LEAST}", 3))
+query("locality_after", _locality, O.communities(f"SELECT * FROM ({NAV}) WHERE (src, dst) NOT IN {_LEAST}", 3))
 
 def _impact(s: SparkSession, d: str) -> DataFrame:
-    edges = month(s, d)
+    edges = nav(s, d)
     one = C.k_cliques(edges, 3).orderBy("members").first()
     return P.link_impact(edges, *one["members"][:2], "remove", 3) if one else P.communities(P.percolate(edges, 3)).select(F.lit("before").alias("side"), "*").where("false")
 
 
-_BOTH = (O.communities(MONTH, 3), O.communities(f"SELECT * FROM ({MONTH}) WHERE (src, dst) NOT IN (WITH {O.cliques(MONTH, 3)} SELECT m1, m2 FROM cl ORDER BY m1, m2, m3 LIMIT 1)", 3))
+_BOTH = (O.communities(NAV, 3), O.communities(f"SELECT * FROM ({NAV}) WHERE (src, dst) NOT IN (WITH {O.cliques(NAV, 3)} SELECT m1, m2 FROM cl ORDER BY m1, m2, m3 LIMIT 1)", 3))
 query("link_impact", _impact, " UNION ALL ".join(f"SELECT '{side}' AS side, * FROM (SELECT * FROM ({x}) EXCEPT SELECT * FROM ({y}))" for side, x, y in (("before", *_BOTH), ("after", *_BOTH[::-1]))))
 
 # ---- split, solve, merge
-_mod = lambda s, d, n=4: S.owners(month(s, d), "mod", n)
-_OWN = f"ed AS ({MONTH}), n AS (SELECT src AS a, dst AS b FROM ed UNION ALL SELECT dst, src FROM ed), own AS (SELECT DISTINCT a AS vid, a % 4 AS piece FROM n), pv AS (SELECT piece, vid, bool_or(o) AS owned FROM (SELECT piece, vid, true AS o FROM own UNION ALL SELECT o.piece, n.b, false FROM n JOIN own o ON o.vid = n.a) GROUP BY ALL), pe AS (SELECT x.piece, src, dst FROM ed JOIN pv x ON x.vid = src JOIN pv y ON y.vid = dst AND y.piece = x.piece)"
+_mod = lambda s, d, n=4: S.owners(nav(s, d), "mod", n)
+_OWN = f"ed AS ({NAV}), n AS (SELECT src AS a, dst AS b FROM ed UNION ALL SELECT dst, src FROM ed), own AS (SELECT DISTINCT a AS vid, a % 4 AS piece FROM n), pv AS (SELECT piece, vid, bool_or(o) AS owned FROM (SELECT piece, vid, true AS o FROM own UNION ALL SELECT o.piece, n.b, false FROM n JOIN own o ON o.vid = n.a) GROUP BY ALL), pe AS (SELECT x.piece, src, dst FROM ed JOIN pv x ON x.vid = src JOIN pv y ON y.vid = dst AND y.piece = x.piece)"
 query("split_owner_mod", lambda s, d: _mod(s, d), f"WITH {_OWN} SELECT * FROM own")
-query("halo_pieces", lambda s, d: S.pieces_of(month(s, d), _mod(s, d))[0], f"WITH {_OWN} SELECT * FROM pv")
-query("piece_links", lambda s, d: S.pieces_of(month(s, d), _mod(s, d))[1], f"WITH {_OWN} SELECT * FROM pe")
-query("boundary", lambda s, d: S.boundary(month(s, d), _mod(s, d)), f"WITH {_OWN} SELECT src, dst, src % 4 AS p, dst % 4 AS q FROM ed WHERE src % 4 <> dst % 4")
-query("hypergraph", lambda s, d: S.hypergraph(*S.pieces_of(month(s, d), _mod(s, d))), f"WITH {_OWN}, v AS (SELECT a.piece AS p, b.piece AS q, count(*) AS shared_vertices FROM pv a JOIN pv b ON a.vid = b.vid AND a.piece < b.piece GROUP BY ALL), l AS (SELECT a.piece AS p, b.piece AS q, count(*) AS shared_links FROM pe a JOIN pe b ON a.src = b.src AND a.dst = b.dst AND a.piece < b.piece GROUP BY ALL) SELECT p, q, shared_vertices, coalesce(shared_links, 0) AS shared_links FROM v LEFT JOIN l USING (p, q)")
-query("replication", lambda s, d: S.replication(*S.pieces_of(month(s, d), _mod(s, d))), f"WITH {_OWN} SELECT (SELECT count(*) FROM pv) AS vertex_copies, (SELECT count(DISTINCT vid) FROM pv) AS vertices, (SELECT count(*) FROM pe) AS link_copies, (SELECT count(*) FROM (SELECT DISTINCT src, dst FROM pe)) AS links")
-query("coverage_halo", lambda s, d: S.coverage(month(s, d), S.pieces_of(month(s, d), _mod(s, d))[1]), f"SELECT count(*) AS links, CAST(0 AS BIGINT) AS lost FROM ({MONTH})")
-query("coverage_none", lambda s, d: S.coverage(month(s, d), S.pieces_of(month(s, d), _mod(s, d), "none")[1]), f"SELECT count(*) AS links, count(*) FILTER (WHERE src % 4 <> dst % 4) AS lost FROM ({MONTH})")
-query("border_stats", lambda s, d: S.border_stats(month(s, d), _mod(s, d)), f"WITH {_OWN}, cut AS (SELECT src, dst FROM ed WHERE src % 4 <> dst % 4) SELECT (SELECT count(*) FROM own) AS vertices, (SELECT count(DISTINCT v) FROM (SELECT src AS v FROM cut UNION ALL SELECT dst FROM cut)) AS border_vertices, (SELECT count(*) FROM ed) AS links, (SELECT count(*) FROM cut) AS cut_links")
-query("piece_bytes", lambda s, d: S.piece_bytes(S.pieces_of(month(s, d), _mod(s, d))[1]), f"WITH {_OWN} SELECT piece, count(*) AS links, count(*) * 200 AS bytes FROM pe GROUP BY piece")
-query("percolate_pieces", lambda s, d: P.communities(S.percolate_pieces(S.pieces_of(month(s, d), _mod(s, d))[1], 4), "piece"), O.communities(f"WITH {_OWN} SELECT * FROM pe", 4, "piece"))
-query("percolate_split_triangle", lambda s, d: P.communities(S.percolate_split(month(s, d), 4, "mod", closure="triangle", parts=4)), _M4)
-query("split_trace", lambda s, d: S.split_trace(month(s, d), 25, 4))
-query("branching_factor", lambda s, d: M.branching_factor(S.split_trace(month(s, d), 25, 4)))
-query("bfs_split", lambda s, d: S.bfs_owners(month(s, d), 25, 4))
-query("piece_stats", lambda s, d: S.piece_stats(S.pieces_of(month(s, d), S.bfs_owners(month(s, d), 25, 4))[0]))
+query("halo_pieces", lambda s, d: S.pieces_of(nav(s, d), _mod(s, d))[0], f"WITH {_OWN} SELECT * FROM pv")
+query("piece_links", lambda s, d: S.pieces_of(nav(s, d), _mod(s, d))[1], f"WITH {_OWN} SELECT * FROM pe")
+query("boundary", lambda s, d: S.boundary(nav(s, d), _mod(s, d)), f"WITH {_OWN} SELECT src, dst, src % 4 AS p, dst % 4 AS q FROM ed WHERE src % 4 <> dst % 4")
+query("hypergraph", lambda s, d: S.hypergraph(*S.pieces_of(nav(s, d), _mod(s, d))), f"WITH {_OWN}, v AS (SELECT a.piece AS p, b.piece AS q, count(*) AS shared_vertices FROM pv a JOIN pv b ON a.vid = b.vid AND a.piece < b.piece GROUP BY ALL), l AS (SELECT a.piece AS p, b.piece AS q, count(*) AS shared_links FROM pe a JOIN pe b ON a.src = b.src AND a.dst = b.dst AND a.piece < b.piece GROUP BY ALL) SELECT p, q, shared_vertices, coalesce(shared_links, 0) AS shared_links FROM v LEFT JOIN l USING (p, q)")
+query("replication", lambda s, d: S.replication(*S.pieces_of(nav(s, d), _mod(s, d))), f"WITH {_OWN} SELECT (SELECT count(*) FROM pv) AS vertex_copies, (SELECT count(DISTINCT vid) FROM pv) AS vertices, (SELECT count(*) FROM pe) AS link_copies, (SELECT count(*) FROM (SELECT DISTINCT src, dst FROM pe)) AS links")
+query("coverage_halo", lambda s, d: S.coverage(nav(s, d), S.pieces_of(nav(s, d), _mod(s, d))[1]), f"SELECT count(*) AS links, CAST(0 AS BIGINT) AS lost FROM ({NAV})")
+query("coverage_none", lambda s, d: S.coverage(nav(s, d), S.pieces_of(nav(s, d), _mod(s, d), "none")[1]), f"SELECT count(*) AS links, count(*) FILTER (WHERE src % 4 <> dst % 4) AS lost FROM ({NAV})")
+query("border_stats", lambda s, d: S.border_stats(nav(s, d), _mod(s, d)), f"WITH {_OWN}, cut AS (SELECT src, dst FROM ed WHERE src % 4 <> dst % 4) SELECT (SELECT count(*) FROM own) AS vertices, (SELECT count(DISTINCT v) FROM (SELECT src AS v FROM cut UNION ALL SELECT dst FROM cut)) AS border_vertices, (SELECT count(*) FROM ed) AS links, (SELECT count(*) FROM cut) AS cut_links")
+query("piece_bytes", lambda s, d: S.piece_bytes(S.pieces_of(nav(s, d), _mod(s, d))[1]), f"WITH {_OWN} SELECT piece, count(*) AS links, count(*) * 200 AS bytes FROM pe GROUP BY piece")
+query("percolate_pieces", lambda s, d: P.communities(S.percolate_pieces(S.pieces_of(nav(s, d), _mod(s, d))[1], 4), "piece"), O.communities(f"WITH {_OWN} SELECT * FROM pe", 4, "piece"))
+query("percolate_split_triangle", lambda s, d: P.communities(S.percolate_split(nav(s, d), 4, "mod", closure="triangle", parts=4)), _M4)
+query("split_trace", lambda s, d: S.split_trace(nav(s, d), 25, 4))
+query("split_trace_by_levels", lambda s, d: S.split_trace(nav(s, d), 25, None, True))
+query("branching_factor", lambda s, d: M.branching_factor(S.split_trace(nav(s, d), 25, 4)))
+query("bfs_split", lambda s, d: S.bfs_owners(nav(s, d), 25, 4))
+query("bfs_split_by_levels", lambda s, d: S.bfs_owners(nav(s, d), 25, None, distributed=True))
+query("tiny_pieces", lambda s, d: S.tiny_pieces(nav(s, d), 25, 4))
+query("coverage_bfs", lambda s, d: S.coverage(nav(s, d), S.pieces_of(nav(s, d), S.bfs_owners(nav(s, d), 25, 4))[1]), f"SELECT count(*) AS links, CAST(0 AS BIGINT) AS lost FROM ({NAV})")
+query("clique_coverage", lambda s, d: S.clique_coverage(nav(s, d), S.pieces_of(nav(s, d), _mod(s, d), "none")[1], 3), f"WITH {O.cliques(NAV, 3)} SELECT count(*) AS cliques, count(*) FILTER (WHERE m1 % 4 <> m2 % 4 OR m1 % 4 <> m3 % 4) AS lost FROM cl")
+query("piece_stats", lambda s, d: S.piece_stats(S.pieces_of(nav(s, d), _mod(s, d))[0], 25), f"WITH {_OWN}, z AS (SELECT piece, count(*) AS n, count(*) FILTER (WHERE owned) AS own FROM pv GROUP BY piece) SELECT count(*) AS pieces, min(n) AS smallest, quantile_cont(n, 0.5) AS median, max(n) AS largest, min(own) AS owned_least, max(own) AS owned_most, greatest(0, max(own) - 25) AS overshoot FROM z")
+query("duplicated_cliques", lambda s, d: S.duplicated_cliques(S.percolate_pieces(S.pieces_of(nav(s, d), _mod(s, d))[1], 4)))
+query("waves", lambda s, d: S.waves(S.pieces_of(nav(s, d), _mod(s, d))[0], 3), "SELECT CAST(4 AS BIGINT) AS pieces, CAST(2 AS BIGINT) AS waves")
+query("cut_order", lambda s, d: S.cut_order(S.pieces_of(nav(s, d), _mod(s, d))[0]), f"WITH {_OWN} SELECT piece, n, row_number() OVER (ORDER BY n DESC, piece) AS place FROM (SELECT piece, count(*) AS n FROM pv GROUP BY piece)")
+query("choose_seeds", lambda s, d: S.choose_seeds(nav(s, d), S.vertices(nav(s, d)), 4), f"SELECT vid FROM (SELECT vid, count(*) AS degree FROM {_ENDS} GROUP BY vid) ORDER BY degree DESC, vid LIMIT 4")
+
+
+def _cut(s: SparkSession, d: str) -> DataFrame:
+    """Links between odd and even ids: what is left falls apart into components."""
+    return nav(s, d).where(F.pmod("src", F.lit(2)) != F.pmod("dst", F.lit(2)))
+
+
+query("split_by_cut", lambda s, d: S.split_by_cut(nav(s, d), _cut(s, d)), _CC.format(edges=f"SELECT src, dst, weight FROM ({NAV}) WHERE src % 2 = dst % 2").replace("SELECT id AS node, lab AS label FROM cc", f"SELECT vid, coalesce(lab, vid) AS piece FROM (SELECT DISTINCT vid FROM {_ENDS}) LEFT JOIN cc ON id = vid"))
+query("percolate_split_by_cut", lambda s, d: (lambda e: (lambda pv, pe: P.communities(S.merge_local(S.percolate_pieces(pe, 4), pv, 4)))(*S.pieces_of(e, S.split_by_cut(e, _cut(s, d)))))(nav(s, d)), _M4)
+query("percolate_split_all", lambda s, d: P.communities(S.percolate_split_all(nav(s, d), 3, size_limit=25, n_seeds=4)), ORACLES["q_percolate_all_nav"])
+query("percolate_split_all_month", lambda s, d: P.communities(S.percolate_split_all(month(s, d), 3, 5, size_limit=25, n_seeds=4)), ORACLES["q_percolate_all_month"])
+query("percolate_one_sided", lambda s, d: P.communities(S.percolate_one_sided(nav(s, d), _mod(s, d), 4)), _M4)
+query("percolate_split_clique", lambda s, d: P.communities(S.percolate_split(nav(s, d), 4, "mod", closure="clique", parts=4)), _M4)
+query("percolate_split_printed", lambda s, d: P.communities(S.percolate_split(nav(s, d), 4, closure="printed", size_limit=25, n_seeds=4)))
+_PE = f"WITH {_OWN} SELECT * FROM pe"
+
+
+def _sized(j: int) -> str:
+    """j-cliques of the pieces with the community at k = 4 that their first four vertices are in."""
+    m = ", ".join(f"m{i}" for i in range(1, j + 1))
+    return f"SELECT c.piece, c.c, l.key FROM (SELECT piece, m1, m2, m3, m4, concat_ws('-', {m}) AS c FROM (WITH {O.cliques(_PE, j, 'piece')} SELECT piece, {m} FROM cl)) c JOIN l USING (piece, m1, m2, m3, m4)"
+
+
+_COMMON = " UNION ALL ".join(f"SELECT x.piece || '|' || x.key AS i, y.piece || '|' || y.key AS j, {j} AS n FROM ({_sized(j)}) x JOIN ({_sized(j)}) y ON x.c = y.c AND x.piece < y.piece" for j in (4, 5, 6))
+query(
+    "community_overlap",
+    lambda s, d: (lambda pv, pe: S.community_overlap(S.percolate_pieces(pe, 4), pv, 4))(*S.pieces_of(nav(s, d), _mod(s, d))),
+    f"WITH l AS MATERIALIZED ({O.over(_PE, 4, 'SELECT piece, m1, m2, m3, m4, community_key AS key FROM lab JOIN keys USING (lab)', 'piece')}) SELECT i, j, CAST(max(n) AS BIGINT) AS common FROM ({_COMMON}) GROUP BY ALL",
+)
 for _rule, _kw in (("hash", {"parts": 4}), ("range", {"parts": 4}), ("components", {}), ("bfs", {"size_limit": 25, "n_seeds": 4})):
-    query(f"percolate_split_{_rule}_k4", lambda s, d, r=_rule, kw=_kw: P.communities(S.percolate_split(month(s, d), 4, r, **kw)), _M4)
-query("percolate_split_bfs_k3", lambda s, d: P.communities(S.percolate_split(month(s, d), 3, "bfs", size_limit=25, n_seeds=4)), O.communities(MONTH, 3))
-query("percolate_split_keyed", lambda s, d: P.communities(S.percolate_split(month(s, d), 4, "hash", "keyed", parts=4)), _M4)
+    query(f"percolate_split_{_rule}_k4", lambda s, d, r=_rule, kw=_kw: P.communities(S.percolate_split(nav(s, d), 4, r, **kw)), _M4)
+query("percolate_split_bfs_k3", lambda s, d: P.communities(S.percolate_split(nav(s, d), 3, "bfs", size_limit=25, n_seeds=4)), O.communities(NAV, 3))
+query("percolate_split_keyed", lambda s, d: P.communities(S.percolate_split(nav(s, d), 4, "hash", "keyed", parts=4)), _M4)
 for _m in ("overlap", "kclique", "hyperlink"):
-    query(f"merge_{_m}", lambda s, d, m=_m: P.communities(S.percolate_split(month(s, d), 4, "mod", method=m, parts=4)), _M4)
-query("exactness", lambda s, d: S.cover_diff(P.percolate(month(s, d), 4), S.percolate_split(month(s, d), 4, "mod", parts=4)).agg(F.count("*").alias("differing")), "SELECT CAST(0 AS BIGINT) AS differing")
-query("closure_ablation", lambda s, d: S.cover_diff(P.percolate(month(s, d), 3), S.percolate_split(month(s, d), 3, "mod", closure="none", parts=4)).groupBy("side").agg(F.count("*").alias("rows")))
+    query(f"merge_{_m}", lambda s, d, m=_m: P.communities(S.percolate_split(nav(s, d), 4, "mod", method=m, parts=4)), _M4)
+query("exactness", lambda s, d: S.cover_diff(P.percolate(nav(s, d), 4), S.percolate_split(nav(s, d), 4, "mod", parts=4)).agg(F.count("*").alias("differing")), "SELECT CAST(0 AS BIGINT) AS differing")
+_NONE = f"WITH RECURSIVE {O.cover(f'SELECT src, dst FROM ({NAV}) WHERE src % 4 = dst % 4', 3)} SELECT community_key, vid FROM mem"
+_WHOLE = O.over(NAV, 3, "SELECT community_key, vid FROM mem")
+query(
+    "closure_ablation",
+    lambda s, d: S.cover_diff(P.percolate(nav(s, d), 3), S.percolate_split(nav(s, d), 3, "mod", closure="none", parts=4)).groupBy("side").agg(F.count("*").alias("rows")),
+    f"SELECT 'a' AS side, count(*) AS rows FROM (SELECT * FROM ({_WHOLE}) EXCEPT SELECT * FROM ({_NONE})) HAVING count(*) > 0 UNION ALL SELECT 'b', count(*) FROM (SELECT * FROM ({_NONE}) EXCEPT SELECT * FROM ({_WHOLE})) HAVING count(*) > 0",
+)
 
 # ---- measures of covers
-_m4 = lambda s, d: P.percolate(month(s, d), 4)
+_m4 = lambda s, d: P.percolate(nav(s, d), 4)
 query("cover_stats", lambda s, d: M.cover_stats(_m4(s, d)), f"SELECT size, count(*) AS n_communities FROM ({_M4}) GROUP BY ALL")
-query("overlap_vertices", lambda s, d: M.overlap_vertices(_m4(s, d)), O.over(MONTH, 4, "SELECT vid, count(*) AS n FROM mem GROUP BY vid HAVING count(*) > 1"))
-query("community_graph", lambda s, d: M.community_graph(P.percolate(month(s, d), 3)), O.over(MONTH, 3, "SELECT x.community_key AS a, y.community_key AS b, count(*) AS shared FROM mem x JOIN mem y ON x.vid = y.vid AND x.community_key < y.community_key GROUP BY ALL"))
-query("density", lambda s, d: M.density(month(s, d), _m4(s, d)), O.over(MONTH, 4, "SELECT community_key, size, links, round(2.0 * links / (size * (size - 1)), 6) AS density FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL) JOIN (SELECT x.community_key, count(*) AS links FROM e JOIN mem x ON x.vid = src JOIN mem y ON y.vid = dst AND y.community_key = x.community_key GROUP BY ALL) USING (community_key)"))
-_INSIDE = lambda k: f"SELECT CAST({k} AS BIGINT) AS k, child.community_key AS child, p.community_key AS parent FROM ({O.communities(MONTH, k + 1)}) child JOIN ({O.over(MONTH, k, 'SELECT concat_ws(' + chr(39) + '-' + chr(39) + ', ' + ', '.join(f'm{i}' for i in range(1, k + 1)) + ') AS c, community_key FROM lab JOIN keys USING (lab)')}) p ON p.c = regexp_replace(child.community_key, '-[0-9]+$', '')"
-query("nesting", lambda s, d: M.nesting(P.percolate_all(month(s, d), 3, 5)), f"SELECT * FROM ({_INSIDE(3)}) UNION ALL SELECT * FROM ({_INSIDE(4)})")
-query("memberships", lambda s, d: M.memberships(_m4(s, d)), O.over(MONTH, 4, "SELECT communities, count(*) AS vertices FROM (SELECT vid, count(*) AS communities FROM mem GROUP BY vid) GROUP BY ALL"))
-query("community_degree", lambda s, d: M.community_degree(P.percolate(month(s, d), 3)), O.over(MONTH, 3, "SELECT degree, count(*) AS n_communities FROM (SELECT x.community_key, count(DISTINCT y.community_key) AS degree FROM mem x JOIN mem y ON x.vid = y.vid AND x.community_key <> y.community_key GROUP BY ALL) GROUP BY ALL"))
-query("cover_vs_labels", lambda s, d: M.cover_vs_labels(P.percolate(B.cosine_links(s, d), 3), B.load_table(s, d, "embeddings").select(F.col("vec_id").alias("vid"), "label")), O.over(B.SQL["cosine"], 3, "SELECT count(*) AS communities, round(sum(top) / sum(n), 6) AS purity FROM (SELECT community_key, max(n) AS top, sum(n) AS n FROM (SELECT community_key, label, count(*) AS n FROM mem JOIN embeddings ON vec_id = vid GROUP BY ALL) GROUP BY ALL)"))
+query("overlap_vertices", lambda s, d: M.overlap_vertices(_m4(s, d)), O.over(NAV, 4, "SELECT vid, count(*) AS n FROM mem GROUP BY vid HAVING count(*) > 1"))
+query("community_graph", lambda s, d: M.community_graph(P.percolate(nav(s, d), 3)), O.over(NAV, 3, "SELECT x.community_key AS a, y.community_key AS b, count(*) AS shared FROM mem x JOIN mem y ON x.vid = y.vid AND x.community_key < y.community_key GROUP BY ALL"))
+query("density", lambda s, d: M.density(nav(s, d), _m4(s, d)), O.over(NAV, 4, "SELECT community_key, size, links, round(2.0 * links / (size * (size - 1)), 6) AS density FROM (SELECT community_key, count(*) AS size FROM mem GROUP BY ALL) JOIN (SELECT x.community_key, count(*) AS links FROM e JOIN mem x ON x.vid = src JOIN mem y ON y.vid = dst AND y.community_key = x.community_key GROUP BY ALL) USING (community_key)"))
+_INSIDE = lambda k: f"SELECT CAST({k} AS BIGINT) AS k, child.community_key AS child, p.community_key AS parent FROM ({O.communities(NAV, k + 1)}) child JOIN ({O.over(NAV, k, 'SELECT concat_ws(' + chr(39) + '-' + chr(39) + ', ' + ', '.join(f'm{i}' for i in range(1, k + 1)) + ') AS c, community_key FROM lab JOIN keys USING (lab)')}) p ON p.c = regexp_replace(child.community_key, '-[0-9]+$', '')"
+query("nesting", lambda s, d: M.nesting(P.percolate_all(nav(s, d), 3, 5)), f"SELECT * FROM ({_INSIDE(3)}) UNION ALL SELECT * FROM ({_INSIDE(4)})")
+query("memberships", lambda s, d: M.memberships(_m4(s, d)), O.over(NAV, 4, "SELECT communities, count(*) AS vertices FROM (SELECT vid, count(*) AS communities FROM mem GROUP BY vid) GROUP BY ALL"))
+query("community_degree", lambda s, d: M.community_degree(P.percolate(nav(s, d), 3)), O.over(NAV, 3, "SELECT degree, count(*) AS n_communities FROM (SELECT x.community_key, count(DISTINCT y.community_key) AS degree FROM mem x JOIN mem y ON x.vid = y.vid AND x.community_key <> y.community_key GROUP BY ALL) GROUP BY ALL"))
+_NMI = (
+    "SELECT communities, purity, CASE WHEN -(ha + hb) / 2 > 1e-12 THEN round((hj - ha - hb) / (-(ha + hb) / 2), 6) ELSE 0 END AS nmi FROM (SELECT count(*) AS communities, round(sum(top) / sum(n), 6) AS purity FROM (SELECT community_key, max(n) AS top, sum(n) AS n FROM cells GROUP BY ALL)), "
+    "(SELECT sum(n / t * ln(n / t)) AS hj FROM cells, tot), (SELECT sum(n / t * ln(n / t)) AS ha FROM (SELECT community_key, sum(n) AS n FROM cells GROUP BY ALL), tot), (SELECT sum(n / t * ln(n / t)) AS hb FROM (SELECT label, sum(n) AS n FROM cells GROUP BY ALL), tot)"
+)
+_NMI = f"SELECT * FROM (WITH cells AS (SELECT community_key, label, count(*) AS n FROM mem JOIN embeddings ON vec_id = vid GROUP BY ALL), tot AS (SELECT CAST(sum(n) AS DOUBLE) AS t FROM cells) {_NMI})"
+query("cover_vs_labels", lambda s, d: M.cover_vs_labels(P.percolate(B.cosine_links(s, d), 3), B.load_table(s, d, "embeddings").select(F.col("vec_id").alias("vid"), "label")), O.over(B.SQL["cosine"], 3, _NMI))
 query(
     "modularity",
-    lambda s, d: M.modularity(month(s, d), components(month(s, d).select(F.col("src").alias("u"), F.col("dst").alias("v"))).toDF("vid", "label")),
-    _CC.format(edges=MONTH).replace("SELECT id AS node, lab AS label FROM cc", "SELECT round(sum(inside / m - (ends / (2 * m)) ^ 2), 6) AS modularity FROM (SELECT lab, count(*) AS inside FROM e JOIN cc ON id = src GROUP BY lab) JOIN (SELECT lab, count(*) AS ends FROM l JOIN cc ON id = a GROUP BY lab) USING (lab), (SELECT CAST(count(*) AS DOUBLE) AS m FROM e)"),
+    lambda s, d: M.modularity(nav(s, d), components(nav(s, d).select(F.col("src").alias("u"), F.col("dst").alias("v"))).toDF("vid", "label")),
+    _CC.format(edges=NAV).replace("SELECT id AS node, lab AS label FROM cc", "SELECT round(sum(inside / m - (ends / (2 * m)) ^ 2), 6) AS modularity FROM (SELECT lab, count(*) AS inside FROM e JOIN cc ON id = src GROUP BY lab) JOIN (SELECT lab, count(*) AS ends FROM l JOIN cc ON id = a GROUP BY lab) USING (lab), (SELECT CAST(count(*) AS DOUBLE) AS m FROM e)"),
 )
-query("label_propagation", lambda s, d: M.label_propagation(month(s, d)))
-query("rewired", lambda s, d: P.communities(P.percolate(M.rewire(month(s, d)), 3)))
-query("random_graph", lambda s, d: P.communities(P.percolate(M.gnm(month(s, d)), 3)))
-query("ensemble_stability", lambda s, d: M.cover_similarity(P.percolate(month(s, d), 3), P.percolate(M.rewire(month(s, d)), 3)))
+_VOTE = "l{} AS MATERIALIZED (SELECT vid, label FROM (SELECT n.a AS vid, l.label, count(*) AS c FROM n JOIN l{} l ON l.vid = n.b GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY vid ORDER BY c DESC, label) = 1)"
+query("label_propagation", lambda s, d: M.label_propagation(nav(s, d)), f"WITH e AS ({NAV}), n AS (SELECT src AS a, dst AS b FROM e UNION ALL SELECT dst, src FROM e), l0 AS (SELECT DISTINCT a AS vid, a AS label FROM n), " + ", ".join(_VOTE.format(i + 1, i) for i in range(5)) + " SELECT vid, label FROM l5")
+query("rewired", lambda s, d: P.communities(P.percolate(M.rewire(nav(s, d)), 3)))
+query("random_graph", lambda s, d: P.communities(P.percolate(M.gnm(nav(s, d)), 3)))
+query("ensemble_stability", lambda s, d: M.cover_similarity(P.percolate(nav(s, d), 3), P.percolate(M.rewire(nav(s, d)), 3)))
+_SETS = [f"({O.over(NAV, k, 'SELECT community_key AS c, vid FROM mem')})" for k in (3, 4)]
+query("cover_similarity", lambda s, d: M.cover_similarity(*(P.percolate(nav(s, d), k) for k in (4, 3))), f"WITH a AS MATERIALIZED {_SETS[1]}, b AS MATERIALIZED {_SETS[0]}, na AS (SELECT c, count(*) AS n FROM a GROUP BY c), nb AS (SELECT c, count(*) AS n FROM b GROUP BY c), m AS (SELECT a.c AS ca, b.c AS cb, count(*) AS n FROM a JOIN b USING (vid) GROUP BY ALL) SELECT round(avg(coalesce(j, 0)), 6) AS best_jaccard FROM na LEFT JOIN (SELECT ca, max(m.n / (na.n + nb.n - m.n)) AS j FROM m JOIN na ON na.c = ca JOIN nb ON nb.c = cb GROUP BY ca) ON ca = na.c")
+_PAIRS = "SELECT DISTINCT x.vid AS u, y.vid AS v FROM {0} x JOIN {0} y ON x.c = y.c AND x.vid < y.vid"
+query("pair_f1", lambda s, d: M.pair_f1(*(P.percolate(nav(s, d), k) for k in (3, 4))), f"WITH a AS MATERIALIZED {_SETS[0]}, b AS MATERIALIZED {_SETS[1]}, pa AS ({_PAIRS.format('a')}), pb AS ({_PAIRS.format('b')}), n AS (SELECT (SELECT count(*) FROM pa) AS pairs_a, (SELECT count(*) FROM pb) AS pairs_b, (SELECT count(*) FROM pa JOIN pb USING (u, v)) AS pairs_both) SELECT pairs_a, pairs_b, pairs_both, round(2.0 * pairs_both / (pairs_a + pairs_b), 6) AS f1 FROM n")
 
 # ---- experiments and user operators
 from .functions import sqlapi as Q  # noqa: E402
 from .plans import experiments as X  # noqa: E402
 from .streaming import links as T  # noqa: E402
 
-query("sweep_size_limit", lambda s, d: X.sweep_size_limit(month(s, d), 4, [10, 25, 100]))
+LIMITS = [25, 50, 100, 200, 400]
+query("sweep_size_limit", lambda s, d: X.sweep_size_limit(quarter(s, d), 4, LIMITS))
+query("sweep_size_limit_words", lambda s, d: X.sweep_size_limit(words(s, d), 4, LIMITS))
+query("sweep_size_limit_year", lambda s, d: X.sweep_size_limit(year(s, d), 4, [100, 400]))
+query("sweep_fits", lambda s, d: X.sweep_fits(X.sweep_size_limit(nav(s, d), 4, LIMITS)))
+query("core_sweep", lambda s, d: X.core_sweep(quarter(s, d), 4))
 query("serial_vs_split", lambda s, d: X.serial_vs_split(quarter(s, d), 4))
-query("border_experiment", lambda s, d: X.border_experiment(month(s, d), 4).select("owners", "differing"), "SELECT CAST(unnest([2, 4, 8]) AS INTEGER) AS owners, CAST(0 AS BIGINT) AS differing")
-query("closure_experiment", lambda s, d: X.closure_ablation(month(s, d), 3))
-query("inter_community_links", lambda s, d: Q.inter_community_links(month(s, d), _m4(s, d)), O.over(MONTH, 4, "SELECT src, dst FROM e WHERE src IN (SELECT vid FROM mem) AND dst IN (SELECT vid FROM mem) AND NOT EXISTS (SELECT 1 FROM mem x JOIN mem y ON x.community_key = y.community_key WHERE x.vid = src AND y.vid = dst)"))
-query("rollup_cover", lambda s, d: P.communities(P.percolate_all(month(s, d), 3, 5)).rollup("k", "size").agg(F.count("*").alias("n")).select(F.coalesce("k", F.lit(-1)).alias("k"), F.coalesce("size", F.lit(-1)).alias("size"), "n"), " ".join(["SELECT coalesce(k, -1) AS k, coalesce(size, -1) AS size, n FROM (SELECT k, size, count(*) AS n FROM (", " UNION ALL ".join(f"SELECT * FROM ({O.communities(MONTH, k)})" for k in (3, 4, 5)), ") GROUP BY ROLLUP (k, size))"]))
+query("ensemble", lambda s, d: X.ensemble(nav(s, d), 3))
+query("border_experiment", lambda s, d: X.border_experiment(nav(s, d), 4).select("owners", "differing"), "SELECT CAST(unnest([2, 4, 8]) AS INTEGER) AS owners, CAST(0 AS BIGINT) AS differing")
+query("closure_experiment", lambda s, d: X.closure_ablation(nav(s, d), 3))
+query("inter_community_links", lambda s, d: Q.inter_community_links(nav(s, d), _m4(s, d)), O.over(NAV, 4, "SELECT src, dst FROM e WHERE src IN (SELECT vid FROM mem) AND dst IN (SELECT vid FROM mem) AND NOT EXISTS (SELECT 1 FROM mem x JOIN mem y ON x.community_key = y.community_key WHERE x.vid = src AND y.vid = dst)"))
+query("rollup_cover", lambda s, d: P.communities(P.percolate_all(nav(s, d), 3, 5)).rollup("k", "size").agg(F.count("*").alias("n")).select(F.coalesce("k", F.lit(-1)).alias("k"), F.coalesce("size", F.lit(-1)).alias("size"), "n"), " ".join(["SELECT coalesce(k, -1) AS k, coalesce(size, -1) AS size, n FROM (SELECT k, size, count(*) AS n FROM (", " UNION ALL ".join(f"SELECT * FROM ({O.communities(NAV, k)})" for k in (3, 4, 5)), ") GROUP BY ROLLUP (k, size))"]))
 _ts = lambda s, d: B.load_table(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
 query("window_activity", lambda s, d: T.windowed_activity(_ts(s, d)).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "n"), "SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events GROUP BY ALL")
 query("session_users", lambda s, d: T.sessions(_ts(s, d)).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("events")), "SELECT user_id, count(*) FILTER (WHERE fresh) AS sessions, count(*) AS events FROM (SELECT user_id, coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) >= INTERVAL 30 MINUTE, true) AS fresh FROM events) GROUP BY user_id")
-query("topk_per_k", lambda s, d: P.communities(P.percolate(month(s, d), 4)).orderBy(F.desc("size"), "community_key").limit(5), f"SELECT * FROM ({_M4}) ORDER BY size DESC, community_key LIMIT 5")
+query("topk_per_k", lambda s, d: P.communities(P.percolate(nav(s, d), 4)).orderBy(F.desc("size"), "community_key").limit(5), f"SELECT * FROM ({_M4}) ORDER BY size DESC, community_key LIMIT 5")
 query("json_props", lambda s, d: B.load_table(s, d, "events").groupBy(R.property_of("k").alias("k")).agg(F.count("*").alias("n")), "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY ALL")
-_sizes = lambda s, d: P.communities(P.percolate_all(month(s, d), 3, 5))
-_SIZES = ORACLES["q_percolate_all_month"]
+_sizes = lambda s, d: P.communities(P.percolate_all(nav(s, d), 3, 5))
+_SIZES = " UNION ALL ".join(f"SELECT * FROM ({O.communities(NAV, k)})" for k in (3, 4, 5))
 query(
     "window_rank",
     lambda s, d: R.ranked(_sizes(s, d)),
@@ -232,10 +308,10 @@ query(
 query("top_per_k", lambda s, d: R.top_per_k(_sizes(s, d)), f"SELECT * FROM ({_SIZES}) QUALIFY row_number() OVER (PARTITION BY k ORDER BY size DESC, community_key) <= 3")
 query("cube_cover", lambda s, d: R.cube_of(_sizes(s, d)), f"SELECT coalesce(k, -1) AS k, coalesce(large, -1) AS large, level, n, vertices FROM (SELECT k, large, CAST(grouping_id(k, large) AS BIGINT) AS level, count(*) AS n, CAST(sum(size) AS BIGINT) AS vertices FROM (SELECT k, CAST(size > 4 AS INTEGER) AS large, size FROM ({_SIZES})) GROUP BY CUBE (k, large))")
 query("pivot_cover", lambda s, d: R.pivot_sizes(_sizes(s, d), [3, 4, 5]), f"SELECT size, count(*) FILTER (WHERE k = 3) AS k3, count(*) FILTER (WHERE k = 4) AS k4, count(*) FILTER (WHERE k = 5) AS k5 FROM ({_SIZES}) GROUP BY size")
-_V = [O.over(MONTH, k, "SELECT DISTINCT vid FROM mem") for k in (3, 4)]
+_V = [O.over(NAV, k, "SELECT DISTINCT vid FROM mem") for k in (3, 4)]
 query(
     "setops_diff",
-    lambda s, d: R.set_difference(*(P.membership(P.percolate(month(s, d), k)).select("vid") for k in (3, 4))),
+    lambda s, d: R.set_difference(*(P.membership(P.percolate(nav(s, d), k)).select("vid") for k in (3, 4))),
     f"SELECT (SELECT count(*) FROM (SELECT * FROM ({_V[0]}) EXCEPT SELECT * FROM ({_V[1]}))) AS only_a, (SELECT count(*) FROM (SELECT * FROM ({_V[1]}) EXCEPT SELECT * FROM ({_V[0]}))) AS only_b, (SELECT count(*) FROM (SELECT * FROM ({_V[0]}) INTERSECT SELECT * FROM ({_V[1]}))) AS both, (SELECT count(*) FROM (SELECT * FROM ({_V[0]}) UNION SELECT * FROM ({_V[1]}))) AS either",
 )
 query("interval_coactivity", lambda s, d: R.interval_coactivity(B.load_table(s, d, "events"), 60), "SELECT least(a.user_id, b.user_id) AS src, greatest(a.user_id, b.user_id) AS dst, count(*) AS weight FROM events a JOIN events b ON a.event_type = b.event_type AND a.user_id <> b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 60 SECOND AND (b.ts > a.ts OR a.user_id < b.user_id) GROUP BY ALL")

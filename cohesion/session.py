@@ -28,7 +28,8 @@ def local_session(cores: str = "*", partitions: int = 8) -> SparkSession:
 def shared_folder(spark: SparkSession) -> str:
     """The folder that driver and executors share: the cluster's spark.checkpoint.dir.
 
-    Only a session without that setting (tests, one machine) gets a temporary folder of its own.
+    Only a session on one machine without that setting (tests) gets a temporary folder of its own; on a cluster such a
+    folder would not be shared, so a missing setting is an error there.
     """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
@@ -37,6 +38,8 @@ def shared_folder(spark: SparkSession) -> str:
         return named.rstrip("/")
     current = spark.sparkContext.getCheckpointDir()
     if current is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="cohesion-"))
         current = spark.sparkContext.getCheckpointDir()
     return current.rstrip("/")

@@ -54,25 +54,57 @@ def word_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return each.groupBy("first", "second").agg(F.count("*").alias("n"))
 
 
-def word_assoc(spark: SparkSession, sf_dir: str, least: int = 8) -> DataFrame:
-    """Links by word, as text ends (a, b, weight): both orders summed."""
-    return word_pairs(spark, sf_dir).groupBy(F.least("first", "second").alias("a"), F.greatest("first", "second").alias("b")).agg(F.sum("n").alias("weight")).where(F.col("weight") >= least)
+def word_assoc(spark: SparkSession, sf_dir: str, least: int = 8, one_in: int = 80_000) -> DataFrame:
+    """Links by word, as text ends (a, b, weight): both orders summed.
+
+    A link is kept from `least` on, and from one in `one_in` of all neighbouring pairs on, so that larger corpora keep
+    their strong links and not every chance pair.
+    """
+    pairs = written(word_pairs(spark, sf_dir).groupBy(F.least("first", "second").alias("a"), F.greatest("first", "second").alias("b")).agg(F.sum("n").alias("weight")), "word_pairs")
+    bound = pairs.agg(F.greatest(F.lit(least), F.floor(F.sum("weight") / one_in)).alias("bound"))
+    return pairs.crossJoin(bound).where(F.col("weight") >= F.col("bound")).select("a", "b", "weight")  # one row
+
+
+def word_arcs(spark: SparkSession, sf_dir: str, least: int = 8, one_in: int = 80_000) -> DataFrame:
+    """Arcs by word in reading order (a, b, weight), kept as in word_assoc."""
+    pairs = written(word_pairs(spark, sf_dir), "word_pairs")
+    bound = pairs.agg(F.greatest(F.lit(least), F.floor(F.sum("n") / one_in)).alias("bound"))
+    return pairs.crossJoin(bound).where(F.col("n") >= F.col("bound")).select(F.col("first").alias("a"), F.col("second").alias("b"), F.col("n").alias("weight"))  # one row
+
+
+def customer_copart(spark: SparkSession, sf_dir: str, least: int = 4) -> DataFrame:
+    """Customers that share parts, from `least` common parts on; with fewer, cliques are more than can be listed."""
+    orders = load_table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("order"), F.col("o_custkey").alias("v"))
+    lines = load_table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("order"), F.col("l_partkey").alias("key"))
+    return project(lines.join(orders, "order").select("key", "v").distinct(), least)
 
 
-def coded(links: DataFrame, a: str = "a", b: str = "b") -> tuple[DataFrame, DataFrame]:
-    """(edges, names (vid, name)): text ends as numbers, the first 60 bits of their md5, so no window ranks all names."""
+def coded(links: DataFrame, a: str = "a", b: str = "b", directed: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(edges, names (vid, name)): text ends as numbers, the first 60 bits of their md5, so no window ranks all names.
+
+    Two names of one number are an error, never one vertex.
+    """
     names = links.select(F.col(a).alias("name")).unionByName(links.select(F.col(b).alias("name"))).distinct()
-    ids = names.select("name", F.conv(F.substring(F.md5(F.col("name").cast("binary")), 1, 15), 16, 10).cast("long").alias("vid"))
-    edges = links.join(ids.toDF(a, "va"), a).join(ids.toDF(b, "vb"), b).select(F.least("va", "vb").alias("src"), F.greatest("va", "vb").alias("dst"), "weight")
-    return edges, ids
+    ids = written(names.select("name", F.conv(F.substring(F.md5(F.col("name").cast("binary")), 1, 15), 16, 10).cast("long").alias("vid")), "names")
+    if ids.groupBy("vid").count().where("count > 1").limit(1).count():
+        raise ValueError("two names have the same 60-bit code")
+    rows = links.join(ids.toDF(a, "va"), a).join(ids.toDF(b, "vb"), b)
+    ends = (F.col("va"), F.col("vb")) if directed else (F.least("va", "vb"), F.greatest("va", "vb"))
+    return rows.select(ends[0].alias("src"), ends[1].alias("dst"), "weight"), ids
 
 
 def user_follow(spark: SparkSession, sf_dir: str, minutes: int = 2) -> DataFrame:
-    """Arcs user -> next user of the same event type within less than some minutes."""
-    at = Window.partitionBy("event_type").orderBy("ts", "event_id")
-    rows = load_table(spark, sf_dir, "events").select("event_type", "ts", "event_id", "user_id")
-    rows = rows.withColumn("next", F.lead("user_id").over(at)).withColumn("then", F.lead("ts").over(at))
-    near = rows.where((F.col("user_id") != F.col("next")) & (F.unix_micros(F.col("then").cast("timestamp")) - F.unix_micros(F.col("ts").cast("timestamp")) < minutes * 60_000_000))
+    """Arcs user -> next user of the same event type within less than some minutes.
+
+    Event types are few, so windows are per type and slice of time; the first event of the next slice ends a slice. If
+    that is not the next event's slice, the next event is too far off anyway.
+    """
+    width = 10 * minutes * 60_000_000
+    rows = load_table(spark, sf_dir, "events").select("event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("at"), "event_id", "user_id").withColumn("slice", F.floor(F.col("at") / width))
+    first = rows.groupBy("event_type", "slice").agg(F.min(F.struct("at", "event_id", "user_id")).alias("f")).select("event_type", "f.at", "f.event_id", "f.user_id", (F.col("slice") - 1).alias("slice"), F.lit(False).alias("own"))
+    where = Window.partitionBy("event_type", "slice").orderBy("at", "event_id")
+    both = rows.withColumn("own", F.lit(True)).unionByName(first).withColumn("next", F.lead("user_id").over(where)).withColumn("then", F.lead("at").over(where))
+    near = both.where(F.col("own") & (F.col("user_id") != F.col("next")) & (F.col("then") - F.col("at") < minutes * 60_000_000))
     return near.groupBy(F.col("user_id").alias("src"), F.col("next").alias("dst")).agg(F.count("*").alias("weight"))
 
 
@@ -164,9 +196,10 @@ _FOLLOW = (
     "WHERE user_id <> nxt AND epoch_us(thn) - epoch_us(ts) < 120000000 GROUP BY ALL"
 )
 _LINES = "SELECT DISTINCT doc_id AS v, trim(l, ' ') AS key FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS l FROM documents) WHERE trim(l, ' ') <> ''"
-_WORDS = (
-    "SELECT least(f, s) AS a, greatest(f, s) AS b, count(*) AS weight FROM (SELECT unnest(w[:-2]) AS f, unnest(w[2:]) AS s FROM (SELECT regexp_extract_all(lower(text), '\\p{L}+') AS w FROM documents)) WHERE f <> s GROUP BY ALL HAVING count(*) >= 8"
-)
+_NEXT = "SELECT unnest(w[:-2]) AS f, unnest(w[2:]) AS s FROM (SELECT regexp_extract_all(lower(text), '\\p{L}+') AS w FROM documents)"
+_BOUND = "weight >= greatest(8, (SELECT floor(sum(weight) / 80000) FROM p))"
+_WORDS = f"WITH p AS (SELECT least(f, s) AS a, greatest(f, s) AS b, count(*) AS weight FROM ({_NEXT}) WHERE f <> s GROUP BY ALL) SELECT a, b, weight FROM p WHERE {_BOUND}"
+_WORD_ARCS = f"WITH p AS (SELECT f AS a, s AS b, count(*) AS weight FROM ({_NEXT}) WHERE f <> s GROUP BY ALL) SELECT a, b, weight FROM p WHERE {_BOUND}"
 _NAV = "SELECT DISTINCT page_id AS key, unnest(regexp_extract_all(html, 'href=\"/([^\"]*)\"', 1)) AS v FROM pages"
 
 SQL = {
@@ -174,6 +207,8 @@ SQL = {
     "copurchase_repeat": _projected(_parts(None), 2),
     "cosupply": _projected("SELECT DISTINCT l_orderkey AS key, l_suppkey AS v FROM lineitem"),
     "word_assoc": _WORDS,
+    "word_arcs": _WORD_ARCS,
+    "customer_copart": _projected("SELECT DISTINCT l_partkey AS key, o_custkey AS v FROM lineitem JOIN orders ON o_orderkey = l_orderkey", 4),
     "user_follow_arcs": _FOLLOW,
     "user_follow": f"SELECT least(src, dst) AS src, greatest(src, dst) AS dst, CAST(sum(weight) AS BIGINT) AS weight FROM ({_FOLLOW}) GROUP BY least(src, dst), greatest(src, dst)",
     "near_copy": (

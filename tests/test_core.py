@@ -7,6 +7,7 @@ import pytest
 
 from cohesion import registry
 from cohesion.graph import kcore, normalise
+from cohesion.operators import cliques as C
 from cohesion.operators import measures as M
 from cohesion.operators import percolation as P
 from cohesion.operators import split as S
@@ -66,6 +67,14 @@ def test_methods_agree_with_the_definition(spark):
             assert sets(P.percolate_local(e, k)) == want
             assert sets(S.percolate_split(e, k, "mod", parts=3)) == want
             assert sets(S.percolate_split(e, k, "bfs", method="kclique", size_limit=3, n_seeds=2)) == want
+            assert sets(S.percolate_split(e, k, "mod", method="hyperlink", closure="clique", parts=3)) == want
+            assert sets(S.percolate_one_sided(e, S.owners(e, "mod", 3), k)) == want
+        whole = {k: sorted(sorted(c) for c in P.brute_force(links, k)) for k in (3, 4, 5)}
+        covers = S.percolate_split_all(e, 3, 5, rule="mod", parts=3)
+        assert {k: sets(covers.where(f"k = {k}")) for k in (3, 4, 5)} == whole
+        found = {tuple(r["members"]) for r in C.maximal_cliques(e).collect()}
+        some = spark.createDataFrame([(0,), (3,)], "vid long")
+        assert {tuple(r["members"]) for r in C.maximal_cliques_of(e, some).collect()} == {c for c in found if {0, 3} & set(c)}
         assert sets(P.percolate(e, 3, convention="printed")) == sets(P.percolate(e, 4))
 
 
@@ -76,14 +85,18 @@ def test_lost_links_without_borders(spark):
     assert named(sets(S.percolate_split(e, 3, "bfs", size_limit=8, n_seeds=2))) == [["a", "b1", "b2"], ["b1", "c1", "c2", "d"]]
     owner = S.owners(e, "bfs", size_limit=8, n_seeds=2, min_piece=1)
     lost = S.coverage(e, S.pieces_of(e, owner, "none")[1]).first()["lost"]
+    pv, pe = S.printed_pieces(e, 8, 2, min_piece=1)
+    # Two hubs of one round: each keeps flagged copies of what the other holds, yet no piece has the last triangle.
+    assert S.coverage(e, pe).first()["lost"] == 3 and pv.where("not owned").count() > 0
+    assert S.clique_coverage(e, pe, 3).first()["lost"] == 1
     assert lost > 0 and S.coverage(e, S.pieces_of(e, owner)[1]).first()["lost"] == 0
 
 
 def test_growth_by_levels_is_the_growth_in_memory(spark, sf):
     e = B.copurchase(spark, sf, "month")
-    a = {(r["vid"], r["piece"]) for r in S.bfs_owners(e, 15, 6, 1).collect()}
-    b = {(r["vid"], r["piece"]) for r in S.bfs_owners(e, 15, 6, distributed=True).collect()}
-    assert {v for v, _ in a} == {v for v, _ in b} and a == b
+    rows = lambda x: {tuple(r) for r in x.collect()}
+    assert rows(S.bfs_pieces(e, 15, 6)) == rows(S.bfs_pieces(e, 15, 6, distributed=True))
+    assert rows(S.split_trace(e, 15, 6)) == rows(S.split_trace(e, 15, 6, True))
 
 
 def test_small_pieces_merge_alike_both_ways(spark, monkeypatch):
@@ -91,6 +104,7 @@ def test_small_pieces_merge_alike_both_ways(spark, monkeypatch):
     e = edges(spark, K(1, 2, 3, 4, 5) + [(rng.randrange(1, 30), rng.randrange(1, 30)) for _ in range(30)] + [(51, 52), (53, 54)])
     local = {(r["vid"], r["piece"]) for r in S.bfs_owners(e, 6, 6).collect()}
     monkeypatch.setattr(S, "LOCAL_LINKS", 10)
+    monkeypatch.setattr(S, "DELTAS", 2)
     assert {(r["vid"], r["piece"]) for r in S.bfs_owners(e, 6, 6).collect()} == local
 
 
@@ -103,6 +117,9 @@ def test_border_of_two_pieces(spark):
     assert S.boundary(e, owner).count() == 3
     for method in ("overlap", "kclique", "hyperlink"):
         assert sets(S.merge_local(S.percolate_pieces(pe, 3), pv, 3, method)) == [[1, 2, 3, 4, 5, 6]]
+    assert sets(S.percolate_one_sided(e, owner, 3)) == [[1, 2, 3, 4, 5, 6]]
+    cut = spark.createDataFrame([(2, 4), (3, 4), (3, 5)], "src long, dst long")
+    assert {(r["vid"], r["piece"]) for r in S.split_by_cut(e, cut).collect()} == {(v, 1 if v < 4 else 4) for v in range(1, 7)}
 
 
 def test_one_link_changes_only_what_it_touches(spark):
@@ -177,3 +194,48 @@ def test_cores_peel_to_the_end(spark):
 
 def test_flagship(spark):
     assert registry.flagship(spark, "/root/testdata/sf0.001").count() == 13
+
+
+def test_diagnosis_of_graphs_without_structure(spark):
+    e = edges(spark, [(a, b) for a in (1, 2, 3) for b in (4, 5, 6)])
+    assert [tuple(r) for r in P.diagnose(e, P.percolate_all(e, 3), [3, 4]).orderBy("k").collect()] == [(3, True, False), (4, True, False)]
+    e = edges(spark, K(1, 2, 3, 4))
+    assert [tuple(r) for r in P.diagnose(e, P.percolate_all(e, 3), [3, 5]).orderBy("k").collect()] == [(3, False, True), (5, True, False)]
+
+
+def test_guards_refuse_floods(spark, monkeypatch):
+    from cohesion.session import shared_folder
+
+    monkeypatch.setattr(C, "MAX_CLIQUES", 2)
+    pairs = [(0, v) for v in range(1, 9)] + [(v, w) for v in range(1, 9) for w in range(v + 2, 9)]
+    with pytest.raises(Exception, match="maximal cliques"):
+        C.maximal_cliques(edges(spark, pairs)).count()
+    with pytest.raises(ValueError, match="pairs"):
+        M.pair_f1(P.percolate(edges(spark, K(1, 2, 3, 4)), 3), P.percolate(edges(spark, K(1, 2, 3, 4)), 3), most=2)
+    assert shared_folder(spark)
+
+
+def test_pairs_and_random_graphs(spark):
+    e = edges(spark, BOW)
+    a, b = P.percolate(e, 3), P.percolate(edges(spark, K(1, 2, 3)), 3)
+    assert tuple(M.pair_f1(a, b).first()) == (6, 3, 3, round(6 / 9, 6)) and M.pair_f1(a, a).first()["f1"] == 1.0
+    ids = {v for x in BOW for v in x}
+    g = M.gnm(e, 3, 2).collect()
+    assert all(r["src"] < r["dst"] and {r["src"], r["dst"]} <= ids for r in g)
+
+
+def test_follow_arcs_across_slices(spark, tmp_path):
+    rng = random.Random(3)
+    at, rows = 0, []
+    for i in range(400):
+        at += rng.choice([1, 30, 119, 120, 121, 1199, 1200, 4000])
+        rows.append((i, "2024-01-01 00:00:00", at, rng.randrange(9), rng.choice("ab")))
+    table = spark.createDataFrame(rows, "event_id long, day string, s long, user_id long, event_type string").selectExpr("event_id", "cast(timestampadd(SECOND, s, cast(day as timestamp)) as timestamp_ntz) AS ts", "user_id", "event_type")
+    table.write.parquet(f"{tmp_path}/events.parquet")
+    want = {}
+    for kind in "ab":
+        own = [r for r in rows if r[4] == kind]
+        for x, y in zip(own, own[1:]):
+            if y[2] - x[2] < 120 and x[3] != y[3]:
+                want[x[3], y[3]] = want.get((x[3], y[3]), 0) + 1
+    assert {(r["src"], r["dst"]): r["weight"] for r in B.user_follow(spark, str(tmp_path)).collect()} == want
