@@ -56,6 +56,19 @@ def sweep_fits(swept: DataFrame) -> DataFrame:
     return log.unionByName(inverse)
 
 
+def _pieces_solver(k: int):
+    """A grouped map that solves all pieces of its group, one after the other, and counts their communities."""
+    from ..operators.percolation import serial_covers
+
+    def solve(table: pa.Table) -> pa.Table:
+        held: dict[int, list[tuple[int, int]]] = {}
+        for p, a, b in zip(*(table.column(c).to_pylist() for c in ("piece", "src", "dst"))):
+            held.setdefault(p, []).append((a, b))
+        return pa.table({"found": pa.array([len({key for _, key, _ in serial_covers(links, k, k)}) for links in held.values()], pa.int64())})
+
+    return solve
+
+
 def core_sweep(edges: DataFrame, k: int, cores: tuple[int, ...] = (1, 2, 4, 8), size_limit: int = 25) -> DataFrame:
     """(cores, pieces, waves, seconds, communities): pieces solved by ever more units, to see where more stop helping.
 
@@ -68,17 +81,11 @@ def core_sweep(edges: DataFrame, k: int, cores: tuple[int, ...] = (1, 2, 4, 8),
     order = written(S.cut_order(pv), "order")
     n = order.count()
 
-    def solve(table: pa.Table) -> pa.Table:
-        held: dict[int, list[tuple[int, int]]] = {}
-        for p, a, b in zip(*(table.column(c).to_pylist() for c in ("piece", "src", "dst"))):
-            held.setdefault(p, []).append((a, b))
-        return pa.table({"found": pa.array([len({key for _, key, _ in P.serial_covers(links, k, k)}) for links in held.values()], pa.int64())})
-
     rows = []
     for c in cores:
         dealt = written(pe.join(F.broadcast(order.select("piece", F.pmod(F.col("place") - 1, F.lit(c)).alias("unit"))), "piece"), "dealt")  # a row a piece
         began = time.time()
-        found = dealt.groupBy("unit").applyInArrow(solve, "found long").agg(F.sum("found").alias("n")).first()["n"]
+        found = dealt.groupBy("unit").applyInArrow(_pieces_solver(k), "found long").agg(F.sum("found").alias("n")).first()["n"]
         rows.append((c, n, -(-n // c), time.time() - began, found))
     return edges.sparkSession.createDataFrame(rows, "cores int, pieces long, waves long, seconds double, communities long")
 

@@ -283,7 +283,7 @@ LIMITS = [25, 50, 100, 200, 400]
 query("sweep_size_limit", lambda s, d: X.sweep_size_limit(quarter(s, d), 4, LIMITS))
 query("sweep_size_limit_words", lambda s, d: X.sweep_size_limit(words(s, d), 4, LIMITS))
 query("sweep_size_limit_year", lambda s, d: X.sweep_size_limit(year(s, d), 4, [100, 400]))
-query("sweep_fits", lambda s, d: X.sweep_fits(X.sweep_size_limit(nav(s, d), 4, LIMITS)))
+query("sweep_fits", lambda s, d: X.sweep_fits(X.sweep_size_limit(words(s, d), 4, LIMITS)))
 query("core_sweep", lambda s, d: X.core_sweep(quarter(s, d), 4))
 query("serial_vs_split", lambda s, d: X.serial_vs_split(quarter(s, d), 4))
 query("ensemble", lambda s, d: X.ensemble(nav(s, d), 3))
