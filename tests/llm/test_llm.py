@@ -351,6 +351,20 @@ def test_near_duplicates(spark, odd, docs, monkeypatch):
     assert kept.columns == odd.columns and kept.count() == neardup.near_duplicates(odd).select("class_id").distinct().count()
 
 
+def test_recall_against_all_pairs(docs):
+    """Of all pairs of documents that are alike by brute force, at least nine in ten are in one class."""
+    rows = sorted(texts_of(docs))
+    own = {i: shingles_of(t) for i, t in rows}
+    got = {r["doc_id"]: r["class_id"] for r in neardup.near_duplicates(docs).collect()}
+    pairs = found = 0
+    for n, (i, _) in enumerate(rows):
+        for j, _ in rows[:n]:
+            a, b = own[i], own[j]
+            if a and b and min(a.total(), b.total()) >= 0.8 * max(a.total(), b.total()) and (a & b).total() >= 0.8 * (a | b).total():
+                pairs, found = pairs + 1, found + (got[i] == got[j])
+    assert pairs > 5 and found >= 0.9 * pairs
+
+
 def test_signatures_are_unbiased():
     rng = np.random.default_rng(0)
     codes = rng.integers(0, 2**63, 300).astype(np.uint64)
