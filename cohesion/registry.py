@@ -111,7 +111,8 @@ for _g, _k in (("near_copy", 3), ("user_follow", 3), ("user_follow", 4), ("cosin
     query(f"percolate_{_g}_k{_k}", lambda s, d, g=_g, k=_k: P.communities(P.percolate(GRAPHS[g](s, d), k)), O.communities(B.SQL[_g], _k))
 query("percolate_cosupply_k3", lambda s, d: P.communities(P.percolate(B.cosupply(s, d), 3)), O.communities(B.SQL["cosupply"], 3))
 for _g, _k, _make in (("nav", 3, B.nav_links), ("nav", 4, B.nav_links), ("word_assoc", 3, B.word_assoc), ("word_assoc", 5, B.word_assoc)):
-    query(f"percolate_{_g}_k{_k}", lambda s, d, f=_make, k=_k: P.communities(P.percolate(B.coded(f(s, d))[0], k)), O.communities(B.SQL[f"{_g}_coded"], _k))
+    # DuckDB takes many minutes for the words' 55,726 5-cliques, so that one has no SQL; tests hold k = 5 against brute force.
+    query(f"percolate_{_g}_k{_k}", lambda s, d, f=_make, k=_k: P.communities(P.percolate(B.coded(f(s, d))[0], k)), O.communities(B.SQL[f"{_g}_coded"], _k) if (_g, _k) != ("word_assoc", 5) else None)
 query("percolate_no_clique", lambda s, d: P.communities(P.percolate(B.customer_parts(s, d), 3, "kclique")), "SELECT CAST(3 AS BIGINT) AS k, '' AS community_key, CAST(0 AS BIGINT) AS size WHERE false")
 _M4 = O.communities(NAV, 4)
 query("membership_month_k4", lambda s, d: P.membership(P.percolate(month(s, d), 4)), O.over(MONTH, 4, "SELECT CAST(4 AS BIGINT) AS k, community_key, vid FROM mem"))
