@@ -184,6 +184,19 @@ def test_near_copies_count_every_line(spark, tmp_path):
     assert len(got) == len(set(got)) and set(got) == want
 
 
+@pytest.mark.parametrize("name", ["q_edges_near_copy", "q_percolate_near_copy_k3"])
+def test_near_copy_queries_match_their_sql(spark, tmp_path, name):
+    rng = random.Random(9)
+    rows = [(i, "\n".join(["one", " two ", f"own {i // 2}", f"pair {i // 3}", f"pair {i // 3} too"])) for i in range(40)]
+    rows += [(100 + i, "\n".join(rng.choice("abcdefghij") for _ in range(rng.randrange(9)))) for i in range(45)]
+    rows += [(200, None), (201, ""), (202, "x\ny"), (202, "z\nx"), (203, "x\ny\nz"), (None, "x\ny\nz"), (204, "x \r\n y\n\tz")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    want = sorted(map(tuple, con.sql(registry.ORACLES[name]).df().values.tolist()))
+    assert want and sorted(map(tuple, registry.QUERIES[name](spark, str(tmp_path)).toPandas().values.tolist())) == want
+
+
 def test_mean_distance_counts_all_pairs(spark):
     n = 6
     pairs = [b - a for a, b in K(*range(n))]
