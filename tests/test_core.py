@@ -3,6 +3,7 @@
 import random
 
 import duckdb
+import numpy as np
 import pytest
 
 from cohesion import registry
@@ -12,6 +13,7 @@ from cohesion.operators import measures as M
 from cohesion.operators import percolation as P
 from cohesion.operators import split as S
 from cohesion.operators.components import METHODS
+from cohesion.operators.egos import ego_covers
 from cohesion.sources import builders as B
 
 
@@ -197,6 +199,47 @@ def test_near_copy_queries_match_their_sql(spark, tmp_path, name):
     assert want and sorted(map(tuple, registry.QUERIES[name](spark, str(tmp_path)).toPandas().values.tolist())) == want
 
 
+def test_egos_match_the_serial_covers():
+    rng = random.Random(3)
+    for _ in range(60):
+        n, p = rng.randrange(3, 12), rng.random()
+        links = [x for x in K(*range(0, 7 * n, 7)) if rng.random() < p]
+        ends = np.array(links, np.int64).reshape(-1, 2)
+        for k in (3, 4, 5):
+            want, got = {}, [{}, {}]
+            for _, key, clique in P.serial_covers(links, k, k):
+                want.setdefault(key, set()).update(clique)
+            for held, whole in zip(got, (100, 0)):  # bitmaps over the graph, and over each neighbourhood
+                for least, clique in ego_covers(ends[:, 0], ends[:, 1], k, whole):
+                    held.setdefault("-".join(map(str, least)), set()).update(clique)
+            assert got == [want, want]
+
+
+def test_egos_take_dense_graphs_and_components_apart(spark):
+    links = [x for x in K(*range(60)) if (x[0] // 2) != (x[1] // 2)]  # 2^30 maximal cliques
+    e = edges(spark, links + K(100, 101, 102) + K(102, 103, 104))
+    want = [[*range(60)], [100, 101, 102], [102, 103, 104]]
+    for limit in (10_000, 1_000_000):
+        assert sets(P.percolate_egos(e, 3, limit)) == want
+    assert sets(P.percolate_egos(edges(spark, BOW + K(9, 10, 11, 12)), 3, 5)) == [[1, 2, 3], [3, 4, 5], [9, 10, 11, 12]]
+    both = P.percolate_all(e, 3, 4, "egos")
+    assert [tuple(r) for r in P.diagnose(e, both, [3, 4, 31]).orderBy("k").collect()] == [(3, False, True), (4, False, True), (31, True, False)]
+
+
+def test_cosine_links_compare_all_pairs(spark, tmp_path):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(90, 3)).astype(np.float32)
+    x[5], x[6] = x[4], 2 * x[4]
+    rows = [(int(i), [float(c) for c in v]) for i, v in enumerate(x)] + [(200, None), (201, [1.0, None, 2.0]), (None, [1.0, 0.0, 0.0])]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    y = x.astype(float)
+    cosine = (y @ y.T) / np.sqrt((y * y).sum(axis=1)[:, None] * (y * y).sum(axis=1)[None, :])
+    want = {(a, b, 1) for a, b in K(*range(90)) if cosine[a, b] >= 0.3}
+    for block in (B.BLOCK, 8):
+        got = [tuple(r) for r in B.cosine_links(spark, str(tmp_path), block=block).collect()]
+        assert len(got) == len(set(got)) and set(got) == want
+
+
 def test_mean_distance_counts_all_pairs(spark):
     n = 6
     pairs = [b - a for a, b in K(*range(n))]
