@@ -25,7 +25,11 @@ REJECT, MARGIN = 0.001, 1.4
 
 def fit(docs: DataFrame, rows: int = classify.SAMPLE_ROWS) -> tuple[classify.Model, float]:
     """(model, rejection threshold), from at most `rows` rows outside the held-out fold."""
-    texts, labels = classify.sample(docs.where(~classify.held_out("doc_id", FOLDS, FOLD)), "lang", rows)
+    return classify.fitted(classify.sampled(docs.where(~classify.held_out("doc_id", FOLDS, FOLD)), "lang", rows), _calibrated)
+
+
+def _calibrated(texts: list[str], labels: list) -> tuple[classify.Model, float]:
+    """The model of four fifths of the texts, and the threshold by the rest."""
     lettered = [i for i, t in enumerate(texts) if classify.has_letter(t)]
     texts, labels = [texts[i] for i in lettered], [labels[i] for i in lettered]
     # Sorted texts would put like with like.

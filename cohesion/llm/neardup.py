@@ -289,45 +289,68 @@ def _verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame
     return two.mapInArrow(compare, "a binary, b binary")
 
 
+#: Members whose overlaps with all others are held at once, and elements of one matrix product.
+STRIP, ELEMENTS = 256, 512
+
+
+def _forest(parts: list[tuple[np.ndarray, np.ndarray]], similarity: float) -> tuple[list[int], list[int]]:
+    """Links that span what exact overlaps connect among multisets (codes, times); fewer than multisets.
+
+    Overlaps of a strip of members with those from it on are held at a time, never those of all pairs, and once all are
+    connected the rest is not compared.
+    """
+    n = len(parts)
+    total = np.array([t.sum() for _, t in parts], np.float32)
+    owner = np.repeat(np.arange(n, dtype=np.int32), [len(x) for x, _ in parts])
+    code, times = np.concatenate([x for x, _ in parts]), np.concatenate([t for _, t in parts]).astype(np.uint32)
+    # The k-th copy of a shingle is an element of its own, so overlaps of multisets are those of sets.
+    more = times > 1
+    if more.any():
+        again = times[more].astype(np.int64) - 1
+        copy = np.arange(again.sum()) - np.repeat(np.cumsum(again) - again, again) + 1
+        code = np.concatenate([code, mix(np.repeat(code[more], again) + copy.astype(np.uint64) * _GOLD)])
+        owner = np.concatenate([owner, np.repeat(owner[more], again)])
+    order = np.argsort(code, kind="stable")
+    code, owner = code[order], owner[order]
+    del order, times, more
+    new = np.ones(len(code) + 1, bool)
+    new[1:-1] = code[1:] != code[:-1]
+    del code
+    shared = ~(new[:-1] & new[1:])
+    element = (np.cumsum(new[:-1] & shared) - 1)[shared].astype(np.int32)
+    owner = owner[shared]
+    elements = int(element[-1]) + 1 if len(element) else 0
+    label, left, right = np.arange(n), [], []
+    for at in range(0, n, STRIP):
+        own = min(STRIP, n - at)
+        overlap = np.zeros((own, n - at), np.float32)
+        for first in range(0, elements, ELEMENTS):
+            a, b = np.searchsorted(element, [first, first + ELEMENTS])
+            late = owner[a:b] >= at
+            held = np.zeros((n - at, ELEMENTS), np.float32)
+            held[owner[a:b][late] - at, element[a:b][late] - first] = 1
+            overlap += held[:own] @ held.T
+        for i in range(own):
+            near = np.flatnonzero(overlap[i] >= similarity * (total[at + i] + total[at:] - overlap[i])) + at
+            near = near[label[near] != label[at + i]]
+            if len(near):
+                found, place = np.unique(label[near], return_index=True)
+                left += [at + i] * len(place)
+                right += near[place].tolist()
+                label[np.isin(label, found)] = label[at + i]
+        if (label == label[0]).all():
+            break
+    return left, right
+
+
 def _together(members: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """Links (a, b) that span what exact overlaps connect within each bucket; at most one a member."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for group in _groups(batches):
             names = group.column("a").to_pylist()
-            parts = [_unpacked(c, t) for c, t in zip(group.column("codes").to_pylist(), group.column("times").to_pylist())]
-            total = np.array([t.sum() for _, t in parts], np.float32)
-            # The k-th copy of a shingle is an element of its own, so overlaps of multisets are those of sets.
-            owner = np.repeat(np.arange(len(parts)), total.astype(np.int64))
-            code = np.concatenate([np.repeat(x, t) for x, t in parts])
-            copy = np.concatenate([np.arange(t.sum()) - np.repeat(np.cumsum(t) - t, t) for _, t in parts])
-            code = mix(code + copy.astype(np.uint64) * _GOLD)
-            _, element, often = np.unique(code, return_inverse=True, return_counts=True)
-            shared = often > 1
-            place = np.cumsum(shared) - 1
-            kept = shared[element]
-            owner, element = owner[kept], place[element[kept]]
-            overlap = np.zeros((len(parts), len(parts)), np.float32)
-            order = np.argsort(element, kind="stable")
-            owner, element = owner[order], element[order]
-            for at in range(0, int(shared.sum()), 2048):
-                a, b = np.searchsorted(element, [at, at + 2048])
-                held = np.zeros((len(parts), 2048), np.float32)
-                held[owner[a:b], element[a:b] - at] = 1
-                overlap += held @ held.T
-            linked = overlap >= similarity * (total[:, None] + total[None, :] - overlap)
-            left, right, free = [], [], np.ones(len(parts), bool)
-            for i in range(len(parts)):
-                if free[i]:
-                    free[i] = False
-                    edge = [i]
-                    while edge:
-                        new = np.flatnonzero(linked[edge].any(axis=0) & free)
-                        free[new] = False
-                        left += [names[i]] * len(new)
-                        right += [names[j] for j in new.tolist()]
-                        edge = new.tolist()
-            yield pa.RecordBatch.from_arrays([pa.array(left, pa.binary()), pa.array(right, pa.binary())], ["a", "b"])
+            left, right = _forest([_unpacked(c, t) for c, t in zip(group.column("codes").to_pylist(), group.column("times").to_pylist())], similarity)
+            yield pa.RecordBatch.from_arrays([pa.array([names[i] for i in x], pa.binary()) for x in (left, right)], ["a", "b"])
 
     joined = members.join(sets.withColumnRenamed("cls", "a"), "a")
     return _sorted(joined, ["a", "codes", "times"]).mapInArrow(run, "a binary, b binary")
