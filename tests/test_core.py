@@ -199,6 +199,16 @@ def test_near_copy_queries_match_their_sql(spark, tmp_path, name):
     assert want and sorted(map(tuple, registry.QUERIES[name](spark, str(tmp_path)).toPandas().values.tolist())) == want
 
 
+def test_near_copy_communities_count_common_lines(spark, tmp_path):
+    rows = [(i, f"one\nown {i}") for i in range(35)] + [(100, "a\nb"), (100, "c"), (101, "a\nc"), (102, "b\nc"), (None, "one")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    got = sorted(map(tuple, registry.QUERIES["q_percolate_near_copy_k3"](spark, str(tmp_path)).toPandas().values.tolist()))
+    assert got == [(3, "0-1-2", 35), (3, "100-101-102", 3)]
+    assert sorted(map(tuple, con.sql(registry.ORACLES["q_percolate_near_copy_k3"]).df().values.tolist())) == got
+
+
 def test_egos_match_the_serial_covers():
     rng = random.Random(3)
     for _ in range(60):
