@@ -12,7 +12,7 @@ from cohesion.operators import cliques as C
 from cohesion.operators import measures as M
 from cohesion.operators import percolation as P
 from cohesion.operators import split as S
-from cohesion.operators.components import METHODS
+from cohesion.operators.components import METHODS, spanning
 from cohesion.operators.egos import ego_covers
 from cohesion.sources import builders as B
 
@@ -236,6 +236,21 @@ def test_egos_take_dense_graphs_and_components_apart(spark):
     assert [tuple(r) for r in P.diagnose(e, both, [3, 4, 31]).orderBy("k").collect()] == [(3, False, True), (4, False, True), (31, True, False)]
 
 
+def test_egos_take_a_component_beyond_the_limit(spark):
+    links = [x for x in K(*range(60)) if (x[0] // 2) != (x[1] // 2)]  # 2^30 maximal cliques
+    e = edges(spark, links + K(100, 101, 102) + K(102, 103, 104))
+    assert sets(P.percolate_egos(e, 3, 100)) == [[*range(60)], [100, 101, 102], [102, 103, 104]]
+
+
+def test_spanning_keeps_components(spark):
+    rng = random.Random(8)
+    links = [(rng.randrange(400), rng.randrange(400)) for _ in range(2600)]
+    e = spark.createDataFrame(links, "u long, v long").repartition(3)
+    stars = spanning(e)
+    want, got = ({tuple(r) for r in METHODS["star"](x).collect()} for x in (e, stars))
+    assert got == want and stars.count() < 2600
+
+
 def test_cosine_links_compare_all_pairs(spark, tmp_path):
     rng = np.random.default_rng(4)
     x = rng.normal(size=(90, 3)).astype(np.float32)
