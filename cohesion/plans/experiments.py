@@ -35,11 +35,15 @@ def sweep_size_limit(edges: DataFrame, k: int, limits: list[int], n_seeds: int |
     rows = []
     for limit in limits:
         m: dict = {}
-        cover = S.percolate_split(edges, k, "bfs", measures=m, size_limit=limit, n_seeds=n_seeds)
-        owner = written(S.bfs_owners(edges, limit, n_seeds), "owners")
+        began = time.time()
+        growth = S.bfs_growth(edges, limit, n_seeds)
+        grown = time.time() - began
+        cover = S.percolate_split(edges, k, "bfs", measures=m, size_limit=limit, n_seeds=n_seeds, growth=growth)
+        m |= {"split_s": m["split_s"] + grown, "total_s": m["total_s"] + grown}
+        owner = S.bfs_owners(edges, limit, n_seeds, growth=growth)
         border = S.border_stats(edges, owner).first()
-        trace = written(S.split_trace(edges, limit, n_seeds), "trace")
-        tiny = S.tiny_pieces(edges, limit, n_seeds).first()
+        trace = S.split_trace(edges, limit, n_seeds, growth=growth)
+        tiny = S.tiny_pieces(edges, limit, n_seeds, growth=growth).first()
         over = owner.groupBy("piece").count().agg(F.max("count").alias("n")).first()["n"] or 0
         rows.append((
             limit, *(m[x] for x in ("split_s", "schedule_s", "local_s", "merge_s", "schedule_merge_s", "total_s")), m["pieces"], -(-m["pieces"] // cores), m["smallest"], float(m["median"] or 0), m["largest"], max(0, over - limit),

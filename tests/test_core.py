@@ -12,6 +12,7 @@ from cohesion.operators import cliques as C
 from cohesion.operators import measures as M
 from cohesion.operators import percolation as P
 from cohesion.operators import split as S
+from cohesion.plans import experiments as X
 from cohesion.operators.components import METHODS, spanning
 from cohesion.operators.egos import ego_covers
 from cohesion.sources import builders as B
@@ -242,6 +243,29 @@ def test_egos_take_a_component_beyond_the_limit(spark):
     assert sets(P.percolate_egos(e, 3, 100)) == [[*range(60)], [100, 101, 102], [102, 103, 104]]
 
 
+def test_one_growth_serves_all_figures(spark, sf, monkeypatch):
+    e = B.copurchase(spark, sf, "month")
+    g = S.bfs_growth(e, 9, 3)
+    rows = lambda x: sorted(map(tuple, x.collect()))
+    assert rows(S.bfs_owners(e, 9, 3, growth=g)) == rows(S.bfs_owners(e, 9, 3).select("vid", "piece"))
+    assert rows(S.split_trace(e, 9, 3, growth=g)) == rows(S.split_trace(e, 9, 3))
+    before = S.bfs_pieces(e, 9, 3, 1).where("owned").groupBy("piece").count()
+    assert tuple(S.tiny_pieces(e, 9, 3, g).first())[:2] == (before.count(), before.where("count < 9").count())
+    calls = []
+    one = S.bfs_growth
+    monkeypatch.setattr(S, "bfs_growth", lambda *a, **kw: calls.append(a) or one(*a, **kw))
+    monkeypatch.setattr(S, "bfs_pieces", None)  # a second growth fails
+    assert [r["differing"] for r in X.sweep_size_limit(e, 3, [9]).collect()] == [0] and len(calls) == 1
+
+
+def test_serial_roots_without_enough_later_neighbours_are_left_out(monkeypatch):
+    asked = []
+    one = C.bron_kerbosch
+    monkeypatch.setattr(C, "bron_kerbosch", lambda a, v, *x: asked.append(v) or one(a, v, *x))
+    links = K(1, 2, 3) + [(3, i) for i in range(10, 60)]
+    assert P.serial_covers(links, 3, 3) == [(3, "1-2-3", [1, 2, 3])] and len(asked) == 1
+
+
 def test_spanning_keeps_components(spark):
     rng = random.Random(8)
     links = [(rng.randrange(400), rng.randrange(400)) for _ in range(2600)]
